@@ -40,7 +40,7 @@ def inputs(block: Block) -> tuple[list[int], list[int], list[int], list[float]]:
 
 def initial(seed: int = 0) -> Params:
     rng = np.random.default_rng(seed)
-    p: Params = {"path": rng.normal(0, 0.1, (PATH_ROWS, PATH_DIM)), "tail": rng.normal(0, 0.1, (PATH_ROWS, PATH_DIM)), "word": rng.normal(0, 0.1, (WORD_ROWS, WORD_DIM))}
+    p: Params = {"path": rng.normal(0, 0.1, (PATH_ROWS, PATH_DIM)), "tail": rng.normal(0, 0.1, (PATH_ROWS, PATH_DIM)), "word": np.zeros((WORD_ROWS, WORD_DIM))}
     for d in ("f", "b"):
         p[f"w{d}"] = rng.normal(0, 1 / math.sqrt(INPUT), (INPUT, 4 * HIDDEN))
         p[f"u{d}"] = rng.normal(0, 1 / math.sqrt(HIDDEN), (HIDDEN, 4 * HIDDEN))
