@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from cloudlattice.llm import ann, grid_join, html_extract, mixing, packing, sharding, suffix_dedup, toxicity
+from cloudlattice.llm import ann, grid_join, html_extract, mixing, packing, sharding, shingle_join, suffix_dedup, toxicity
 
 QUERIES = {
     "op1_sharding": sharding.query,
     "op2_html_extract": html_extract.query,
+    "op3_shingle_join": shingle_join.query,
     "op4_grid_join": grid_join.query,
     "op6_suffix_dedup": suffix_dedup.query,
     "op7_ann": ann.query,
