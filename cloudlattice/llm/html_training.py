@@ -63,6 +63,9 @@ class Pages:
             return " ".join([r.choice(out)] * len(out))
         return " ".join(out).capitalize()
 
+    def end(self) -> str:
+        return self.r.choice([".", ".", ".", "", "", "!", "?", ":"])
+
     def attributes(self, names: list[str], likely: float) -> str:
         r = self.r
         if r.random() > likely:
@@ -76,7 +79,7 @@ class Pages:
         plain = tag in ("nav", "footer", "aside", "header", "form")
         telling, inner = TELLING[kind], ""
         for _ in range(r.randint(1, 8 if kind in ("nav", "aside", "comments") else 3)):
-            text = self.words(r.randint(1, 4) if kind == "nav" else r.randint(1, 30 if kind in ("comments", "notice", "ad", "footer", "aside") else 8), telling, r.choice([0, 0, 0.1, 0.3]))
+            text = self.words(r.randint(1, 4) if kind == "nav" else r.randint(1, 30 if kind in ("comments", "notice", "ad", "footer", "aside") else 8), telling, r.choice([0, 0, 0.1, 0.3])) + (self.end() if kind != "nav" else "")
             link = f'<a href="/{r.randint(1, 999)}">{text}</a>'
             shape = r.random()
             if kind == "nav" or (kind in ("aside", "header", "footer") and shape < 0.4):
@@ -101,12 +104,12 @@ class Pages:
         if r.random() < 0.8:
             out.append(f"<h1>{mark}{self.words(r.randint(2, 14))}</h1>")
         for _ in range(r.choice([1, 2, 3, 5, 8, 12, 20])):
-            text = self.words(r.choice([2, 5, 10, 25, 50, 120]))
+            text = self.words(r.choice([2, 5, 10, 25, 50, 120])) + self.end()
             if r.random() < 0.15:
                 text += f' <a href="/x">{self.words(2)}</a> {self.words(4)}'
             shape = r.random()
             if shape < 0.72:
-                out.append(r.choice([f"<p>{mark}{text}.</p>", f"<p>{mark}{text}.", f"<p><b>{mark}{text}.<br>"]) if r.random() < 0.35 else f"<p>{mark}{text}.</p>")
+                out.append(r.choice([f"<p>{mark}{text}</p>", f"<p>{mark}{text}", f"<p><b>{mark}{text}<br>"]) if r.random() < 0.35 else f"<p>{mark}{text}</p>")
             elif shape < 0.8:
                 out.append(f"<h{r.randint(2, 4)}>{mark}{self.words(r.randint(1, 8))}</h2>")
             elif shape < 0.87:

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from cloudlattice.llm import ann, grid_join, html_extract, mixing, packing, sharding, shingle_join, suffix_dedup, toxicity
+from cloudlattice.llm import ann, grid_join, html_extract, licenses, mixing, packing, sharding, shingle_join, suffix_dedup, toxicity
 
 QUERIES = {
     "op1_sharding": sharding.query,
     "op2_html_extract": html_extract.query,
     "op3_shingle_join": shingle_join.query,
     "op4_grid_join": grid_join.query,
+    "op5_license_scan": licenses.query,
     "op6_suffix_dedup": suffix_dedup.query,
     "op7_ann": ann.query,
     "op8_toxicity": toxicity.query,
@@ -16,4 +17,4 @@ QUERIES = {
     "op10_packing": packing.query,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op5_license_scan": licenses.oracle()}

@@ -4,9 +4,27 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cloudlattice.llm import mixing, packing
+from cloudlattice.llm import mixing, packing, shingle_join, suffix_dedup, toxicity
 from cloudlattice.llm.work import load, written
 
+#: Near duplicates: word shingles of five words, similarity of 0.8 or more.
+WORDS, PERCENT = 5, 80
+
+
+def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the compression-distance model does not call toxic."""
+    return toxicity.kept(docs, load(spark, sf_dir, "labels"))
+
+
+def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates."""
+    return shingle_join.representatives(docs, PERCENT, WORDS)
+
+
+def unrepeated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without passages that start anywhere else too."""
+    return suffix_dedup.deduplicated(docs)
+
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sources at their target weights; documents repeat or stay out as the mix says."""
@@ -18,7 +36,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack_documents(docs, packing.default_tokenizer())
 
 
-STAGES = [("mixing", mix), ("packing", pack)]
+STAGES = [("toxicity", clean), ("near duplicates", distinct), ("suffix deduplication", unrepeated), ("mixing", mix), ("packing", pack)]
 
 #: Compression lengths, byte-level spans and byte-pair ids have no SQL form.
 ORACLE_SQL = None
