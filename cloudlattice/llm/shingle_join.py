@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from cloudlattice.llm.graph import Forest, components
 from cloudlattice.llm.shingles import PIECE, WORDS, mixed, shingle_sets
-from cloudlattice.llm.work import load, written
+from cloudlattice.llm.work import load, removed, written
 
 PERCENT = 85
 GROWTH = 1.5
@@ -140,6 +140,28 @@ def signatures(text: np.ndarray, shingle: np.ndarray, sizes: np.ndarray, percent
     return np.concatenate(out_text), np.concatenate(out)
 
 
+def parity_sketch(shingles: np.ndarray) -> bytes:
+    """A bit for each of 64 or more buckets: whether it holds an odd number of elements.
+
+    Sketches of two sets differ in at most as many bits as the sets differ in elements,
+    so too many different bits prove that sets are not similar.
+    """
+    bits = max(64, 1 << max(0, len(shingles) - 1).bit_length())
+    odd = np.bincount((shingles & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def folded(sketch: np.ndarray, size: int) -> np.ndarray:
+    """A sketch of fewer buckets, of ``size`` bytes."""
+    return np.bitwise_xor.reduce(sketch.reshape(-1, size), axis=0)
+
+
+def may_link(a: np.ndarray, b: np.ndarray, na: int, nb: int, percent: int) -> bool:
+    size = min(len(a), len(b))
+    differ = int(np.bitwise_count(folded(a, size) ^ folded(b, size)).sum())
+    return differ * (100 + percent) <= (100 - percent) * (na + nb)
+
+
 def batches_of(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
     """Texts as bytes in runs of about ``PIECE`` bytes, with the place of the first."""
     at = 0
@@ -153,8 +175,8 @@ def batches_of(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
 
 
 def profiles(docs: DataFrame, percent: int, words: int) -> DataFrame:
-    """doc_id, n (distinct shingles), set (hash of the set), signatures."""
-    names = ["doc_id", "n", "set", "signatures"]
+    """doc_id, n (distinct shingles), set (hash of the set), sketch, signatures."""
+    names = ["doc_id", "n", "set", "sketch", "signatures"]
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -167,9 +189,9 @@ def profiles(docs: DataFrame, percent: int, words: int) -> DataFrame:
                 who, sig = signatures(text, shingle, sizes, percent)
                 order = np.argsort(who, kind="stable")
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(np.bincount(who, minlength=len(data)))]).astype(np.int32)), pa.array(sig[order].view(np.int64)))
-                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array(sizes.astype(np.int32)), pa.array(digest), lists], names)
+                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array(sizes.astype(np.int32)), pa.array(digest), pa.array([parity_sketch(shingle[a:b]) for a, b in zip(edge[:-1], edge[1:], strict=True)], pa.binary()), lists], names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(task, "doc_id long, n int, set long, signatures array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(task, "doc_id long, n int, set long, sketch binary, signatures array<long>")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
@@ -220,26 +242,58 @@ def block_links(a: list[np.ndarray], b: list[np.ndarray], percent: int) -> tuple
     return np.nonzero(100 * both >= percent * (na[:, None] + nb[None, :] - both))
 
 
+def verified(docs: DataFrame, known: DataFrame, pairs: DataFrame, percent: int, words: int) -> DataFrame:
+    """Those pairs (u, v) of sets that link, compared whole; texts are read again for them only."""
+    named = pairs.select(F.explode(F.array("u", "v")).alias("set")).distinct()
+    wanted = named.join(known.groupBy("set").agg(F.min("doc_id").alias("doc_id")), "set")
+    held = written(sets_of(docs, wanted, words), "sets")
+    both = pairs.join(held.withColumnsRenamed({"set": "v", "shingles": "b"}), "v").join(held.withColumnsRenamed({"set": "u", "shingles": "a"}), "u")
+
+    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = [similar(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), percent) for x, y in zip(batch.column("a"), batch.column("b"), strict=True)]
+            yield batch.select(["u", "v"]).filter(pa.array(good, pa.bool_()))
+
+    out = written(both.select("u", "v", "a", "b").mapInArrow(verify, "u long, v long"), "star-links")
+    removed(held)
+    return out
+
+
+def grouped(batches: Iterator[pa.RecordBatch], done) -> Iterator[pa.RecordBatch]:
+    """Calls ``done(key, rows)`` for each run of equal first three columns of sorted rows."""
+    key, group = None, []
+    for batch in batches:
+        for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if row[:3] != key:
+                if key and (out := done(key, group)):
+                    yield out
+                key, group = row[:3], []
+            group.append(row[3:])
+    if key and (out := done(key, group)):
+        yield out
+
+
 def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFrame:
     """Edges (u, v) between sets that connect exactly the sets that links connect."""
     rows = known.where("n > 0").select(F.explode("signatures").alias("sig"), "set", "n")
     shared = rows.groupBy("sig").agg(F.min("set").alias("lo"), F.max("set").alias("hi")).where("lo <> hi").select("sig")
     members = written(rows.join(shared, "sig").distinct(), "members")
+    removed()
+    sketches = written(known.where("n > 0").select("set", "sketch").join(members.select("set").distinct(), "set").dropDuplicates(["set"]), "sketches")
     degree = members.groupBy("set").agg(F.count(F.lit(1)).alias("degree"))
-    wanted = degree.select("set").join(known.groupBy("set").agg(F.min("doc_id").alias("doc_id")), "set")
-    held = written(sets_of(docs, wanted, words), "sets")
     ranked = members.join(degree, "set")
-    centres = ranked.groupBy("sig").agg(F.max(F.struct("degree", "set", "n")).alias("c"), F.count(F.lit(1)).alias("size")).select("sig", F.col("c.set").alias("u"), F.col("c.n").alias("m"), "size")
+    centres = ranked.groupBy("sig").agg(F.max(F.struct("degree", "set", "n")).alias("c")).select("sig", F.col("c.set").alias("u"), F.col("c.n").alias("m"))
     fits = (F.least("m", "n") * 100 >= F.greatest("m", "n") * percent) & (F.col("u") != F.col("set"))
-    star = members.join(centres, "sig").where(fits).select("u", F.col("set").alias("v")).distinct()
-    pairs = star.join(held.withColumnsRenamed({"set": "v", "shingles": "b"}), "v").join(held.withColumnsRenamed({"set": "u", "shingles": "a"}), "u")
+    star = members.join(centres, "sig").where(fits).select("u", "m", F.col("set").alias("v"), "n").distinct()
+    sketched = star.join(sketches.withColumnsRenamed({"set": "v", "sketch": "b"}), "v").join(sketches.withColumnsRenamed({"set": "u", "sketch": "a"}), "u")
 
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            good = [similar(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), percent) for x, y in zip(batch.column("a"), batch.column("b"), strict=True)]
+            good = [may_link(np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8), m, n, percent) for a, b, m, n in zip(*(batch.column(c).to_pylist() for c in "abmn"), strict=True)]
             yield batch.select(["u", "v"]).filter(pa.array(good, pa.bool_()))
 
-    first = written(pairs.select("u", "v", "a", "b").mapInArrow(verify, "u long, v long"), "star-links")
+    likely = written(sketched.select("u", "v", "m", "n", "a", "b").mapInArrow(prune, "u long, v long"), "star-pairs")
+    first = verified(docs, known, likely, percent, words)
     joined = components(first).withColumnsRenamed({"id": "set", "component_id": "root"})
     state = members.join(joined, "set", "left").select("sig", "set", "n", F.coalesce("root", "set").alias("root"))
     # a signature of two sets is settled; any other with several components is not
@@ -247,13 +301,48 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
     blocks = F.ceil(F.col("size") / F.lit(BLOCK)).cast("int")
     placed = state.join(unsettled.select("sig", blocks.alias("blocks")), "sig").withColumn("block", F.pmod(F.xxhash64("set"), F.col("blocks")).cast("int"))
     # a row for each pair of blocks that a member's block is part of
-    spread = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("sig", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "set", "root")
-    loaded = spread.join(held, "set").repartition("sig", "i", "j").sortWithinPartitions("sig", "i", "j", "block", "set")
+    spread = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("sig", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "set", "n", "root")
+    place = ["sig", "i", "j"]
+    loaded = spread.join(sketches, "set").repartition(*place).sortWithinPartitions(*place, "block", "set").select(*place, "block", "set", "n", "root", "sketch")
+    names = [*place, "block", "set", "root"]
+
+    def narrow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Members that may link to a member of another component."""
+
+        def done(key: tuple, group: list[tuple]) -> pa.RecordBatch | None:
+            a, b = [g for g in group if g[0] == key[1]], [g for g in group if g[0] == key[2]]
+            if not a or not b or len({g[3] for g in group}) < 2:
+                return None
+            size = min(len(g[4]) for g in group)
+            bits = lambda side: np.stack([folded(np.frombuffer(g[4], np.uint8), size) for g in side])
+            n = lambda side, k: np.array([g[k] for g in side], np.int64)
+            x, y = bits(a), bits(b)
+            hit_a, hit_b = np.zeros(len(a), bool), np.zeros(len(b), bool)
+            for at in range(len(a)):
+                total = n(a[at : at + 1], 2) + n(b, 2)
+                near = np.bitwise_count(x[at] ^ y).sum(1, dtype=np.int64) * (100 + percent) <= (100 - percent) * total
+                near &= n(b, 3) != a[at][3]
+                hit_a[at] = near.any()
+                hit_b |= near
+            keep = {g[1]: g for side, hit in ((a, hit_a), (b, hit_b)) for g, h in zip(side, hit.tolist(), strict=True) if h}
+            if not keep:
+                return None
+            rows = [(*key, g[0], g[1], g[3]) for g in keep.values()]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int64()), strict=True)], names)
+
+        yield from grouped(batches, done)
+
+    left = written(loaded.mapInArrow(narrow, "sig long, i int, j int, block int, set long, root long"), "open-members")
+    wanted = left.select("set").distinct().join(known.groupBy("set").agg(F.min("doc_id").alias("doc_id")), "set")
+    held = written(sets_of(docs, wanted, words), "sets")
+    whole = left.join(held, "set").repartition(*place).sortWithinPartitions(*place, "block", "set").select(*names, "shingles")
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def done(i: int, j: int, group: list[tuple]) -> pa.RecordBatch | None:
-            a, b = [g for g in group if g[0] == i], [g for g in group if g[0] == j]
-            if not a or not b or len({g[2] for g in group}) < 2:
+        """A spanning forest of the links between components in each pair of blocks."""
+
+        def done(key: tuple, group: list[tuple]) -> pa.RecordBatch | None:
+            a, b = [g for g in group if g[0] == key[1]], [g for g in group if g[0] == key[2]]
+            if not a or not b:
                 return None
             forest, roots = Forest(len(group)), {}
             place = {g[1]: k for k, g in enumerate(group)}
@@ -263,18 +352,10 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
             edges = [(a[p][1], b[q][1]) for p, q in zip(x.tolist(), y.tolist(), strict=True) if forest.join(place[a[p][1]], place[b[q][1]])]
             return pa.RecordBatch.from_arrays([pa.array([e[k] for e in edges], pa.int64()) for k in (0, 1)], ["u", "v"]) if edges else None
 
-        key, group = None, []
-        for batch in batches:
-            for sig, i, j, block, one, root, shingles in zip(*(batch.column(k).to_pylist() for k in range(7)), strict=True):
-                if (sig, i, j) != key:
-                    if key and (out := done(*key[1:], group)):
-                        yield out
-                    key, group = (sig, i, j), []
-                group.append((block, one, root, shingles))
-        if key and (out := done(*key[1:], group)):
-            yield out
-
-    second = written(loaded.select("sig", "i", "j", "block", "set", "root", "shingles").mapInArrow(settle, "u long, v long"), "block-links")
+        yield from grouped(batches, done)
+
+    second = written(whole.mapInArrow(settle, "u long, v long"), "block-links")
+    removed(members, sketches, likely, left, held)
     return first.unionByName(second)
 
 
@@ -286,6 +367,7 @@ def classes(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> Data
     table gives an empty result. Other columns of the input are ignored.
     """
     known = written(profiles(docs, percent, words), "profiles")
+    removed()
     roots = components(links(docs, known, percent, words)).withColumnsRenamed({"id": "set", "component_id": "root"})
     slim = known.select("doc_id", "n", "set").join(roots, "set", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("root", "set")).alias("root"))
     least = slim.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))

@@ -21,7 +21,6 @@ shuffle and in joins that the engine may split; no task gathers a group.
 
 from __future__ import annotations
 
-import gc
 import hashlib
 from collections.abc import Iterator
 
@@ -32,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cloudlattice.llm.suffix_runs import K, digests, runs
-from cloudlattice.llm.work import load, written
+from cloudlattice.llm.work import load, removed, written
 
 LENGTH = 400
 #: Positions in a part, round by round; every size divides the one before.
@@ -163,16 +162,18 @@ def covered(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     met = written(rows.join(known, ["anchor", "span"]).where("open or n > 1").select(*KEY, "first", "starts", "back", "anchor", F.col("n") > 1, forward & F.col("open"), weight), "met")
     met = met.toDF(*KEY, "first", "starts", "back", "anchor", "whole", "forward", "weight")
     ranges = [met.where("whole").select(*KEY, F.col("first").alias("start"), (F.col("first") + F.col("starts") - 1 + length).alias("end"))]
+    removed(rows, known)
     undecided = written(contents(docs, met.where("forward"), length), "undecided")
     for size in PARTS:
-        gc.collect()  # lets the engine drop shuffles of rounds that are over
         made = written(parts(undecided, size, length), "parts")
         rank, span = ["anchor", "part", "rank"], ["near", "far", "s1", "s2"]
         found = written(counted(made.select(*rank, *span, *KEY, "first", "weight"), rank, span), "ranks")
         state = made.join(found, [*rank, *span])
         ranges.append(written(state.where("n > 1 and weight = 1").select(*KEY, F.col("first").alias("start"), (F.col("first") + F.col("far") - F.col("near") + length).alias("end")), "ranges"))
+        removed(undecided)
         if size > 1:
             undecided = written(state.where(F.col("open") & forward).select(*KEY, "first", (F.col("far") - F.col("near") + 1).alias("starts"), "back", "anchor", weight, "bytes"), "undecided")
+        removed(made, found)
     out = ranges[0]
     for more in ranges[1:]:
         out = out.unionByName(more)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -38,13 +39,24 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     """Write ``df`` as a table in the shared work folder and read it back.
 
     Cuts the lineage, is computed once, and survives lost executors because every
-    reader goes to the shared files. Removed when the driver ends.
+    reader goes to the shared files. Removed when the driver ends, or by ``removed``.
     """
     spark = df.sparkSession
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.work_path = path
+    return out
+
+
+def removed(*tables: DataFrame) -> None:
+    """Delete written tables that no later step reads, and let the engine drop shuffles that nothing refers to."""
+    for table in tables:
+        _remove(table.sparkSession, table.work_path)
+    gc.collect()
+    if tables:
+        tables[0].sparkSession._jvm.System.gc()
 
 
 def word_count(text: Column) -> Column:
