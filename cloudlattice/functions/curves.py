@@ -7,10 +7,11 @@ Keys of lattice cells come in two layouts. ``raw`` uses the coordinates as they
 
 from __future__ import annotations
 
-from functools import lru_cache
+from functools import lru_cache, reduce
 from itertools import permutations, product
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -19,28 +20,31 @@ BITS = 21
 SPREAD = ((32, 0x1F00000000FFFF), (16, 0x1F0000FF0000FF), (8, 0x100F00F00F00F00F), (4, 0x10C30C30C30C30C3), (2, 0x1249249249249249))
 
 
-def spread(x: Column) -> Column:
-    for shift, mask in SPREAD:
-        x = x.bitwiseOR(F.shiftleft(x, shift)).bitwiseAND(F.lit(mask))
-    return x
-
+def morton_key(cell: list[Column], bits: int = BITS) -> Column:
+    """Bits of i, j and k in turn, i lowest, as one expression; for tables see ``with_morton``."""
+    terms = [F.shiftleft(F.shiftright(c, b).bitwiseAND(F.lit(1)), 3 * b + a) for b in range(bits) for a, c in enumerate(cell)]
+    return reduce(lambda x, y: x.bitwiseOR(y), terms)
 
-def gather(x: Column) -> Column:
-    x = x.bitwiseAND(F.lit(SPREAD[-1][1]))
-    masks = [m for _, m in SPREAD[-2::-1]] + [(1 << BITS) - 1]
-    for shift, mask in zip([s for s, _ in SPREAD[::-1]], masks, strict=True):
-        x = x.bitwiseOR(F.shiftrightunsigned(x, shift)).bitwiseAND(F.lit(mask))
-    return x
 
+def with_morton(df: DataFrame, cell: dict[str, Column], name: str = "key") -> DataFrame:
+    """Add the Z-order key of three coordinates.
 
-def morton_key(cell: list[Column]) -> Column:
-    """Bits of i, j and k in turn, i lowest."""
-    i, j, k = map(spread, cell)
-    return i.bitwiseOR(F.shiftleft(j, 1)).bitwiseOR(F.shiftleft(k, 2))
+    Every step of the spreading is a projection of its own: one expression of all
+    steps would repeat its parts until the generated code grew too large.
+    """
+    df = df.withColumns({f"_{a}": c.cast("long") for a, c in cell.items()})
+    for shift, mask in SPREAD:
+        df = df.withColumns({f"_{a}": F.col(f"_{a}").bitwiseOR(F.shiftleft(f"_{a}", shift)).bitwiseAND(F.lit(mask)) for a in cell})
+    i, j, k = (F.col(f"_{a}") for a in cell)
+    return df.withColumn(name, i.bitwiseOR(F.shiftleft(j, 1)).bitwiseOR(F.shiftleft(k, 2))).drop(*[f"_{a}" for a in cell])
 
 
-def morton_cell(key: Column) -> list[Column]:
-    return [gather(F.shiftrightunsigned(key, a)) for a in range(3)]
+def without_morton(df: DataFrame, key: Column) -> DataFrame:
+    """Add i, j, k of a Z-order key, step by step."""
+    df = df.withColumns({c: F.shiftrightunsigned(key, a).bitwiseAND(F.lit(SPREAD[-1][1])) for a, c in enumerate("ijk")})
+    for shift, mask in zip([s for s, _ in SPREAD[::-1]], [m for _, m in SPREAD[-2::-1]] + [(1 << BITS) - 1], strict=True):
+        df = df.withColumns({c: F.col(c).bitwiseOR(F.shiftrightunsigned(c, shift)).bitwiseAND(F.lit(mask)) for c in "ijk"})
+    return df
 
 
 def row_major_key(cell: list[Column], nx: int, ny: int) -> Column:
@@ -139,8 +143,6 @@ def hilbert_cells_numpy(key: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndar
 
 def hilbert_udf(bits: int):
     """Vectorised over Arrow batches; for cells, never for points."""
-    import pandas as pd
-
     @F.pandas_udf("long")
     def key(i: pd.Series, j: pd.Series, k: pd.Series) -> pd.Series:
         return pd.Series(hilbert_numpy(i.to_numpy(), j.to_numpy(), k.to_numpy(), bits))
@@ -166,18 +168,21 @@ def key_of(cell: list[Column], curve: str, extent: int, udf: bool = False) -> Co
 
 def attach(cells: DataFrame, curve: str, extent: int, layout: str = "packed", udf: bool = False) -> DataFrame:
     """Add ``key`` to a table of cells i, j, k (not negative)."""
-    cell = [F.col(c).cast("long") for c in ("i", "j", "k")]
-    if layout == "raw":
-        return cells.withColumn("key", key_of(cell, curve, extent, udf))
-    half = [F.shiftright(c, 1) for c in cell]
-    key = key_of(half, curve, (extent + 1) // 2, udf)
-    return cells.withColumn("key", F.shiftleft(key, 1).bitwiseOR(cell[0].bitwiseAND(F.lit(1))))
+    raw = layout == "raw"
+    place = {c: F.col(c).cast("long") if raw else F.shiftright(F.col(c).cast("long"), 1) for c in "ijk"}
+    if curve == "morton":
+        if max(1, (extent - 1).bit_length()) > BITS + (not raw):
+            raise ValueError("the cells do not fit a 63-bit key; use a larger bound")
+        keyed = with_morton(cells, place)
+    else:
+        held = cells.withColumns({f"_{c}": v for c, v in place.items()})
+        keyed = held.withColumn("key", key_of([F.col(f"_{c}") for c in "ijk"], curve, extent if raw else (extent + 1) // 2, udf)).drop("_i", "_j", "_k")
+    return keyed if raw else keyed.withColumn("key", F.shiftleft("key", 1).bitwiseOR(F.col("i").cast("long").bitwiseAND(F.lit(1))))
 
 
 def morton_unattach(keys: DataFrame, layout: str = "packed") -> DataFrame:
     """i, j, k of Z-order keys."""
     if layout == "raw":
-        return keys.withColumns(dict(zip(("i", "j", "k"), morton_cell(F.col("key")), strict=True)))
-    half = morton_cell(F.shiftright("key", 1))
+        return without_morton(keys, F.col("key"))
     bit = F.col("key").bitwiseAND(F.lit(1))
-    return keys.withColumns({c: h * 2 + bit for c, h in zip(("i", "j", "k"), half, strict=True)})
+    return without_morton(keys, F.shiftright("key", 1)).withColumns({c: F.col(c) * 2 + bit for c in "ijk"})

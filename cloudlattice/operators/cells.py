@@ -54,7 +54,8 @@ def residuals(keyed: DataFrame, chunk: Column | None = None, parts: int = 16) ->
     edges = ranged.groupBy("range").agg(F.max("key").alias("last"))
     carried = edges.withColumn("before", F.coalesce(F.lag("last").over(Window.orderBy("range")), F.lit(0)))  # at most ``parts`` rows
     within = Window.partitionBy("range").orderBy("key")
-    joined = ranged.join(F.broadcast(carried.select("range", "before")), "range")
+    # a left join: an inner one would push a null test of the key down through all the steps that make it
+    joined = ranged.join(F.broadcast(carried.select("range", "before")), "range", "left")
     return joined.withColumn("delta", F.col("key") - F.coalesce(F.lag("key").over(within), F.col("before"))).drop("range", "before")
 
 

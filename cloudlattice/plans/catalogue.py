@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from cloudlattice.plans import geometry
+from cloudlattice.plans import codecs, geometry, ordering, regions
 
-QUERIES = {**geometry.QUERIES}
-ORACLES = {**geometry.ORACLES}
+QUERIES = {**geometry.QUERIES, **ordering.QUERIES, **regions.QUERIES, **codecs.QUERIES}
+ORACLES = {**geometry.ORACLES, **ordering.ORACLES, **regions.ORACLES, **codecs.ORACLES}
