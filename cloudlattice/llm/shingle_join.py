@@ -41,7 +41,9 @@ PERCENT = 85
 GROWTH = 1.5
 #: Cost of a false candidate against a signature, and the share of common elements that it assumes.
 FALSE_COST, COMMON = 100.0, 0.5
-BLOCK = 128
+BLOCK = 1024
+#: Signatures are matched class by class, so that the disk holds the shuffles of one class at a time.
+PASSES = 4
 
 
 @lru_cache(4096)
@@ -273,12 +275,22 @@ def grouped(batches: Iterator[pa.RecordBatch], done) -> Iterator[pa.RecordBatch]
         yield out
 
 
+def _in_pass(k: int):
+    return lambda signature: F.pmod(signature, F.lit(PASSES)) == k
+
+
 def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFrame:
     """Edges (u, v) between sets that connect exactly the sets that links connect."""
-    rows = known.where("n > 0").select(F.explode("signatures").alias("sig"), "set", "n")
-    shared = rows.groupBy("sig").agg(F.min("set").alias("lo"), F.max("set").alias("hi")).where("lo <> hi").select("sig")
-    members = written(rows.join(shared, "sig").distinct(), "members")
-    removed()
+    found = []
+    for k in range(PASSES):
+        rows = known.where("n > 0").select(F.explode(F.filter("signatures", _in_pass(k))).alias("sig"), "set", "n")
+        shared = rows.groupBy("sig").agg(F.min("set").alias("lo"), F.max("set").alias("hi")).where("lo <> hi").select("sig")
+        found.append(written(rows.join(shared, "sig").distinct(), "members"))
+        del rows, shared
+        removed()
+    members = found[0]
+    for more in found[1:]:
+        members = members.unionByName(more)
     sketches = written(known.where("n > 0").select("set", "sketch").join(members.select("set").distinct(), "set").dropDuplicates(["set"]), "sketches")
     degree = members.groupBy("set").agg(F.count(F.lit(1)).alias("degree"))
     ranked = members.join(degree, "set")
@@ -355,7 +367,7 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
         yield from grouped(batches, done)
 
     second = written(whole.mapInArrow(settle, "u long, v long"), "block-links")
-    removed(members, sketches, likely, left, held)
+    removed(*found, sketches, likely, left, held)
     return first.unionByName(second)
 
 
