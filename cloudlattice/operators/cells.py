@@ -59,6 +59,17 @@ def residuals(keyed: DataFrame, chunk: Column | None = None, parts: int = 16) ->
     return joined.withColumn("delta", F.col("key") - F.coalesce(F.lag("key").over(within), F.col("before"))).drop("range", "before")
 
 
+def residuals_by(keyed: DataFrame, by: list[str], parts: int = 16) -> DataFrame:
+    """Global residuals of many sequences in one plan, each in its own key ranges with carried edges."""
+    span = keyed.groupBy(*by).agg((F.floor(F.max("key") / parts) + 1).alias("span"))
+    ranged = keyed.join(F.broadcast(span), by, "left").withColumn("range", F.floor(F.col("key") / F.col("span")))  # a row for each sequence
+    edges = ranged.groupBy(*by, "range").agg(F.max("key").alias("last"))
+    carried = edges.select(*by, "range", F.coalesce(F.lag("last").over(Window.partitionBy(*by).orderBy("range")), F.lit(0)).alias("before"))
+    within = Window.partitionBy(*by, "range").orderBy("key")
+    joined = ranged.join(F.broadcast(carried), [*by, "range"], "left")
+    return joined.withColumn("delta", F.col("key") - F.coalesce(F.lag("key").over(within), F.col("before"))).drop("range", "before", "span")
+
+
 def undelta(stream: DataFrame) -> DataFrame:
     """Keys again from the residuals of chunks (columns chunk, pos, delta)."""
     within = Window.partitionBy("chunk").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from cloudlattice.plans import codecs, geometry, ordering, regions
+from cloudlattice.plans import codecs, geometry, ordering, regions, statistics
 
-QUERIES = {**geometry.QUERIES, **ordering.QUERIES, **regions.QUERIES, **codecs.QUERIES}
-ORACLES = {**geometry.ORACLES, **ordering.ORACLES, **regions.ORACLES, **codecs.ORACLES}
+QUERIES = {**geometry.QUERIES, **ordering.QUERIES, **regions.QUERIES, **codecs.QUERIES, **statistics.QUERIES}
+ORACLES = {**geometry.ORACLES, **ordering.ORACLES, **regions.ORACLES, **codecs.ORACLES, **statistics.ORACLES}
