@@ -28,6 +28,7 @@ BLOCKS = 512
 MOST = 3.0
 WEIGHTS = (1.0, 2.0, 3.0)
 SEED = 17
+ADDED = ("size", "source_size", "target", "draws")
 
 
 def capped_targets(sizes: Sequence[float], weights: Sequence[float], total: float, most: float = MOST) -> list[float]:
@@ -107,12 +108,13 @@ def mix_documents(docs: DataFrame, weights: Sequence[float] = WEIGHTS, shards: i
 
     Result: the input's columns plus size, source_size, target and ``draws``, an array
     of (epoch, shard, words, place); place is the seeded key that orders rows inside
-    a shard. Null texts have size 0 and nothing is drawn from them; a null source is a
+    a shard. Input columns of these names are replaced. Null texts have size 0 and nothing is drawn from them; a null source is a
     source of its own, the last; repeated rows are drawn on their own; an empty table
     gives an empty result. Names of the input that start with ``_mix_`` are not allowed.
     """
     spark = docs.sparkSession
-    kept = docs.columns
+    kept = [c for c in docs.columns if c not in ADDED]
+    docs = docs.select(*kept)
     rows = docs.withColumn("_mix_size", word_count(F.col("text"))).withColumn("_mix_text", F.xxhash64("text"))
     rows = rows.withColumn("_mix_block", F.pmod(F.xxhash64(F.lit(seed), "doc_id", "_mix_text"), F.lit(blocks)).cast("int"))
     sums = rows.groupBy("source", "_mix_block").agg(F.sum("_mix_size").alias("words")).collect()  # sources x blocks numbers
@@ -145,11 +147,12 @@ def mixed(docs: DataFrame, **options) -> DataFrame:
     Repeats have the document's columns unchanged, and rows of one output shard are
     partitioned together and shuffled by the seeded place.
     """
-    got = mix_documents(docs, **options)
+    held = {c: f"_held_{c}" for c in ADDED if c in docs.columns}
+    got = mix_documents(docs.withColumnsRenamed(held), **options)
     shards = options.get("shards", SHARDS)
     repeats = got.withColumn("_mix_draw", F.explode("draws")).where(F.col("_mix_draw.words") * 2 >= F.col("size"))
     placed = repeats.repartition(max(shards, 1), F.col("_mix_draw.shard"), F.pmod(F.col("_mix_draw.place"), F.lit(64)))
-    return placed.sortWithinPartitions(F.col("_mix_draw.shard"), F.col("_mix_draw.place"), "doc_id").select(*docs.columns)
+    return placed.sortWithinPartitions(F.col("_mix_draw.shard"), F.col("_mix_draw.place"), "doc_id").select(*[F.col(held.get(c, c)).alias(c) for c in docs.columns])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -387,10 +387,13 @@ def classes(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> Data
 
 
 def representatives(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> DataFrame:
-    """One document of each class, the one of the smallest id, with the columns it came with."""
+    """One document of each class, the one of the smallest id, with the columns it came with.
+
+    Repeated rows of it count once. A row without an id stays, as nothing can name its class.
+    """
     keep = classes(docs, percent, words).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(keep, "doc_id", "left_semi")
-    return kept.dropDuplicates(["doc_id"])
+    kept = docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
+    return kept.unionByName(docs.where(F.col("doc_id").isNull()))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -41,8 +41,8 @@ KEY = ["doc_id", "text_hash"]
 
 
 def keyed(docs: DataFrame) -> DataFrame:
-    """Repeated ids with different texts stay apart by a hash of the text."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("text_hash"), "text")
+    """Repeated ids with different texts stay apart by a hash of the text; rows without an id are left out."""
+    return docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("text_hash"), "text")
 
 
 def _arrays(names: list[str], columns: list) -> pa.RecordBatch:
@@ -198,18 +198,19 @@ def remaining(data: bytes, spans: list[tuple[int, int]]) -> bytes:
     return b"".join([*kept, data[at:]])
 
 
-def with_ranges(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """The input's rows and columns with ``ranges``, an array of (start, end), null where nothing repeats.
+def with_ranges(docs: DataFrame, length: int = LENGTH, name: str = "ranges") -> DataFrame:
+    """The input's rows and columns with ``name``, an array of (start, end), null where nothing repeats.
 
     Texts are UTF-8 bytes; null is empty. A text of under ``length`` bytes has nothing to
     remove. Repeated rows are copies of one another. Long texts are read in pieces of
-    bounded size. An empty table gives an empty result; an input column named ``ranges``
-    or ``text_hash`` is replaced.
+    bounded size. A row without an id is neither changed nor compared. An empty table gives
+    an empty result; an input column called ``name`` is replaced.
     """
     found = covered(keyed(docs), length)
-    per_doc = found.distinct().groupBy(*KEY).agg(F.collect_list(F.struct("start", "end")).alias("ranges"))  # as many as the text is long
-    marked = docs.drop("ranges").withColumn("text_hash", F.hash("text")).withColumn("_id", F.col("doc_id").cast("long"))
-    return marked.join(per_doc.withColumnRenamed("doc_id", "_id"), ["_id", "text_hash"], "left").drop("_id", "text_hash")
+    per_doc = found.distinct().groupBy(*KEY).agg(F.collect_list(F.struct("start", "end")).alias(name))  # as many as the text is long
+    marked = docs.drop(name).withColumn("_dedup_hash", F.hash("text")).withColumn("_dedup_id", F.col("doc_id").cast("long"))
+    keys = ["_dedup_id", "_dedup_hash"]
+    return marked.join(per_doc.toDF(*keys, name), keys, "left").drop(*keys)
 
 
 def deduplicated(docs: DataFrame, length: int = LENGTH) -> DataFrame:
@@ -221,9 +222,10 @@ def deduplicated(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
         return pd.Series([t if r is None else remaining(t.encode(), merged([(x["start"], x["end"]) for x in r])).decode("utf-8", "ignore") for t, r in zip(texts, ranges, strict=True)], dtype=object)
 
-    out = with_ranges(docs, length).withColumn("text", F.when(F.col("ranges").isNull(), F.col("text")).otherwise(kept("text", "ranges")))
+    gone = F.col("_dedup_ranges")
+    out = with_ranges(docs, length, "_dedup_ranges").withColumn("text", F.when(gone.isNull(), F.col("text")).otherwise(kept("text", gone)))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("ranges").isNull(), F.col("n_chars")).otherwise(F.char_length("text").cast(docs.schema["n_chars"].dataType)))
+        out = out.withColumn("n_chars", F.when(gone.isNull(), F.col("n_chars")).otherwise(F.char_length("text").cast(docs.schema["n_chars"].dataType)))
     return out.select(*docs.columns)
 
 

@@ -179,12 +179,12 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     return train(*labelled(docs, labels))
 
 
-def score_documents(docs: DataFrame, model: Model) -> DataFrame:
-    """The input's rows and columns with ``toxicity``, a score from 0 to 1.
+def score_documents(docs: DataFrame, model: Model, name: str = "toxicity") -> DataFrame:
+    """The input's rows and columns with ``name``, a score from 0 to 1.
 
     Null and empty texts get the score of a document without windows; repeated rows
-    are scored alike; an empty table gives an empty result. An input column named
-    ``toxicity`` is replaced.
+    are scored alike; an empty table gives an empty result. An input column called
+    ``name`` is replaced.
     """
     held = docs.sparkSession.sparkContext.broadcast(model)  # two dictionaries of fixed size
 
@@ -194,12 +194,12 @@ def score_documents(docs: DataFrame, model: Model) -> DataFrame:
         for batch in texts:
             yield pd.Series(held.value.score(features(batch, toxic, ordinary)))
 
-    return docs.withColumn("toxicity", toxicity(F.col("text")))
+    return docs.withColumn(name, toxicity(F.col("text")))
 
 
 def kept(docs: DataFrame, labels: DataFrame, limit: float = LIMIT) -> DataFrame:
     """The documents whose score stays under ``limit``, with the columns they came with."""
-    return score_documents(docs, fit(docs, labels)).where(F.col("toxicity") < limit).select(*docs.columns)
+    return score_documents(docs, fit(docs, labels), "_toxicity_score").where(F.col("_toxicity_score") < limit).select(*docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -38,4 +38,4 @@ def cosine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def participants(vectors: DataFrame, *columns: str) -> DataFrame:
-    return vectors.where(usable(F.col("embedding"))).select(*columns, F.col("embedding").cast("array<double>").alias("v"))
+    return vectors.where(F.col("vec_id").isNotNull() & usable(F.col("embedding"))).select(*columns, F.col("embedding").cast("array<double>").alias("v"))
