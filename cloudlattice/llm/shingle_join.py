@@ -176,24 +176,49 @@ def batches_of(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
         at += len(held)
 
 
-def profiles(docs: DataFrame, percent: int, words: int) -> DataFrame:
-    """doc_id, n (distinct shingles), set (hash of the set), sketch, signatures."""
-    names = ["doc_id", "n", "set", "sketch", "signatures"]
+def profiles(docs: DataFrame, words: int) -> DataFrame:
+    """doc_id, n (distinct shingles), set (hash of the set), sketch."""
+    names = ["doc_id", "n", "set", "sketch"]
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, texts = batch.column(0), batch.column(1).to_pylist()
             for at, data in batches_of(texts):
+                sizes, digest, sets = described(*shingle_sets(data, words), len(data))
+                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array(sizes.astype(np.int32)), pa.array(digest), pa.array([parity_sketch(x) for x in sets], pa.binary())], names)
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(task, "doc_id long, n int, set long, sketch binary")
+
+
+def described(text: np.ndarray, shingle: np.ndarray, count: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """Size, hash and shingles of each of ``count`` sets laid end to end."""
+    sizes = np.bincount(text, minlength=count)
+    sets = np.split(shingle, np.cumsum(sizes)[:-1])
+    return sizes, np.array([xxhash.xxh3_64_intdigest(x.tobytes()) for x in sets], np.uint64).view(np.int64), sets
+
+
+def signature_rows(docs: DataFrame, percent: int, words: int, part: int) -> DataFrame:
+    """sig, set, n: the signatures of one of ``PASSES`` classes.
+
+    Texts are read again for each class, which costs less than keeping all signatures.
+    """
+    names = ["sig", "set", "n"]
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, data in batches_of(batch.column(0).to_pylist()):
                 text, shingle = shingle_sets(data, words)
-                sizes = np.bincount(text, minlength=len(data))
-                edge = np.concatenate([[0], np.cumsum(sizes)])
-                digest = np.array([xxhash.xxh3_64_intdigest(shingle[a:b].tobytes()) for a, b in zip(edge[:-1], edge[1:], strict=True)], np.uint64).view(np.int64)
+                sizes, digest, _ = described(text, shingle, len(data))
                 who, sig = signatures(text, shingle, sizes, percent)
-                order = np.argsort(who, kind="stable")
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(np.bincount(who, minlength=len(data)))]).astype(np.int32)), pa.array(sig[order].view(np.int64)))
-                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array(sizes.astype(np.int32)), pa.array(digest), pa.array([parity_sketch(shingle[a:b]) for a, b in zip(edge[:-1], edge[1:], strict=True)], pa.binary()), lists], names)
+                mine = sig % np.uint64(PASSES) == part
+                who, sig = who[mine], sig[mine]
+                order = np.argsort(who, kind="stable")  # a set's rows together compress well
+                who, sig = who[order], sig[order]
+                for start in range(0, len(who), 1 << 17):
+                    w = who[start : start + (1 << 17)]
+                    yield pa.RecordBatch.from_arrays([pa.array(sig[start : start + (1 << 17)].view(np.int64)), pa.array(digest[w]), pa.array(sizes[w].astype(np.int32))], names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(task, "doc_id long, n int, set long, sketch binary, signatures array<long>")
+    return docs.select(F.col("text").cast("string").alias("text")).mapInArrow(task, "sig long, set long, n int")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
@@ -275,19 +300,15 @@ def grouped(batches: Iterator[pa.RecordBatch], done) -> Iterator[pa.RecordBatch]
         yield out
 
 
-def _in_pass(k: int):
-    return lambda signature: F.pmod(signature, F.lit(PASSES)) == k
-
-
 def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFrame:
     """Edges (u, v) between sets that connect exactly the sets that links connect."""
     found = []
     for k in range(PASSES):
-        rows = known.where("n > 0").select(F.explode(F.filter("signatures", _in_pass(k))).alias("sig"), "set", "n")
+        rows = written(signature_rows(docs, percent, words, k), "signatures")
         shared = rows.groupBy("sig").agg(F.min("set").alias("lo"), F.max("set").alias("hi")).where("lo <> hi").select("sig")
         found.append(written(rows.join(shared, "sig").distinct(), "members"))
-        del rows, shared
-        removed()
+        del shared
+        removed(rows)
     members = found[0]
     for more in found[1:]:
         members = members.unionByName(more)
@@ -378,7 +399,7 @@ def classes(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> Data
     Texts of equal sets are one class from the start; repeated rows are such. An empty
     table gives an empty result. Other columns of the input are ignored.
     """
-    known = written(profiles(docs, percent, words), "profiles")
+    known = written(profiles(docs, words), "profiles")
     removed()
     roots = components(links(docs, known, percent, words)).withColumnsRenamed({"id": "set", "component_id": "root"})
     slim = known.select("doc_id", "n", "set").join(roots, "set", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("root", "set")).alias("root"))
