@@ -4,11 +4,18 @@ Unit vectors are cut into subspaces of ``SUB`` dimensions with 16 codewords each
 loss of a codeword penalises the part of the residual along the vector more than
 the part across it, because for large inner products only the first changes the
 score. Codes of four bits are scanned with look-up tables, two subspaces to a
-table of 256 entries; each scan keeps the best ``SHORTLIST`` rows of a query, the
-best ``SHORTLIST`` of all scans are reranked exactly on the original vectors.
-
-The codebook is fitted on a bounded sample; every row is indexed. Queries and rows
-meet in blocks: a query block and a row block make one scan.
+table of 256 entries. The best ``SHORTLIST`` guesses of a scan are scored on the
+vectors, which gives a score that the block surely reaches; every row whose guess
+does not prove it to be below that score is then reranked, so no number of copies
+or near copies cuts the answer.
+
+A row keeps how long the parts of its residual along and across its vector are.
+For a score of s the guess is at least ``s (1 - along) - sqrt(1 - s^2) across``, by
+splitting the query into the parts along and across the vector.
+
+A codebook is fitted on a bounded sample for each vector length; every row is
+indexed. Queries and rows of one length meet in blocks: a query block and a row
+block make one scan.
 """
 
 from __future__ import annotations
@@ -20,8 +27,9 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import FloatType
 
-from cloudlattice.llm.vectors import cosine, matrix, norms, participants
+from cloudlattice.llm.vectors import by_width, cosine, matrix, norms, participants, widths
 from cloudlattice.llm.work import load, partitions_for, written
 
 SUB = 2
@@ -31,6 +39,7 @@ FIT_ROWS = 10_000
 ROUNDS = 8
 ROW_BLOCK = 16_384
 QUERY_BLOCK = 512
+#: Rows of a block scored first; it steers the work only, never the result.
 SHORTLIST = 320
 TOP = 5
 
@@ -95,6 +104,12 @@ class Quantiser:
                 total = rest + along[:, s]
         return self
 
+    def residuals(self, x: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Of each row: the residual's part along the vector, signed, and the length of its part across."""
+        e = x - self.books[np.arange(codes.shape[1]), codes].reshape(len(x), -1)[:, : self.width]
+        along = np.einsum("ij,ij->i", x, e)
+        return along, norms(e - along[:, None] * x)
+
     def tables(self, q: np.ndarray) -> np.ndarray:
         """(queries, pairs, 256): inner products of a query with both codewords of a byte."""
         each = np.einsum("qsk,swk->qsw", self.cut(q), self.books)
@@ -114,87 +129,104 @@ def scan(tables: np.ndarray, codes: np.ndarray) -> np.ndarray:
     return score
 
 
+def nearest(own: int, q: np.ndarray, guess: np.ndarray, ids: np.ndarray, unit: np.ndarray, v: np.ndarray, along: np.ndarray, across: np.ndarray, top: int, shortlist: int) -> tuple[np.ndarray, np.ndarray]:
+    """Row numbers and scores of a block's ``top`` rows for one query, by falling score, then id.
+
+    ``unit``: the rows as unit vectors in single precision; ``v``: the rows themselves.
+    """
+    margin = 1e-5 + 2e-7 * len(q)  # above the rounding of single precision
+    other, one = ids != own, (q / np.sqrt(q @ q)).astype(np.float32)
+    may = other
+    if other.sum() > max(top, shortlist):
+        first = np.argpartition(np.where(other, -guess, np.inf), shortlist - 1)[:shortlist]
+        reached = float(np.partition(unit[first] @ one, -top)[-top]) - margin
+        if reached > 0:
+            kept = 1 - along
+            may = other & (guess >= np.minimum(kept, kept * reached) - np.sqrt(max(0.0, 1 - reached**2)) * across - margin)
+    at = np.flatnonzero(may)
+    quick = unit[at] @ one if 8 * len(at) < len(ids) else (unit @ one)[at]
+    if len(at) > top:
+        at = at[quick >= np.partition(quick, -top)[-top] - 2 * margin]
+    score = cosine(np.broadcast_to(q, (len(at), len(q))), v[at])
+    order = np.lexsort((ids[at], -score))[:top]
+    return at[order], score[order]
+
+
 def search(vectors: DataFrame, is_query: Column, top: int = TOP, shortlist: int = SHORTLIST) -> DataFrame:
     """query_id, rank, vec_id, score: each query's nearest rows by cosine, itself not among them.
 
-    Rows whose vector is null, zero, of another width than the sample's widest, or
-    holds null or non-finite components neither ask nor answer. Ties go to the smaller
-    vec_id. An empty table gives an empty result.
+    Rows whose vector is null, zero, or holds null or non-finite components neither ask
+    nor answer; a vector is compared with all others of its length. Ties go to the
+    smaller vec_id. An empty table gives an empty result.
     """
     spark = vectors.sparkSession
     rows = participants(vectors, "vec_id")
-    sample = rows.select("v").orderBy(F.xxhash64("v"), "vec_id").limit(FIT_ROWS).collect()
-    if not sample:
+    models = {}
+    for width in widths(rows):
+        sample = rows.where(F.size("v") == width).select("v").orderBy(F.xxhash64("v"), "vec_id").limit(FIT_ROWS).collect()
+        x = np.array([r[0] for r in sample])
+        models[width] = Quantiser.fit(x / norms(x)[:, None])
+    if not models:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    width = max(len(r[0]) for r in sample)
-    x = np.array([r[0] for r in sample if len(r[0]) == width])
-    model = spark.sparkContext.broadcast(Quantiser.fit(x / norms(x)[:, None]))  # of fixed size
-    rows = rows.where(F.size("v") == width)
+    model = spark.sparkContext.broadcast(models)  # of fixed size for a length
     parts = partitions_for(spark)
+    kind = np.float32 if isinstance(vectors.schema["embedding"].dataType.elementType, FloatType) else np.float64
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        number, ids, codes = TaskContext.get().partitionId() << 32, [], []
+        number, held = TaskContext.get().partitionId() << 32, {}
 
-        def row() -> pa.RecordBatch:
-            nonlocal number, ids, codes
-            out = pa.RecordBatch.from_arrays([pa.array([number]), pa.array([np.concatenate(ids).tobytes()]), pa.array([np.ascontiguousarray(np.concatenate(codes).T).tobytes()])], ["rows", "ids", "codes"])
-            number, ids, codes = number + 1, [], []
+        def row(width: int) -> pa.RecordBatch:
+            nonlocal number
+            ids, codes, along, across, v = (np.concatenate(c) for c in zip(*held.pop(width), strict=True))
+            out = pa.RecordBatch.from_arrays([pa.array([number]), pa.array([width]), *(pa.array([c.tobytes()]) for c in (ids, np.ascontiguousarray(codes.T), along, across, v))], ["rows", "width", "ids", "codes", "along", "across", "vectors"])
+            number += 1
             return out
 
-        for batch in batches:
-            v = matrix(batch.column("v"))
-            ids.append(batch.column("vec_id").to_numpy())
-            codes.append(packed(model.value.encode(v / norms(v)[:, None])))
-            if sum(map(len, ids)) >= ROW_BLOCK:
-                yield row()
-        if ids:
-            yield row()
+        for whole in batches:
+            for width, batch in by_width(whole):
+                v, book = matrix(batch.column("v")), model.value[width]
+                x = v / norms(v)[:, None]
+                codes = book.encode(x)
+                held.setdefault(width, []).append((batch.column("vec_id").to_numpy(), packed(codes), *(c.astype(np.float32) for c in book.residuals(x, codes)), v.astype(kind)))
+                if sum(len(h[0]) for h in held[width]) >= ROW_BLOCK:
+                    yield row(width)
+        for width in list(held):
+            yield row(width)
 
     def asked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number = TaskContext.get().partitionId() << 32
-        for batch in batches:
-            v, ids = matrix(batch.column("v")), batch.column("vec_id").to_numpy()
-            for at in range(0, len(ids), QUERY_BLOCK):
-                yield pa.RecordBatch.from_arrays([pa.array([number]), pa.array([ids[at : at + QUERY_BLOCK].tobytes()]), pa.array([v[at : at + QUERY_BLOCK].tobytes()])], ["asks", "query_ids", "queries"])
-                number += 1
-
-    index = written(rows.mapInArrow(encoded, "rows long, ids binary, codes binary"), "ann-index")
-    queries = written(rows.where(is_query).coalesce(max(1, parts // 2)).mapInArrow(asked, "asks long, query_ids binary, queries binary"), "ann-queries")
-    # every query block meets every row block: the stated query set against all rows, in blocks
-    asks = queries.select("asks", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("lane"))
-    meet = index.select("rows", F.pmod(F.xxhash64("rows"), F.lit(parts)).cast("int").alias("lane")).join(asks, "lane").select("rows", "asks").repartition(parts, "rows", "asks")
-    scans = meet.join(index, "rows").join(queries, "asks")
+        for whole in batches:
+            for width, batch in by_width(whole):
+                v, ids = matrix(batch.column("v")), batch.column("vec_id").to_numpy()
+                for at in range(0, len(ids), QUERY_BLOCK):
+                    yield pa.RecordBatch.from_arrays([pa.array([number]), pa.array([width]), pa.array([ids[at : at + QUERY_BLOCK].tobytes()]), pa.array([v[at : at + QUERY_BLOCK].tobytes()])], ["asks", "width", "query_ids", "queries"])
+                    number += 1
+
+    index = written(rows.mapInArrow(encoded, "rows long, width long, ids binary, codes binary, along binary, across binary, vectors binary"), "ann-index")
+    queries = written(rows.where(is_query).coalesce(max(1, parts // 2)).mapInArrow(asked, "asks long, width long, query_ids binary, queries binary"), "ann-queries")
+    # every query block meets every row block of its length: the stated query set against all rows, in blocks
+    asks = queries.select("asks", "width", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("lane"))
+    meet = index.select("rows", "width", F.pmod(F.xxhash64("rows"), F.lit(parts)).cast("int").alias("lane")).join(asks, ["lane", "width"]).select("rows", "asks").repartition(parts, "rows", "asks")
+    scans = meet.join(index, "rows").join(queries.drop("width"), "asks")
 
     def scanned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for r in batch.to_pylist():
+            for at in range(batch.num_rows):
+                r = batch.slice(at, 1).to_pylist()[0]
                 ids, asked_ids = np.frombuffer(r["ids"], np.int64), np.frombuffer(r["query_ids"], np.int64)
                 codes = np.frombuffer(r["codes"], np.uint8).reshape(-1, len(ids))
-                q = np.frombuffer(r["queries"]).reshape(len(asked_ids), -1)
-                tables = model.value.tables(q / norms(q)[:, None])
+                along, across = (np.frombuffer(r[c], np.float32) for c in ("along", "across"))
+                v, q = np.frombuffer(r["vectors"], kind).reshape(len(ids), -1).astype(np.float64), np.frombuffer(r["queries"]).reshape(len(asked_ids), -1)
+                unit = (v / norms(v)[:, None]).astype(np.float32)
+                tables = model.value[r["width"]].tables(q / norms(q)[:, None])
                 out = [[], [], []]
                 for k, own in enumerate(asked_ids):
-                    score = scan(tables[k], codes)
-                    score[ids == own] = -np.inf
-                    most = min(shortlist, len(ids))
-                    best = np.argpartition(-score, most - 1)[:most]
-                    best = best[ids[best] != own]
-                    out[0].append(np.full(len(best), own))
-                    out[1].append(ids[best])
-                    out[2].append(score[best])
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o)) for o in out], ["query_id", "vec_id", "guess"])
-
-    guesses = scans.mapInArrow(scanned, "query_id long, vec_id long, guess float")
-    by_guess = Window.partitionBy("query_id").orderBy(F.desc("guess"), "vec_id")
-    short = guesses.withColumn("n", F.row_number().over(by_guess)).where(F.col("n") <= shortlist).select("query_id", "vec_id")
-    found = short.join(rows, "vec_id").join(rows.select(F.col("vec_id").alias("query_id"), F.col("v").alias("q")), "query_id")
-
-    def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                yield pa.RecordBatch.from_arrays([batch.column("query_id"), batch.column("vec_id"), pa.array(cosine(matrix(batch.column("q")), matrix(batch.column("v"))))], ["query_id", "vec_id", "score"])
+                    best, score = nearest(own, q[k], scan(tables[k], codes), ids, unit, v, along, across, top, shortlist)
+                    for held, new in zip(out, (np.full(len(best), own), ids[best], score), strict=True):
+                        held.append(new)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o)) for o in out], ["query_id", "vec_id", "score"])
 
-    scored = found.select("query_id", "vec_id", "q", "v").mapInArrow(exact, "query_id long, vec_id long, score double")
+    scored = scans.mapInArrow(scanned, "query_id long, vec_id long, score double")
     by_score = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return scored.withColumn("rank", F.row_number().over(by_score)).where(F.col("rank") <= top).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 

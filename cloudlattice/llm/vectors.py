@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -23,6 +26,18 @@ def matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 0)
 
 
+def widths(vectors: DataFrame) -> list[int]:
+    """The lengths of the vectors ``v``, by a count over all rows."""
+    return sorted(r[0] for r in vectors.groupBy(F.size("v").alias("width")).count().collect())
+
+
+def by_width(batch: pa.RecordBatch) -> Iterator[tuple[int, pa.RecordBatch]]:
+    """The parts of a batch whose vectors ``v`` have one length, rows in order."""
+    sizes = pc.list_value_length(batch.column("v"))
+    for width in sorted(pc.unique(sizes).to_pylist()):
+        yield width, batch.filter(pc.equal(sizes, width))
+
+
 def norms(x: np.ndarray) -> np.ndarray:
     return np.sqrt(np.einsum("ij,ij->i", x, x))
 
