@@ -1,8 +1,8 @@
 """Embedding near-duplicates by an epsilon grid order join.
 
 A cosine of at least ``limit`` is a distance of at most ``eps = sqrt(2 - 2 limit)``
-between unit vectors. Vectors are turned to principal axes, sorted by label and by
-the cells of side ``eps`` on the leading axes, and cut into sequence blocks of
+between unit vectors. Vectors are turned to the principal axes of their length, sorted
+by label, length and the cells of side ``eps`` on the leading axes, and cut into sequence blocks of
 bounded size. Block pairs of one label whose cells on the first two axes are
 adjacent and whose bounding boxes are within ``eps`` are joined recursively: both
 intervals are halved, pairs of halves that are provably farther apart are skipped,
@@ -25,28 +25,29 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cloudlattice.llm.graph import Forest, components
-from cloudlattice.llm.vectors import cosine, matrix, norms, participants
+from cloudlattice.llm.vectors import by_width, cosine, matrix, norms, participants, widths
 from cloudlattice.llm.work import load, partitions_for, written
 
 LIMIT = 0.98
 BLOCK = 1024
 LEAF = 128
 AXES = 8
+#: Axes on which the cells of two blocks have to be adjacent.
+BOX_AXES = 2
 #: Vectors from which the axes are fitted; they steer the order only, never the result.
 AXES_SAMPLE = 10_000
 BLOCK_SCHEMA = "block long, label int, lo array<double>, hi array<double>, reps binary, copies binary, vectors binary, width int"
 
 
-def principal_axes(vectors: DataFrame, sample: int = AXES_SAMPLE) -> np.ndarray:
-    """Orthonormal axes by falling variance, from the vectors of the smallest hash."""
-    rows = vectors.select("v").orderBy(F.xxhash64("v")).limit(sample).collect()
-    if not rows:
-        return np.zeros((0, 0))
-    width = max(len(r[0]) for r in rows)
-    x = np.array([r[0] for r in rows if len(r[0]) == width])
-    x = x / norms(x)[:, None]
-    _, axes = np.linalg.eigh(np.cov(x.T, bias=True).reshape(width, width))
-    return axes[:, ::-1].copy()
+def principal_axes(vectors: DataFrame, sample: int = AXES_SAMPLE) -> dict[int, np.ndarray]:
+    """Orthonormal axes by falling variance for each vector length, from its vectors of the smallest hash."""
+    axes = {}
+    for width in widths(vectors):
+        rows = vectors.where(F.size("v") == width).select("v").orderBy(F.xxhash64("v")).limit(sample).collect()
+        x = np.array([r[0] for r in rows])
+        x = x / norms(x)[:, None]
+        axes[width] = np.linalg.eigh(np.cov(x.T, bias=True).reshape(width, width))[1][:, ::-1].copy()
+    return axes
 
 
 def box_gap(a: np.ndarray, b: np.ndarray) -> float:
@@ -89,19 +90,18 @@ def link_table(vectors: DataFrame, limit: float = LIMIT, block: int = BLOCK) ->
     """
     spark, eps = vectors.sparkSession, math.sqrt(max(0.0, 2 - 2 * limit)) + 1e-6
     axes = principal_axes(vectors)
-    width = axes.shape[0]
-    lead = axes[:, :AXES]
 
     def cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            v = matrix(batch.column("v"))
-            unit = v / norms(v)[:, None]
-            at = np.floor(unit @ lead / eps).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("label"), batch.column("copies"), batch.column("v"), pa.array(list(at), pa.list_(pa.int32()))], ["rep", "label", "copies", "v", "cell"])
-
-    sized = vectors.where(F.size("v") == width)
-    order = ["label", *(F.col("cell")[k] for k in range(min(AXES, max(width, 1)))), "rep"]
-    ordered = sized.mapInArrow(cells, "rep long, label int, copies long, v array<double>, cell array<int>")
+        for whole in batches:
+            for width, batch in by_width(whole):
+                v = matrix(batch.column("v"))
+                unit = v / norms(v)[:, None]
+                at = np.floor(unit @ axes[width][:, :AXES] / eps).astype(np.int32)
+                at = np.pad(at, ((0, 0), (0, AXES - at.shape[1])))
+                yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("label"), batch.column("copies"), batch.column("v"), pa.array(list(at), pa.list_(pa.int32())), pa.array(np.full(len(v), width, np.int32))], ["rep", "label", "copies", "v", "cell", "width"])
+
+    order = ["label", "width", *(F.col("cell")[k] for k in range(AXES)), "rep"]
+    ordered = vectors.mapInArrow(cells, "rep long, label int, copies long, v array<double>, cell array<int>, width int")
     ordered = written(ordered, "grid-cells")
     ordered = ordered.repartitionByRange(partitions_for(spark), *order).sortWithinPartitions(*order)
 
@@ -112,42 +112,44 @@ def link_table(vectors: DataFrame, limit: float = LIMIT, block: int = BLOCK) ->
         def row() -> pa.RecordBatch:
             nonlocal number
             reps, copies, v = (np.concatenate([h[k] for h in held]) for k in (1, 2, 3))
-            at = (v / norms(v)[:, None]) @ axes
-            out = pa.RecordBatch.from_pylist([{"block": number, "label": int(held[0][0]), "lo": at.min(0).tolist(), "hi": at.max(0).tolist(), "reps": reps.tobytes(), "copies": copies.tobytes(), "vectors": v.tobytes(), "width": v.shape[1]}], schema)
+            at = (v / norms(v)[:, None]) @ axes[v.shape[1]]
+            at = np.pad(at, ((0, 0), (0, max(0, BOX_AXES - at.shape[1]))))
+            out = pa.RecordBatch.from_pylist([{"block": number, "label": held[0][0][0], "lo": at.min(0).tolist(), "hi": at.max(0).tolist(), "reps": reps.tobytes(), "copies": copies.tobytes(), "vectors": v.tobytes(), "width": v.shape[1]}], schema)
             number += 1
             held.clear()
             return out
 
         schema = pa.schema([("block", pa.int64()), ("label", pa.int32()), ("lo", pa.list_(pa.float64())), ("hi", pa.list_(pa.float64())), ("reps", pa.binary()), ("copies", pa.binary()), ("vectors", pa.binary()), ("width", pa.int32())])
         for batch in batches:
-            labels, reps, copies, v = batch.column("label").to_numpy(), batch.column("rep").to_numpy(), batch.column("copies").to_numpy(), matrix(batch.column("v"))
+            labels, sizes, reps, copies = (batch.column(c).to_numpy() for c in ("label", "width", "rep", "copies"))
             start = 0
             while start < len(labels):
-                run = start + int(np.searchsorted(labels[start:], labels[start], "right"))
-                if held and held[0][0] != labels[start]:
+                kind = int(labels[start]), int(sizes[start])
+                run = start + int(np.searchsorted(labels[start:], kind[0], "right"))
+                run = start + int(np.searchsorted(sizes[start:run], kind[1], "right"))
+                if held and held[0][0] != kind:
                     yield row()
                 stop = min(run, start + block - sum(len(h[1]) for h in held))
-                held.append((labels[start], reps[start:stop], copies[start:stop], v[start:stop]))
+                held.append((kind, reps[start:stop], copies[start:stop], matrix(batch.column("v").slice(start, stop - start))))
                 if sum(len(h[1]) for h in held) == block:
                     yield row()
                 start = stop
         if held:
             yield row()
 
-    blocks = written(ordered.select("rep", "label", "copies", "v").mapInArrow(cut, BLOCK_SCHEMA), "grid-blocks")
-    two = min(2, width)
+    blocks = written(ordered.select("rep", "label", "width", "copies", "v").mapInArrow(cut, BLOCK_SCHEMA), "grid-blocks")
     cell = lambda bound, k, by: F.floor((F.col(bound)[k] + F.lit(by * eps)) / F.lit(eps))
 
     def spread(df: DataFrame, by: int) -> DataFrame:
-        for k in range(two):
+        for k in range(BOX_AXES):
             df = df.withColumn(f"c{k}", F.explode(F.sequence(cell("lo", k, -by), cell("hi", k, by))))
         return df
 
-    boxes = blocks.select("block", "label", "lo", "hi")
+    boxes = blocks.select("block", "label", "width", "lo", "hi")
     other = boxes.withColumnsRenamed({"block": "block_b", "lo": "lo_b", "hi": "hi_b"})
     gap = F.zip_with(F.zip_with("lo", "hi_b", lambda x, y: x - y), F.zip_with("lo_b", "hi", lambda x, y: x - y), lambda x, y: F.greatest(x, y, F.lit(0.0)))
     pairs = (
-        spread(boxes, 1).join(spread(other.withColumnsRenamed({"lo_b": "lo", "hi_b": "hi"}), 0).withColumnsRenamed({"lo": "lo_b", "hi": "hi_b"}), ["label", *(f"c{k}" for k in range(two))])
+        spread(boxes, 1).join(spread(other.withColumnsRenamed({"lo_b": "lo", "hi_b": "hi"}), 0).withColumnsRenamed({"lo": "lo_b", "hi": "hi_b"}), ["label", "width", *(f"c{k}" for k in range(BOX_AXES))])
         .where("block <= block_b")
         .where(F.aggregate(gap, F.lit(0.0), lambda s, x: s + x * x) <= F.lit(eps * eps))
         .select(F.col("block").alias("a"), F.col("block_b").alias("b"))
@@ -162,7 +164,7 @@ def link_table(vectors: DataFrame, limit: float = LIMIT, block: int = BLOCK) ->
                 ra, rb = (np.frombuffer(r[f"reps_{s}"], np.int64) for s in "ab")
                 ca, cb = (np.frombuffer(r[f"copies_{s}"], np.int64) for s in "ab")
                 a, b = (np.frombuffer(r[f"vectors_{s}"]).reshape(len(x), -1) for s, x in (("a", ra), ("b", rb)))
-                ua, ub = (x / norms(x)[:, None] @ axes for x in (a, b))
+                ua, ub = (x / norms(x)[:, None] @ axes[x.shape[1]] for x in (a, b))
                 same = r["a"] == r["b"]
                 na, nb, forest, edges = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64), Forest(len(a) + (0 if same else len(b))), []
                 shift = 0 if same else len(a)
@@ -183,9 +185,9 @@ def link_table(vectors: DataFrame, limit: float = LIMIT, block: int = BLOCK) ->
 def near_duplicates(table: DataFrame, limit: float = LIMIT) -> DataFrame:
     """One row per vector: vec_id, n_links, component_id, kept.
 
-    Only vectors with one and the same label, not null, are compared. Vectors that are
-    null, zero, of another width than most, or hold null or non-finite components
-    have no links and are their own component. Repeated rows count as copies.
+    Only vectors with one and the same label, not null, and of one length are compared.
+    Vectors that are null, zero, or hold null or non-finite components have no links and
+    are their own component. Repeated rows count as copies.
     """
     usable = participants(table.where(F.col("label").isNotNull()), "vec_id", F.col("label").cast("int").alias("label"))
     copies = usable.groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"))

@@ -3,7 +3,7 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from cloudlattice.llm import ann
+from cloudlattice.llm import ann, grid_join
 
 
 def by_hand(rows, query, top=5):
@@ -34,3 +34,15 @@ def test_search_among_thousands_of_copies(spark):
     got = nearest(spark, rows, queries)
     assert got[2999] == [0, 1, 2, 3, 4]
     assert got == {q: by_hand(rows, q) for q in queries}
+
+
+def test_vectors_of_several_lengths(spark):
+    rng = np.random.default_rng(6)
+    rows = [(k, rng.normal(size=8)) for k in range(40)] + [(k, rng.normal(size=3)) for k in range(40, 60)] + [(60, rng.normal(size=20)), (61, [2.0]), (62, [3.0])]
+    rows += [(100 + i, np.asarray(v) * 1.5 + 1e-4) for i, v in rows]
+    queries = [0, 41, 60, 61, 100]
+    assert nearest(spark, rows, queries) == {q: by_hand(rows, q) for q in queries}
+    table = spark.createDataFrame([(i, [float(c) for c in v], 1) for i, v in rows], "vec_id long, embedding array<float>, label int")
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in grid_join.near_duplicates(table, 0.9999).collect()}
+    assert {i: c for i, (_, c) in got.items()} == {i: 61 if i in (61, 62, 161, 162) else i % 100 for i, _ in rows}
+    assert {i: n for i, (n, _) in got.items()} == {i: 3 if i in (61, 62, 161, 162) else 1 for i, _ in rows}
