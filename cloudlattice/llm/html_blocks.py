@@ -9,6 +9,7 @@ from dataclasses import dataclass
 # fixed values: HTML element kinds
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 SILENT = frozenset("script style template noscript iframe object svg math canvas audio video select textarea button datalist head title".split())
+HEAD = frozenset("base basefont bgsound head html link meta noframes noscript script style template title".split())
 RAW = frozenset("script style textarea title".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
@@ -73,6 +74,8 @@ def blocks(page: str | None) -> list[Block]:
     while at < n:
         found = MARKUP.search(page, at)
         start = found.start() if found else n
+        if start > at and silent and stack[-1][0] == "head" and html.unescape(page[at:start]).strip():
+            pop_to(len(stack) - 1)
         if start > at and not silent:
             piece = html.unescape(page[at:start])
             text.append(piece)
@@ -91,6 +94,8 @@ def blocks(page: str | None) -> list[Block]:
             elif tag == "p":
                 flush()
             continue
+        if tag not in HEAD and stack and stack[-1][0] == "head":
+            pop_to(len(stack) - 1)
         if tag in VOID:
             if tag in INLINE:
                 if not silent and tag in ("br", "img", "wbr"):

@@ -34,7 +34,7 @@ def inputs(block: Block) -> tuple[list[int], list[int], list[int], list[float]]:
     words = block.text.lower().split()
     n = len(block.text)
     marks = sum(block.text.count(c) for c in ".,;:!?")
-    measures = [math.log1p(n) / 8, math.log1p(len(words)) / 6, block.linked / max(n, 1), min(marks / max(len(words), 1), 1.0), float(block.text[-1:] in ".!?:\"'”»"), sum(c.isdigit() for c in block.text[:200]) / max(min(n, 200), 1)]
+    measures = [math.log1p(n) / 8, math.log1p(len(words)) / 6, block.linked / max(n, 1), min(marks / max(len(words), 1), 1.0), float(block.text[-1:] in ".!?:\"'”»"), sum(map(str.isdigit, block.text)) / max(n, 1)]
     return [slot(p, PATH_ROWS) for p in block.path], [slot(f"<{p}", PATH_ROWS) for p in block.path[-3:]], [slot(w, WORD_ROWS) for w in words], measures
 
 

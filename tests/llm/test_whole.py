@@ -3,7 +3,7 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from cloudlattice.llm import ann, grid_join
+from cloudlattice.llm import ann, grid_join, html_extract
 
 
 def by_hand(rows, query, top=5):
@@ -46,3 +46,19 @@ def test_vectors_of_several_lengths(spark):
     got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in grid_join.near_duplicates(table, 0.9999).collect()}
     assert {i: c for i, (_, c) in got.items()} == {i: 61 if i in (61, 62, 161, 162) else i % 100 for i, _ in rows}
     assert {i: n for i, (n, _) in got.items()} == {i: 3 if i in (61, 62, 161, 162) else 1 for i, _ in rows}
+
+
+def test_page_without_head_end_and_body():
+    main = "<article><h1>A &amp; B</h1><p>one\n two<p>three <b>four</article><footer>&copy; me</footer>"
+    whole = html_extract.blocks("<html><head><title>t</title></head>" + main)
+    for start in ("<html><head><title>t</title>", "<head><meta charset=utf-8><script>x</script><noscript><p>no</p></noscript>", "<html><head>\n"):
+        assert [b.text for b in html_extract.blocks(start + main)] == [b.text for b in whole]
+    assert html_extract.main_texts(["<html><head><title>t</title>" + main]) == ["A & B\none two\nthree four"]
+    assert [b.text for b in html_extract.blocks("<head><title>t</title> plain words<p>more")] == ["plain words", "more"]
+
+
+def test_digit_share_is_of_the_whole_block():
+    from cloudlattice.llm.html_blocks import Block
+    from cloudlattice.llm.html_model import inputs
+
+    assert inputs(Block(("p",), "x" * 200 + "1" * 200, 0))[3][-1] == 0.5
