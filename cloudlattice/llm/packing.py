@@ -92,21 +92,28 @@ class Encoder:
     Merging is left to a compiled merger fed from the file's vocabulary. The
     pattern of such files always breaks around a lone line feed and before a lone
     space, so a text whose white space is only those is looked up word by word;
-    any other text goes through the merger whole.
+    any other text goes through the merger whole. Texts that hold an added token of
+    the file are left to ``tokenizers`` where ``added`` is set; else such tokens are
+    read as ordinary text.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, added: bool = False):
         import re
 
         import tiktoken
+        from tokenizers import Tokenizer
 
         with open(path, encoding="utf-8") as f:
-            model = json.load(f)["model"]
+            held = json.load(f)
+        model, extra = held["model"], [t["content"] for t in held.get("added_tokens") or []]
         # fixed values: the printable stand-ins for bytes that byte-level vocabularies use
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
         stand_in = {chr(b): b for b in plain} | {chr(256 + n): b for n, b in enumerate(b for b in range(256) if b not in set(plain))}
         ranks = {bytes(stand_in[c] for c in token): i for token, i in model["vocab"].items() if all(c in stand_in for c in token)}
-        ranks.pop(b"<|endoftext|>", None)
+        for token in extra:
+            ranks.pop(token.encode(), None)
+        self.holds = re.compile("|".join(map(re.escape, extra))).search if added and extra else None
+        self.own = Tokenizer.from_file(path) if self.holds else None
         pattern = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
         self.whole = tiktoken.Encoding("file", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         # fixed values: white space other than space and line feed, of either library's notion
@@ -119,6 +126,8 @@ class Encoder:
         return bool(text) and text[0] not in " \n" and text[-1] not in " \n" and not any(x in text for x in ("  ", "\n\n", " \n", "\n ")) and not self.other(text)
 
     def __call__(self, text: str) -> bytes:
+        if self.holds and self.holds(text):
+            return array("I", self.own.encode(text, add_special_tokens=False).ids).tobytes()
         if not self.even(text):
             return array("I", self.whole(text)).tobytes()
         first, spaced, lines = self.first, self.spaced.__getitem__, []
@@ -175,13 +184,13 @@ def pack_documents(docs: DataFrame, tokenizer: str, window: int = WINDOW, bin_do
     A null text is empty, so its document is the end id alone. Repeated rows are packed
     each on their own; an empty table gives an empty result; long texts are cut into
     whole windows; other columns of the input are ignored. ``tokenizer`` is a file that
-    every executor can read.
+    every executor can read; its added tokens get their own ids wherever a text holds them.
     """
     from pyspark.sql import functions as F
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if tokenizer not in _encoders:
-            _encoders[tokenizer] = Encoder(tokenizer)
+            _encoders[tokenizer] = Encoder(tokenizer, added=True)
         encode = _encoders[tokenizer]
         names = [c.split()[0] for c in SCHEMA.split(", ")]
         rows = ((i, t) for b in batches for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True))

@@ -1,9 +1,11 @@
 """Inputs that a cap, a prefix or an assumption about the data once cut short."""
 
+import zlib
+
 import numpy as np
 from pyspark.sql import functions as F
 
-from cloudlattice.llm import ann, grid_join, html_extract
+from cloudlattice.llm import ann, grid_join, html_extract, packing
 
 
 def by_hand(rows, query, top=5):
@@ -62,3 +64,16 @@ def test_digit_share_is_of_the_whole_block():
     from cloudlattice.llm.html_model import inputs
 
     assert inputs(Block(("p",), "x" * 200 + "1" * 200, 0))[3][-1] == 0.5
+
+
+def test_added_tokens_keep_their_ids(spark):
+    from tokenizers import Tokenizer
+
+    path, end = packing.default_tokenizer(), "<|endoftext|>"
+    own = Tokenizer.from_file(path)
+    texts = [f"some words{end}and more", end, f"{end} {end}\n  x", "none of it", "<|endoftext |>"]
+    got = {r["doc_id"]: r for r in packing.pack_documents(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), path).collect()}
+    for k, t in enumerate(texts):
+        ids = own.encode(t, add_special_tokens=False).ids + [packing.END_ID]
+        assert (got[k]["doc_tokens"], got[k]["ids_crc32"]) == (len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+    assert 50256 in own.encode(texts[0], add_special_tokens=False).ids
