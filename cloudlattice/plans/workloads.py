@@ -61,7 +61,7 @@ def baseline_bits(spark: SparkSession, sf_dir: str, name: str, eb: float) -> dic
 
 @registered
 def rate_distortion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """dataset, eb, codec, cr, bpp, psnr, max_rel: this method's variants from coded bytes, the families from their bits."""
+    """dataset, eb, codec, cr, bpp, psnr, max_rel: this method's variants from coded bytes (a part of the clouds and bounds, see README)."""
     parts = []
     for name in NAMES:
         at = clouds.unit(spark, sf_dir, name).persist()
