@@ -14,6 +14,11 @@ Empty parts say nothing and would meet in one huge group. A few more segments th
 needed (``spare``) let a set leave its empty signatures out; the rare set that has
 more of them keeps them all, so no pair is lost.
 
+A task counts its own signatures first: rows of a signature that already has two
+sets there are known to be shared, take any way through the one exchange and leave
+one row behind to tell the others. So a hot signature, whatever its size, sends the
+task that gathers it one row from each task.
+
 Candidates are settled in two rounds, each verified on whole sets. First every
 member of a signature meets the one member that shares most signatures. Then
 only signatures whose members still lie in several components are joined, in
@@ -29,6 +34,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,10 +46,12 @@ from cloudlattice.llm.work import load, removed, written
 PERCENT = 85
 GROWTH = 1.5
 #: Cost of a false candidate against a signature, and the share of common elements that it assumes.
-FALSE_COST, COMMON = 100.0, 0.5
+FALSE_COST, COMMON = 20.0, 0.5
 BLOCK = 1024
-#: Signatures are matched class by class, so that the disk holds the shuffles of one class at a time.
-PASSES = 4
+#: Signatures that a task counts together before it sends them on.
+LOCAL = 1 << 19
+#: What a signature's row is, in its two lowest bits: the only set of it here, one of several that stands for all, one of several.
+LONE, TOKEN, MEMBER = 0, 1, 2
 
 
 @lru_cache(4096)
@@ -90,55 +98,42 @@ def allocation(band: int, percent: int) -> tuple[int, int, int]:
 
 def signatures(text: np.ndarray, shingle: np.ndarray, sizes: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
     """(text number, signature) for sets laid end to end; ``sizes`` by text number."""
-    band = bands(sizes)
-    out_text, out = [], []
+    out_text, out = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
     for up in (0, 1):
         # a set also meets larger partners in the next band
-        into = band + up
-        starts = np.array([band_start(b) for b in range(int(into.max(initial=0)) + 1)])
-        takes = (sizes > 0) if not up else (sizes > 0) & (sizes * 100 >= starts[into] * percent)
-        plans = np.array([allocation(b, percent) for b in range(int(into.max(initial=0)) + 1)]).reshape(-1, 3)
+        into = bands(sizes) + up
+        top = range(int(into.max(initial=0)) + 1)
+        takes = sizes > 0
+        if up:
+            takes &= sizes * 100 >= np.array([band_start(b) for b in top])[into] * percent
+        if not takes.any():
+            continue
+        m, near, spare = np.array([allocation(b, percent) for b in top])[into].T
+        m = np.where(takes, m, 0)
+        base = np.cumsum(m) - m
+        owner = np.repeat(np.arange(len(sizes)), m)
+        segment = np.arange(len(owner)) - base[owner]
+        is_near = segment < near[owner]
+        place = mixed(into[owner].astype(np.uint64) * np.uint64(1_000_003) + segment.astype(np.uint64))
         at = takes[text]
         t, x = text[at], shingle[at]
-        if not len(t):
-            continue
-        b = into[t]
-        m, near, spare = plans[b].T
-        salt = mixed(b.astype(np.uint64) + np.uint64(77))
-        seg = (mixed(x ^ salt) % m.astype(np.uint64)).astype(np.int64)
+        salt = mixed(into[t].astype(np.uint64) + np.uint64(77))
+        part = base[t] + (mixed(x ^ salt) % m[t].astype(np.uint64)).astype(np.int64)
         value = mixed(x + salt)
-        order = np.lexsort((seg, t))
-        t, seg, value = t[order], seg[order], value[order]
-        head = np.ones(len(t), bool)
-        head[1:] = (t[1:] != t[:-1]) | (seg[1:] != seg[:-1])
-        first = np.flatnonzero(head)
-        part = np.cumsum(head) - 1
-        sums, count = np.add.reduceat(value, first), np.diff(np.append(first, len(t)))
-        pt, ps = t[first], seg[first]
-        place = lambda texts, segs: mixed(into[texts].astype(np.uint64) * np.uint64(1_000_003) + segs.astype(np.uint64))
-        out_text.append(pt)
-        out.append(mixed(sums ^ place(pt, ps)))
-        plan_near, plan_m, plan_spare = plans[into[pt], 1], plans[into[pt], 0], plans[into[pt], 2]
+        count, sums = np.bincount(part, minlength=len(owner)), np.zeros(len(owner), np.uint64)
+        np.add.at(sums, part, value)
+        full = count > 0
+        out_text.append(owner[full])
+        out.append(mixed(sums[full] ^ place[full]))
         # deletions of near segments, but for those that leave nothing
-        is_near = (ps < plan_near)[part] & (count[part] > 1)
-        out_text.append(t[is_near])
-        out.append(mixed((sums[part] - value)[is_near] ^ place(t[is_near], seg[is_near])))
+        less = (is_near & (count > 1))[part]
+        out_text.append(t[less])
+        out.append(mixed((sums[part[less]] - value[less]) ^ place[part[less]]))
         # sets with more empty parts than spare segments keep their empty signatures
-        lost = np.zeros(len(sizes), np.int64)
-        uniq = np.flatnonzero(takes)
-        total = plans[into[uniq], 0] + plans[into[uniq], 1]
-        np.add.at(lost, pt, np.where(ps < plan_near, np.minimum(count, 2), 1))
-        short = total - lost[uniq] > plans[into[uniq], 2]
-        for k in uniq[short]:
-            mine = pt == k
-            has = dict(zip(ps[mine].tolist(), count[mine].tolist(), strict=True))
-            m_k, near_k, _ = plans[into[k]]
-            bare = np.array([s for s in range(m_k) if s not in has or (s < near_k and has[s] == 1)], np.int64)
-            out_text.append(np.full(len(bare), k))
-            out.append(mixed(np.zeros(len(bare), np.uint64) ^ place(np.full(len(bare), k), bare)))
-        del m, near, spare, plan_m, plan_spare
-    if not out:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
+        missing = np.bincount(owner, np.where(is_near, 2 - np.minimum(count, 2), ~full), len(sizes))
+        bare = (missing > spare)[owner] & (~full | (is_near & (count == 1)))
+        out_text.append(owner[bare])
+        out.append(mixed(place[bare]))
     return np.concatenate(out_text), np.concatenate(out)
 
 
@@ -164,30 +159,34 @@ def may_link(a: np.ndarray, b: np.ndarray, na: int, nb: int, percent: int) -> bo
     return differ * (100 + percent) <= (100 - percent) * (na + nb)
 
 
-def batches_of(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
-    """Texts as bytes in runs of about ``PIECE`` bytes, with the place of the first."""
-    at = 0
+def batches_of(texts: pa.BinaryArray) -> Iterator[tuple[int, list[bytes]]]:
+    """Texts in runs of about ``PIECE`` bytes, with the place of the first."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
+    at = done = 0
     while at < len(texts):
-        held, size = [], 0
-        while at + len(held) < len(texts) and (size < PIECE or not held):
-            held.append((texts[at + len(held)] or "").encode())
-            size += len(held[-1])
-        yield at, held
-        at += len(held)
+        stop = max(at + 1, int(np.searchsorted(ends, done + PIECE, "right")))
+        yield at, [x or b"" for x in texts.slice(at, stop - at).to_pylist()]
+        at, done = stop, ends[stop - 1]
+
+
+def keyed(docs: DataFrame) -> DataFrame:
+    """doc_id, key (a hash of id and text, set for rows without an id too), text as bytes."""
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", text).alias("key"), text.cast("binary").alias("text"))
 
 
 def profiles(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n (distinct shingles), set (hash of the set), sketch."""
-    names = ["doc_id", "n", "set", "sketch"]
+    """doc_id, key, n (distinct shingles), set (hash of the set), sketch."""
+    names = ["doc_id", "key", "n", "set", "sketch"]
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1).to_pylist()
-            for at, data in batches_of(texts):
+            for at, data in batches_of(batch.column(2)):
                 sizes, digest, sets = described(*shingle_sets(data, words), len(data))
-                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array(sizes.astype(np.int32)), pa.array(digest), pa.array([parity_sketch(x) for x in sets], pa.binary())], names)
+                ids = [batch.column(k).slice(at, len(data)) for k in (0, 1)]
+                yield pa.RecordBatch.from_arrays([*ids, pa.array(sizes.astype(np.int32)), pa.array(digest), pa.array([parity_sketch(x) for x in sets], pa.binary())], names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(task, "doc_id long, n int, set long, sketch binary")
+    return keyed(docs).mapInArrow(task, "doc_id long, key long, n int, set long, sketch binary")
 
 
 def described(text: np.ndarray, shingle: np.ndarray, count: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
@@ -197,52 +196,106 @@ def described(text: np.ndarray, shingle: np.ndarray, count: int) -> tuple[np.nda
     return sizes, np.array([xxhash.xxh3_64_intdigest(x.tobytes()) for x in sets], np.uint64).view(np.int64), sets
 
 
-def signature_rows(docs: DataFrame, percent: int, words: int, part: int) -> DataFrame:
-    """sig, set, n: the signatures of one of ``PASSES`` classes.
+def told_apart(sig: np.ndarray, sets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(signature with its kind, set) of a task's rows: a lone set once, shared ones all, and a token for them."""
+    order = np.argsort(sig)
+    sig, sets = sig[order], sets[order]
+    first = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]])) if len(sig) else np.zeros(0, np.int64)
+    if not len(first):
+        return sig.view(np.int64), sets
+    shared = np.minimum.reduceat(sets, first) != np.maximum.reduceat(sets, first)
+    head = sig[first] & ~np.uint64(3)
+    members = np.repeat(shared, np.diff(np.append(first, len(sig))))
+    out = np.concatenate([head | shared.astype(np.uint64) * np.uint64(TOKEN), (sig[members] & ~np.uint64(3)) | np.uint64(MEMBER)])
+    return out.view(np.int64), np.concatenate([sets[first], sets[members]])
 
-    Texts are read again for each class, which costs less than keeping all signatures.
-    """
-    names = ["sig", "set", "n"]
+
+def signature_rows(docs: DataFrame, percent: int, words: int) -> DataFrame:
+    """sig (its lowest bits say of what kind the row is), set: the signatures of all sets."""
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sigs, sets, held = [], [], 0
+
+        def flushed() -> Iterator[pa.RecordBatch]:
+            sig, of = told_apart(np.concatenate(sigs) & ~np.uint64(3), np.concatenate(sets))
+            for start in range(0, len(sig), 1 << 16):
+                yield pa.RecordBatch.from_arrays([pa.array(sig[start : start + (1 << 16)]), pa.array(of[start : start + (1 << 16)])], ["sig", "set"])
+            sigs.clear()
+            sets.clear()
+
         for batch in batches:
-            for _, data in batches_of(batch.column(0).to_pylist()):
+            for _, data in batches_of(batch.column(0)):
                 text, shingle = shingle_sets(data, words)
                 sizes, digest, _ = described(text, shingle, len(data))
                 who, sig = signatures(text, shingle, sizes, percent)
-                mine = sig % np.uint64(PASSES) == part
-                who, sig = who[mine], sig[mine]
-                order = np.argsort(who, kind="stable")  # a set's rows together compress well
-                who, sig = who[order], sig[order]
-                for start in range(0, len(who), 1 << 17):
-                    w = who[start : start + (1 << 17)]
-                    yield pa.RecordBatch.from_arrays([pa.array(sig[start : start + (1 << 17)].view(np.int64)), pa.array(digest[w]), pa.array(sizes[w].astype(np.int32))], names)
+                sigs.append(sig)
+                sets.append(digest[who])
+                held += len(sig)
+                if held >= LOCAL:
+                    yield from flushed()
+                    held = 0
+        if held:
+            yield from flushed()
 
-    return docs.select(F.col("text").cast("string").alias("text")).mapInArrow(task, "sig long, set long, n int")
+    return keyed(docs).select("text").mapInArrow(task, "sig long, set long")
+
+
+def shared_members(rows: DataFrame) -> DataFrame:
+    """sig, set: the rows of signatures that several sets have."""
+    where = F.when(F.col("sig").bitwiseAND(F.lit(3)) == MEMBER, F.xxhash64("sig", "set")).otherwise(F.col("sig").bitwiseAND(F.lit(-4)))
+
+    def settled(sig: np.ndarray, sets: np.ndarray) -> np.ndarray:
+        """Of sorted lone rows and tokens of whole signatures: the lone ones that share theirs."""
+        first = np.flatnonzero(np.concatenate([[True], (sig[1:] ^ sig[:-1]) >> 2 != 0]))
+        told = np.bitwise_or.reduceat(sig & 3, first) != LONE
+        told |= np.minimum.reduceat(sets, first) != np.maximum.reduceat(sets, first)
+        return np.repeat(told, np.diff(np.append(first, len(sig)))) & (sig & 3 == LONE)
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def made(sig: np.ndarray, sets: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(sig >> 2), pa.array(sets)], ["sig", "set"])
+
+        waiting = np.zeros(0, np.int64), np.zeros(0, np.int64)  # of the last signature met: a row from each task at most
+        for batch in batches:
+            sig, sets = (batch.column(k).to_numpy() for k in (0, 1))
+            plain = sig & 3 != MEMBER
+            if not plain.all():
+                yield made(sig[~plain], sets[~plain])
+            sig, sets = np.concatenate([waiting[0], sig[plain]]), np.concatenate([waiting[1], sets[plain]])
+            if not len(sig):
+                continue
+            cut = np.flatnonzero((sig ^ sig[-1]) >> 2 != 0)
+            cut = int(cut[-1]) + 1 if len(cut) else 0
+            if cut and (good := settled(sig[:cut], sets[:cut])).any():
+                yield made(sig[:cut][good], sets[:cut][good])
+            waiting = sig[cut:], sets[cut:]
+        if len(waiting[0]) and (good := settled(*waiting)).any():
+            yield made(waiting[0][good], waiting[1][good])
+
+    return rows.repartition(where).sortWithinPartitions("sig").mapInArrow(task, "sig long, set long").distinct()
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
-    """set and its sorted shingles as bytes, for every wanted set, from one document each (columns doc_id, set)."""
+    """set and its sorted shingles as bytes, for every wanted set, from one document each (columns key, set)."""
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1).to_pylist()
-            for at, data in batches_of(texts):
+            for at, data in batches_of(batch.column(1)):
                 text, shingle = shingle_sets(data, words)
-                edge = np.concatenate([[0], np.cumsum(np.bincount(text, minlength=len(data)))])
-                yield pa.RecordBatch.from_arrays([ids[at : at + len(data)], pa.array([shingle[a:b].tobytes() for a, b in zip(edge[:-1], edge[1:], strict=True)], pa.binary())], ["set", "shingles"])
-
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
-    # repeated ids may carry other texts: only the text of the wanted set counts
-    got = texts.select("set", "text").mapInArrow(task, "set long, shingles binary")
+                _, digest, sets = described(text, shingle, len(data))
+                asked = batch.column(0).slice(at, len(data)).to_numpy()
+                # a key of two rows counts for the row that has the wanted set
+                good = np.flatnonzero(digest == asked).tolist()
+                if good:
+                    yield pa.RecordBatch.from_arrays([pa.array(asked[good]), pa.array([sets[k].tobytes() for k in good], pa.binary())], ["set", "shingles"])
 
-    @F.pandas_udf("long")
-    def digest(values):
-        import pandas as pd
+    texts = keyed(docs).select("key", "text").join(wanted, "key")
+    return texts.dropDuplicates(["key", "set"]).select("set", "text").mapInArrow(task, "set long, shingles binary")
 
-        return pd.Series([xxhash.xxh3_64_intdigest(v) for v in values], dtype="uint64").astype("int64")
 
-    return got.where(digest("shingles") == F.col("set"))
+def sources(known: DataFrame, sets: DataFrame) -> DataFrame:
+    """key of one document for each of ``sets``."""
+    return known.join(sets, "set", "left_semi").groupBy("set").agg(F.min("key").alias("key"))
 
 
 def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
@@ -272,8 +325,7 @@ def block_links(a: list[np.ndarray], b: list[np.ndarray], percent: int) -> tuple
 def verified(docs: DataFrame, known: DataFrame, pairs: DataFrame, percent: int, words: int) -> DataFrame:
     """Those pairs (u, v) of sets that link, compared whole; texts are read again for them only."""
     named = pairs.select(F.explode(F.array("u", "v")).alias("set")).distinct()
-    wanted = named.join(known.groupBy("set").agg(F.min("doc_id").alias("doc_id")), "set")
-    held = written(sets_of(docs, wanted, words), "sets")
+    held = written(sets_of(docs, sources(known, named), words), "sets")
     both = pairs.join(held.withColumnsRenamed({"set": "v", "shingles": "b"}), "v").join(held.withColumnsRenamed({"set": "u", "shingles": "a"}), "u")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -302,23 +354,13 @@ def grouped(batches: Iterator[pa.RecordBatch], done) -> Iterator[pa.RecordBatch]
 
 def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFrame:
     """Edges (u, v) between sets that connect exactly the sets that links connect."""
-    found = []
-    for k in range(PASSES):
-        rows = written(signature_rows(docs, percent, words, k), "signatures")
-        shared = rows.groupBy("sig").agg(F.min("set").alias("lo"), F.max("set").alias("hi")).where("lo <> hi").select("sig")
-        found.append(written(rows.join(shared, "sig").distinct(), "members"))
-        del shared
-        removed(rows)
-    members = found[0]
-    for more in found[1:]:
-        members = members.unionByName(more)
-    sketches = written(known.where("n > 0").select("set", "sketch").join(members.select("set").distinct(), "set").dropDuplicates(["set"]), "sketches")
+    members = written(shared_members(signature_rows(docs, percent, words)), "members")
+    sketches = written(known.where("n > 0").select("set", "n", "sketch").join(members.select("set"), "set", "left_semi").dropDuplicates(["set"]), "sketches")
     degree = members.groupBy("set").agg(F.count(F.lit(1)).alias("degree"))
-    ranked = members.join(degree, "set")
-    centres = ranked.groupBy("sig").agg(F.max(F.struct("degree", "set", "n")).alias("c")).select("sig", F.col("c.set").alias("u"), F.col("c.n").alias("m"))
-    fits = (F.least("m", "n") * 100 >= F.greatest("m", "n") * percent) & (F.col("u") != F.col("set"))
-    star = members.join(centres, "sig").where(fits).select("u", "m", F.col("set").alias("v"), "n").distinct()
-    sketched = star.join(sketches.withColumnsRenamed({"set": "v", "sketch": "b"}), "v").join(sketches.withColumnsRenamed({"set": "u", "sketch": "a"}), "u")
+    centres = members.join(degree, "set").groupBy("sig").agg(F.max(F.struct("degree", "set")).alias("c")).select("sig", F.col("c.set").alias("u"))
+    star = members.join(centres, "sig").where(F.col("u") != F.col("set")).select("u", F.col("set").alias("v")).distinct()
+    fits = F.least("m", "n") * 100 >= F.greatest("m", "n") * percent
+    sketched = star.join(sketches.withColumnsRenamed({"set": "v", "sketch": "b"}), "v").join(sketches.withColumnsRenamed({"set": "u", "n": "m", "sketch": "a"}), "u").where(fits)
 
     def prune(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -328,13 +370,13 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
     likely = written(sketched.select("u", "v", "m", "n", "a", "b").mapInArrow(prune, "u long, v long"), "star-pairs")
     first = verified(docs, known, likely, percent, words)
     joined = components(first).withColumnsRenamed({"id": "set", "component_id": "root"})
-    state = members.join(joined, "set", "left").select("sig", "set", "n", F.coalesce("root", "set").alias("root"))
+    state = members.join(joined, "set", "left").select("sig", "set", F.coalesce("root", "set").alias("root"))
     # a signature of two sets is settled; any other with several components is not
     unsettled = state.groupBy("sig").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size")).where("lo <> hi and size > 2")
     blocks = F.ceil(F.col("size") / F.lit(BLOCK)).cast("int")
     placed = state.join(unsettled.select("sig", blocks.alias("blocks")), "sig").withColumn("block", F.pmod(F.xxhash64("set"), F.col("blocks")).cast("int"))
     # a row for each pair of blocks that a member's block is part of
-    spread = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("sig", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "set", "n", "root")
+    spread = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("sig", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "set", "root")
     place = ["sig", "i", "j"]
     loaded = spread.join(sketches, "set").repartition(*place).sortWithinPartitions(*place, "block", "set").select(*place, "block", "set", "n", "root", "sketch")
     names = [*place, "block", "set", "root"]
@@ -366,8 +408,7 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
         yield from grouped(batches, done)
 
     left = written(loaded.mapInArrow(narrow, "sig long, i int, j int, block int, set long, root long"), "open-members")
-    wanted = left.select("set").distinct().join(known.groupBy("set").agg(F.min("doc_id").alias("doc_id")), "set")
-    held = written(sets_of(docs, wanted, words), "sets")
+    held = written(sets_of(docs, sources(known, left.select("set")), words), "sets")
     whole = left.join(held, "set").repartition(*place).sortWithinPartitions(*place, "block", "set").select(*names, "shingles")
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -388,7 +429,7 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
         yield from grouped(batches, done)
 
     second = written(whole.mapInArrow(settle, "u long, v long"), "block-links")
-    removed(*found, sketches, likely, left, held)
+    removed(members, sketches, likely, left, held)
     return first.unionByName(second)
 
 
@@ -400,7 +441,6 @@ def classes(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> Data
     table gives an empty result. Other columns of the input are ignored.
     """
     known = written(profiles(docs, words), "profiles")
-    removed()
     roots = components(links(docs, known, percent, words)).withColumnsRenamed({"id": "set", "component_id": "root"})
     slim = known.select("doc_id", "n", "set").join(roots, "set", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("root", "set")).alias("root"))
     least = slim.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))

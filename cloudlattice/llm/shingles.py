@@ -6,8 +6,8 @@ import numpy as np
 
 WORDS = 4
 _GOLD, _MORE, _BASE = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
-#: Bytes laid end to end at once; only a single longer text makes more.
-PIECE = 2 << 20
+#: Bytes laid end to end at once; only a single longer text makes more, and only its words and shingles do.
+PIECE = 1 << 19
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -42,43 +42,65 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 _held: list = [0, None, None]
 
 
+def _words(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, first byte) of every word of bytes that neither start nor end inside a word."""
+    if _held[0] < len(data) + 1:
+        _held[:] = [len(data) + 1, *_powers(len(data) + 1)]
+    power, inverse = _held[1], _held[2]
+    edge = np.diff(np.concatenate([[True], _SPACE[data], [True]]).astype(np.int8))
+    start, end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
+    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * inverse[: len(data)], dtype=np.uint64)])
+    return mixed((total[end] - total[start]) * power[start] + (end - start).astype(np.uint64)), start
+
+
+def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``_words`` of any number of bytes, cut at white space into pieces, so that memory follows ``PIECE`` and the longest word."""
+    found, at = [], 0
+    while at < len(data):
+        stop = at + PIECE
+        if stop < len(data):
+            back = np.flatnonzero(_SPACE[data[at:stop]])
+            while not len(back) and stop < len(data):  # one word is longer than a piece
+                ahead = np.flatnonzero(_SPACE[data[stop : stop + PIECE]])
+                back, stop = ahead[:1] + (stop - at), stop + PIECE
+            stop = at + int(back[-1]) + 1 if len(back) else len(data)
+        word, start = _words(data[at:stop])
+        found.append((word, start + at))
+        at = stop
+    if not found:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+
+
 def shingle_sets(texts: list[bytes], words: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
     """(text number, shingle hash), distinct and sorted by both.
 
     A text of fewer words than ``words`` has one shingle, its whole sequence; a text
     without words has none.
     """
-    data = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
-    if _held[0] < len(data) + 1:
-        _held[:] = [len(data) + 1, *_powers(len(data) + 1)]
-    power, inverse = _held[1], _held[2]
-    space = _SPACE[data]
-    edge = np.diff(np.concatenate([[True], space]).astype(np.int8))
-    start, end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
-    if not len(start):
+    word, start = word_hashes(np.frombuffer(b"\n".join(texts) + b"\n", np.uint8))
+    if not len(word):
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    end = end if space[0] == 0 or len(end) == len(start) else end[-len(start) :]
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * inverse[: len(data)], dtype=np.uint64)])
-    word = mixed((total[end] - total[start]) * power[start] + (end - start).astype(np.uint64))
-    ends = np.cumsum([len(t) + 1 for t in texts])
-    text = np.searchsorted(ends, start, "right")
-    n = len(word)
-    shingle = np.zeros(max(n - words + 1, 0), np.uint64)
+    text = np.searchsorted(np.cumsum([len(t) + 1 for t in texts]), start, "right")
+    shingle = np.zeros(max(len(word) - words + 1, 0), np.uint64)
     for k in range(words):
         shingle = mixed(shingle * _MORE + word[k : k + len(shingle)])
-    whole = text[: len(shingle)] == text[words - 1 :] if len(shingle) else np.zeros(0, bool)
-    found_text, found = text[: len(shingle)][whole], shingle[whole]
     counts = np.bincount(text, minlength=len(texts))
-    short = np.flatnonzero((counts > 0) & (counts < words))
-    if len(short):
-        first = np.searchsorted(text, short)
-        own = np.zeros(len(short), np.uint64)
-        for k in range(words - 1):
-            more = k < counts[short]
-            own[more] = mixed(own[more] * _MORE + word[first[more] + k])
-        found_text, found = np.concatenate([found_text, short]), np.concatenate([found, mixed(own + counts[short].astype(np.uint64))])
-    order = np.lexsort((found, found_text))
-    found_text, found = found_text[order], found[order]
+    sizes = np.where(counts >= words, counts - words + 1, counts > 0)
+    edge = np.concatenate([[0], np.cumsum(sizes)])
+    found_text, found = np.repeat(np.arange(len(texts)), sizes), np.empty(edge[-1], np.uint64)
+    whole = counts[found_text] >= words
+    if len(shingle):
+        found[whole] = shingle[text[: len(shingle)] == text[words - 1 :]]
+    short = found_text[~whole]
+    first = np.searchsorted(text, short)
+    own = np.zeros(len(short), np.uint64)
+    for k in range(words - 1):
+        more = k < counts[short]
+        own[more] = mixed(own[more] * _MORE + word[first[more] + k])
+    found[~whole] = mixed(own + counts[short].astype(np.uint64))
+    for a, b in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        found[a:b].sort()
     new = np.ones(len(found), bool)
     new[1:] = (found[1:] != found[:-1]) | (found_text[1:] != found_text[:-1])
     return found_text[new], found[new]
