@@ -1,21 +1,26 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained, one on toxic and one on ordinary text. Both
-hold the same ordinary windows; the toxic one also holds the segments that cover
-the most toxic training documents among those that ordinary ones seldom have, and
-the ordinary one has ordinary text in their place. A document is read in
-overlapping windows of whole words, each compressed with either dictionary; the
-difference of the lengths is the window's margin. A logistic curve over a
-document's margins, fitted on labelled rows, calibrates the score.
+The zstandard trainer makes one dictionary from toxic and one from ordinary text.
+Invented or rare wording is scarce in both, so each class is trained on its telling
+words: those that its documents hold far more often than the other's, of which
+most short pieces do so too. Near copies among the training documents count once,
+else a copied text would pass for a wording. A trained dictionary is cut to whole
+words, as broken ones would save bytes in any text, and laid before the same
+ordinary windows for both classes, so that only the class's own words differ.
+
+A document is read in overlapping windows of whole words, each compressed with
+either dictionary; the difference of the lengths is the window's margin. A logistic
+curve over a document's margins, fitted on labelled rows, calibrates the score.
 
 Fitting uses at most ``MOST_TOXIC`` and ``MOST_ORDINARY`` labelled rows, those of the
-smallest seeded hash, and at most ``FIT_CHARS`` of each. Scoring reads every
-document whole.
+smallest seeded hash among those of at most ``FIT_BYTES`` bytes, each whole. Scoring
+reads every document whole.
 """
 
 from __future__ import annotations
 
 import random
+import zlib
 from collections import Counter
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -30,11 +35,12 @@ from cloudlattice.llm.work import load
 
 MOST_TOXIC = 1_500
 MOST_ORDINARY = 3_000
-FIT_CHARS = 50_000
+FIT_BYTES = 20_000
 WINDOW_WORDS = 8
 STEP_WORDS = 6
 BASE_BYTES = 32_000
-SEGMENT_BYTES = 2_000
+#: Size of a trained dictionary, the trainer's segment and match lengths, and how often a document's words are laid out anew.
+TRAINED_BYTES, SEGMENT, MATCH, REPEATS = 2_048, 24, 6, 10
 LEVEL = 6
 LIMIT = 0.3
 SEED = 5
@@ -48,44 +54,49 @@ def windows(text: str | None, words: int = WINDOW_WORDS, step: int = STEP_WORDS)
     return [b" ".join(found[s : s + words]) for s in [*range(0, len(found) - words, step), len(found) - words]]
 
 
-def pieces(words: Iterable[bytes], least: int = 5, most: int = 10) -> set[bytes]:
-    """Byte strings of ``least`` to ``most`` bytes inside spaced words."""
-    spaced = [b" " + w + b" " for w in words]
-    return {w[i : i + k] for w in spaced for k in range(least, most + 1) for i in range(len(w) - k + 1)}
+def pieces(word: bytes) -> set[bytes]:
+    """Byte strings of ``MATCH`` bytes inside the spaced word."""
+    spaced = b" " + word + b" "
+    return {spaced[i : i + MATCH] for i in range(max(1, len(spaced) - MATCH + 1))}
 
 
-def contrast_segments(toxic: list[str], ordinary: list[str], most_bytes: int = SEGMENT_BYTES, cover: int = 3) -> list[bytes]:
-    """Segments by falling gain: documents still short of ``cover`` segments, times the bytes that a match saves."""
-    bad, good = ([set(t.lower().encode("utf-8", "replace").split()) for t in texts] for texts in (toxic, ordinary))
-    in_bad, in_good = (Counter(w for s in sets for w in s) for sets in (bad, good))
+def uncopied(bags: list[set[bytes]], hashes: int = 6, most: int = 3) -> list[set[bytes]]:
+    """Word sets without those that share over ``most`` of ``hashes`` minima with earlier ones."""
+    seen: set[tuple[int, int]] = set()
+    kept = []
+    for bag in bags:
+        minima = {(j, min((zlib.crc32(w, j) for w in bag), default=0)) for j in range(hashes)}
+        if len(minima & seen) <= most:
+            kept.append(bag)
+        seen |= minima
+    return kept
+
+
+def telling(bags: list[set[bytes]], others: list[set[bytes]], times: float = 20.0, most_pieces: float = 0.75) -> list[list[bytes]]:
+    """The telling words of each set, ``times`` as common here as there; so are ``most_pieces`` of their pieces."""
     share = lambda n, of: (n + 0.5) / (of + 1)
-    telling = [{w for w in s if share(in_bad[w], len(bad)) >= 10 * share(in_good[w], len(good))} for s in bad]
-    counts = Counter(p for s in telling for p in pieces(s))
-    least = max(2, len(bad) // 250)
-    held = {p for p, n in counts.items() if n >= least}
-    against = Counter(p for w, n in in_good.items() for p in (pieces([w]) & held) for _ in range(n))
-    held = {p for p in held if share(counts[p], len(bad)) >= 20 * share(against[p], len(good))}
-    have = [pieces(s) & held for s in telling]
-    gain, where = Counter(p for s in have for p in s), {}
-    for j, s in enumerate(have):
-        for p in s:
-            where.setdefault(p, []).append(j)
-    need, picked, used = [cover] * len(have), [], 0
-    while gain and used < most_bytes:
-        best = max(gain, key=lambda p: (gain[p] * (len(p) - 3), p))
-        if gain[best] < least // 2 + 1:
-            break
-        picked.append(best)
-        used += len(best)
-        for j in where[best]:
-            need[j] -= 1
-            if need[j] == 0:
-                for p in have[j]:
-                    if p in gain:
-                        gain[p] -= 1
-        for p in [p for p in gain if p in best or best in p]:
-            del gain[p]
-    return picked
+    split = {w: pieces(w) for bag in bags for w in bag} | {w: pieces(w) for bag in others for w in bag}
+    words, parts = [], []
+    for side in (bags, others):
+        words.append(Counter(w for bag in side for w in bag))
+        parts.append(Counter(p for bag in side for p in {p for w in bag for p in split[w]}))
+    often = lambda counts, x: share(counts[0][x], len(bags)) >= times * share(counts[1][x], len(others))
+    least = max(4, len(bags) // 100)
+    good = {w for w, n in words[0].items() if n >= least and often(words, w)}
+    good = {w for w in good if np.mean([often(parts, p) for p in split[w]]) >= most_pieces}
+    return [sorted(bag & good) for bag in bags]
+
+
+def dictionary(bags: list[set[bytes]], others: list[set[bytes]], rng: random.Random) -> bytes:
+    """What the zstandard trainer takes from the telling words of ``bags``, cut to whole words; empty if there are too few."""
+    found = [words for words in telling(bags, others) if words]
+    samples = [(b" " + b" ".join(rng.sample(words, len(words))) + b" ").ljust(2 * MATCH) for words in found for _ in range(REPEATS)]
+    try:
+        trained = zstandard.train_dictionary(TRAINED_BYTES, samples, k=SEGMENT, d=MATCH).as_bytes()
+    except zstandard.ZstdError:  # the trainer refuses so little text
+        trained = b"".join(dict.fromkeys(samples))[-TRAINED_BYTES:]
+    known = {w for words in found for w in words}
+    return b" ".join(dict.fromkeys(w for w in trained.split() if w in known))
 
 
 @dataclass(frozen=True)
@@ -138,12 +149,14 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0) -> np.ndarray:
 def train(toxic: list[str], ordinary: list[str], share: float) -> Model:
     """Dictionaries from one half of each class, calibration on the other; ``share``: toxic rows of all labelled."""
     rng = random.Random(SEED)
-    fit_bad, fit_good = toxic[::2] or toxic, ordinary[::2] or ordinary
-    segments = b"".join(reversed(contrast_segments(fit_bad, fit_good)))
-    sample = [w for t in fit_good for w in (lambda ws: rng.sample(ws, min(3, len(ws))))(windows(t))]
+    halves = toxic[::2] or toxic, ordinary[::2] or ordinary
+    bags = [[set(t.lower().encode("utf-8", "replace").split()) for t in texts] for texts in halves]
+    own = [dictionary(uncopied(bags[k]), uncopied(bags[1 - k]), rng) for k in (0, 1)]
+    sample = [w for t in halves[1] for w in (lambda ws: rng.sample(ws, min(3, len(ws))))(windows(t))]
     rng.shuffle(sample)
-    base = b" ".join(sample)[:BASE_BYTES].ljust(64, b" ")
-    blank = Model(segments.ljust(64, b" ") + base, base[-max(64, len(segments)) :] + base, (0.0,) * 4, (1.0,) * 4, (0.0,) * 5)
+    base = b" " + b" ".join(sample)[:BASE_BYTES].ljust(64, b" ")
+    wide = max(64, *map(len, own))
+    blank = Model(own[0].rjust(wide) + base, own[1].rjust(wide) + base, (0.0,) * 4, (1.0,) * 4, (0.0,) * 5)
     bad, good = toxic[1::2], ordinary[1::2]
     if not bad or not good:
         share = min(max(share, 1e-3), 1 - 1e-3)
@@ -158,19 +171,22 @@ def train(toxic: list[str], ordinary: list[str], share: float) -> Model:
 
 
 def held_out(doc_id: Column) -> Column:
-    return F.crc32(doc_id.cast("string").cast("binary")) % 4 == 2
+    """Whether crc32 of the id as text leaves 2 by 4; a row without an id isn't held out."""
+    return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
 def labelled(docs: DataFrame, labels: DataFrame) -> tuple[list[str], list[str], float]:
     """Bounded training texts of both classes, and the share of toxic rows among all labelled ones."""
-    known = labels.select("doc_id", "toxic").where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~F.coalesce(held_out(F.col("doc_id")), F.lit(True)))
+    known = labels.select("doc_id", "toxic").where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     counts = {r[0]: r[1] for r in known.groupBy("toxic").count().collect()}
+    short = docs.where(F.octet_length("text").between(1, FIT_BYTES)).select("doc_id", "text")
     texts: dict[int, list[str]] = {}
     for value, most in ((1, MOST_TOXIC), (0, MOST_ORDINARY)):
-        ids = known.where(F.col("toxic") == value).select("doc_id", F.xxhash64(F.lit(SEED), "doc_id").alias("h")).orderBy("h", "doc_id").limit(most)
-        rows = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("h", "doc_id", F.substring("text", 1, FIT_CHARS).alias("text"))
+        ids = known.where(F.col("toxic") == value).select("doc_id", F.xxhash64(F.lit(SEED), "doc_id").alias("h"))
+        picked = short.select("doc_id").join(ids, "doc_id").orderBy("h", "doc_id").limit(most).distinct()
+        rows = short.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select(F.xxhash64(F.lit(SEED), "doc_id").alias("h"), "doc_id", "text")
         # repeated ids could bring more rows than ids
-        texts[value] = [r[2] for r in sorted(rows.orderBy("h", "doc_id", "text").limit(most).collect(), key=lambda r: (r[0], r[1], r[2] or "")) if r[2]]
+        texts[value] = [r[2] for r in rows.orderBy("h", "doc_id", "text").limit(most).collect()]
     total = sum(counts.values())
     return texts[1], texts[0], counts.get(1, 0) / total if total else 0.0
 
@@ -183,8 +199,8 @@ def score_documents(docs: DataFrame, model: Model, name: str = "toxicity") -> Da
     """The input's rows and columns with ``name``, a score from 0 to 1.
 
     Null and empty texts get the score of a document without windows; repeated rows
-    are scored alike; an empty table gives an empty result. An input column called
-    ``name`` is replaced.
+    are scored alike; rows without an id are scored as any; an empty table gives an
+    empty result. An input column called ``name`` is replaced.
     """
     held = docs.sparkSession.sparkContext.broadcast(model)  # two dictionaries of fixed size
 
