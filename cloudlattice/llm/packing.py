@@ -93,11 +93,10 @@ class Encoder:
     pattern of such files always breaks around a lone line feed and before a lone
     space, so a text whose white space is only those is looked up word by word;
     any other text goes through the merger whole. Texts that hold an added token of
-    the file are left to ``tokenizers`` where ``added`` is set; else such tokens are
-    read as ordinary text.
+    the file are left to ``tokenizers``, so ids are always those of that library's defaults.
     """
 
-    def __init__(self, path: str, added: bool = False):
+    def __init__(self, path: str):
         import re
 
         import tiktoken
@@ -112,7 +111,7 @@ class Encoder:
         ranks = {bytes(stand_in[c] for c in token): i for token, i in model["vocab"].items() if all(c in stand_in for c in token)}
         for token in extra:
             ranks.pop(token.encode(), None)
-        self.holds = re.compile("|".join(map(re.escape, extra))).search if added and extra else None
+        self.holds = re.compile("|".join(map(re.escape, extra))).search if extra else None
         self.own = Tokenizer.from_file(path) if self.holds else None
         pattern = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
         self.whole = tiktoken.Encoding("file", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
@@ -190,7 +189,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, window: int = WINDOW, bin_do
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if tokenizer not in _encoders:
-            _encoders[tokenizer] = Encoder(tokenizer, added=True)
+            _encoders[tokenizer] = Encoder(tokenizer)
         encode = _encoders[tokenizer]
         names = [c.split()[0] for c in SCHEMA.split(", ")]
         rows = ((i, t) for b in batches for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True))
