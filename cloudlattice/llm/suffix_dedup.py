@@ -40,9 +40,14 @@ BATCH_BYTES = 4 << 20
 KEY = ["doc_id", "text_hash"]
 
 
+def identity() -> tuple:
+    """The id, or a hash of the text where there is none, and another hash of the text, which keeps repeated ids with different texts apart."""
+    return F.coalesce(F.col("doc_id").cast("long"), F.xxhash64("text")), F.hash("text")
+
+
 def keyed(docs: DataFrame) -> DataFrame:
-    """Repeated ids with different texts stay apart by a hash of the text; rows without an id are left out."""
-    return docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("text_hash"), "text")
+    own, mark = identity()
+    return docs.select(own.alias("doc_id"), mark.alias("text_hash"), "text")
 
 
 def _arrays(names: list[str], columns: list) -> pa.RecordBatch:
@@ -203,12 +208,13 @@ def with_ranges(docs: DataFrame, length: int = LENGTH, name: str = "ranges") ->
 
     Texts are UTF-8 bytes; null is empty. A text of under ``length`` bytes has nothing to
     remove. Repeated rows are copies of one another. Long texts are read in pieces of
-    bounded size. A row without an id is neither changed nor compared. An empty table gives
-    an empty result; an input column called ``name`` is replaced.
+    bounded size. A row without an id is compared and cut like any other. An empty table
+    gives an empty result; an input column called ``name`` is replaced.
     """
     found = covered(keyed(docs), length)
     per_doc = found.distinct().groupBy(*KEY).agg(F.collect_list(F.struct("start", "end")).alias(name))  # as many as the text is long
-    marked = docs.drop(name).withColumn("_dedup_hash", F.hash("text")).withColumn("_dedup_id", F.col("doc_id").cast("long"))
+    own, mark = identity()
+    marked = docs.drop(name).withColumn("_dedup_hash", mark).withColumn("_dedup_id", own)
     keys = ["_dedup_id", "_dedup_hash"]
     return marked.join(per_doc.toDF(*keys, name), keys, "left").drop(*keys)
 
