@@ -5,9 +5,9 @@ Groups (equal texts) are sized by one aggregation. Every group larger than
 ``shards * units`` groups can be that large. The rest are united by hash into
 ``shards * units`` bundles, and a bundle goes through the heap as one item. So the
 driver holds at most ``2 * shards * units`` items whatever the size of the corpus,
-equal texts always share a shard, and shard sizes differ by at most the smallest
-items placed last. With few documents every group is its own item, which is the
-plain rule.
+equal texts always share a shard, and shard sizes differ by at most the items
+placed last. Whether a group enters the heap alone depends on its share of all
+bytes only; where no group is that small, this is the plain rule.
 
 Slots are numbered without sorting a whole shard in one task: rows fall into cells
 of a shard by a hash, cells are counted, and a slot is the cell's start plus the
@@ -59,7 +59,8 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, units: int = UNITS, i
     """
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).alias("doc_id"), utf8_bytes(F.col(text_col)).alias("bytes"), F.coalesce(F.crc32(F.col(text_col)), F.lit(0)).cast("long").alias("text_crc32"), group_key(F.col(text_col)).alias("g")).withColumn("size", F.col("bytes") + ROW_BYTES)
-    rows = written(rows.drop("bytes"), "shard-rows")
+    # kept in the table, so that repeated rows spread over cells in the same way whenever it is read
+    rows = written(rows.drop("bytes").withColumn("salt", F.pmod(F.monotonically_increasing_id(), F.lit(1024))), "shard-rows")
     groups = written(rows.groupBy("g").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")), "shard-groups")
     total, count = groups.agg(F.coalesce(F.sum("size"), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
     bundles = shards * units
@@ -74,14 +75,14 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, units: int = UNITS, i
         rows.join(alone_keys, "g", "left")
         .withColumn("bundle", F.when(F.col("own").isNull(), bundle_key(F.col("g"), bundles)))
         .join(bundle_shards, "bundle", "left")
-        .select("doc_id", "size", "text_crc32", F.coalesce("own", "shared").alias("shard"))
+        .select("doc_id", "size", "text_crc32", "salt", F.coalesce("own", "shared").alias("shard"))
     )
     return numbered(placed_rows, max(1, -(-count // (shards * ROWS_PER_CELL))) * 8)
 
 
 def numbered(rows: DataFrame, cells: int) -> DataFrame:
     """Gapless slots in each shard: cell starts from counts, then a row number inside each cell."""
-    rows = rows.withColumn("cell", F.pmod(F.xxhash64(F.lit(3), "doc_id", "text_crc32"), F.lit(cells)))
+    rows = rows.withColumn("cell", F.pmod(F.xxhash64(F.lit(3), "doc_id", "text_crc32", "salt"), F.lit(cells)))
     before = Window.partitionBy("shard").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
     starts = rows.groupBy("shard", "cell").agg(F.count(F.lit(1)).alias("n")).select("shard", "cell", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
     inside = Window.partitionBy("shard", "cell").orderBy("doc_id", "text_crc32")
