@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import atexit
-import gc
+import re
 import tempfile
 import uuid
 
@@ -14,6 +14,9 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: Bytes of a row group in written tables; a task holds one while it writes.
+ROW_GROUP = 32 << 20
+
 _own: dict[str, str] = {}
 
 
@@ -22,11 +25,13 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def work_dir(spark: SparkSession) -> str:
-    """The folder in ``spark.checkpoint.dir``; a temporary one only where that is unset (tests, one machine)."""
+    """The folder in ``spark.checkpoint.dir``; on one machine, where that is unset, a temporary one. A cluster must set it."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        root = _own.setdefault(spark.sparkContext.applicationId, "") or tempfile.mkdtemp(prefix="cloudlattice-")
-        _own[spark.sparkContext.applicationId] = root
+        context = spark.sparkContext
+        if not re.fullmatch(r"local(\[.*\])?", context.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        root = _own[context.applicationId] = _own.get(context.applicationId) or tempfile.mkdtemp(prefix="cloudlattice-")
     return root.rstrip("/")
 
 
@@ -46,7 +51,7 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP).parquet(path)
     atexit.register(_remove, spark, path)
     out = spark.read.schema(df.schema).parquet(path)
     out.work_path = path
@@ -54,12 +59,9 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
 
 
 def removed(*tables: DataFrame) -> None:
-    """Delete written tables that no later step reads, and let the engine drop shuffles that nothing refers to."""
+    """Delete written tables that no later step reads."""
     for table in tables:
         _remove(table.sparkSession, table.work_path)
-    gc.collect()
-    if tables:
-        tables[0].sparkSession._jvm.System.gc()
 
 
 def word_count(text: Column) -> Column:

@@ -133,13 +133,29 @@ def test_mixing(docs, rows, none):
     assert key(got) == key(mixing.mix_documents(docs.repartition(5)).collect())
     assert mixing.mix_documents(none).count() == 0
     assert mixing.mixed(docs).columns == docs.columns
+    # the tree's shards: near-equal numbers of draws, and each shard whole in a partition of the mix
+    drawn = Counter(d["shard"] for r in mixing.mix_documents(docs, shards=4).collect() for d in r["draws"])
+    assert set(drawn) == set(range(4))
+    placed = docs.withColumn("lang", F.monotonically_increasing_id().cast("string"))
+    of = {(r["lang"], d["epoch"]): d["shard"] for r in mixing.mix_documents(placed, shards=4).collect() for d in r["draws"]}
+    held = mixing.mixed(placed, shards=4).select("lang", F.spark_partition_id().alias("p")).collect()
+    homes = {}
+    for lang, n in Counter((r["lang"], r["p"]) for r in held).items():
+        homes.setdefault(lang[0], set()).add(lang[1])
+    parts = {}
+    for lang, where in homes.items():
+        shards = {s for (x, _), s in of.items() if x == lang}
+        assert len(where) <= len(shards)
+        if len(shards) == 1:
+            parts.setdefault(shards.pop(), set()).update(where)
+    assert all(len(p) == 1 for p in parts.values())
 
 
 def test_targets_and_tree():
     assert mixing.capped_targets([10, 100, 0], [1, 1, 1], 110) == pytest.approx([30, 80, 0])
-    dealt = mixing.split_quotas([10, 3, 0, 7], 5, random.Random(0))
-    assert np.array(dealt).sum(0).tolist() == [10, 3, 0, 7]
-    assert [sum(d) for d in dealt] == [4] * 5
+    dealt = mixing.split_quotas({0: 10, 1: 3, 3: 7}, 5, random.Random(0))
+    assert sum(map(Counter, dealt), Counter()) == {0: 10, 1: 3, 3: 7}
+    assert [sum(d.values()) for d in dealt] == [4] * 5
 
 
 def test_packing(docs, rows, none):
@@ -147,7 +163,6 @@ def test_packing(docs, rows, none):
 
     path = packing.default_tokenizer()
     own = Tokenizer.from_file(path)
-    own.encode_special_tokens = True
     ids = {r[0]: own.encode(r[1] or "", add_special_tokens=False).ids + [1] for r in rows}
     got = packing.pack_documents(docs, path).collect()
     whole, filled = Counter(), {}
@@ -172,7 +187,6 @@ def test_odd_texts_encode_like_the_tokenizer():
 
     path = packing.default_tokenizer()
     own, mine = Tokenizer.from_file(path), packing.Encoder(path)
-    own.encode_special_tokens = True
     for t in ["", " ", "a  b", "a\n\nb", "a \n b", " a", "b ", "²½ x1y2", "it's we'll", "日本 語　x", "tab\tx", "<|endoftext|> x", "a\x1cb", "é à\nü"]:
         assert np.frombuffer(mine(t), "<u4").tolist() == own.encode(t, add_special_tokens=False).ids
 
@@ -258,6 +272,25 @@ def test_licenses(spark):
     assert sorted((r["doc_id"], r["license"]) for r in got.collect()) == [(1, "Apache-2.0"), (4, "MIT"), (6, "CC-BY-NC-4.0")]
 
 
+def test_whole_license_texts_come_through_the_bands(spark, monkeypatch):
+    rows, want = [], []
+    for k, (name, text) in enumerate(licenses.TEMPLATES):
+        w = text.split()
+        if len(w) > 40:
+            w[len(w) // 2] = "changed"
+        rows += [(k, f"{prose(R.randint(0, 700))} {' '.join(w)} {prose(R.randint(0, 700))}", "x", "y"), (100 + k, " ".join(w[: len(w) // 2]), "x", "y")]
+        want.append((k, name))
+    rows += [rows[0], (None, rows[2][1], "x", "y"), (900, None, "x", "y"), (901, "", "x", "y")]
+    table = spark.createDataFrame(rows, "doc_id int, text string, class string, window string")
+    found = {(r["doc_id"], r["license"]) for r in licenses.scan(table).collect()}
+    assert set(want) <= found and {(d, n) for d, n in found if d is not None and d >= 100} <= {(100 + k, n) for k, n in want}
+    assert licenses.scan(table.where("false")).count() == 0
+    # without equal minima nothing is retrieved: rows come through the bands alone
+    own = licenses.catalogue(spark).withColumn("minima", F.transform("minima", lambda x: x + 1))
+    monkeypatch.setattr(licenses, "catalogue", lambda *_: own)
+    assert licenses.scan(table).count() == 0
+
+
 def test_toxicity(spark):
     bad = ["grobbel", "snarfle", "vexnot"]
     rows = []
