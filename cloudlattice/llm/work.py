@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: The engine's own setting: shuffle files go when the query that made them has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 #: Bytes of a row group in written tables; a task holds one while it writes.
 ROW_GROUP = 32 << 20
 
@@ -47,11 +49,17 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     """Write ``df`` as a table in the shared work folder and read it back.
 
     Cuts the lineage, is computed once, and survives lost executors because every
-    reader goes to the shared files. Removed when the driver ends, or by ``removed``.
+    reader goes to the shared files. Its shuffle files go as soon as it is written; the
+    table is removed when the driver ends, or by ``removed``.
     """
     spark = df.sparkSession
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP).parquet(path)
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP).parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
     atexit.register(_remove, spark, path)
     out = spark.read.schema(df.schema).parquet(path)
     out.work_path = path
