@@ -48,6 +48,8 @@ GROWTH = 1.5
 #: Cost of a false candidate against a signature, and the share of common elements that it assumes.
 FALSE_COST, COMMON = 20.0, 0.5
 BLOCK = 1024
+#: Bytes of sketches that are compared at once.
+COMPARED = 1 << 20
 #: Signatures that a task counts together before it sends them on.
 LOCAL = 1 << 19
 #: What a signature's row is, in its two lowest bits: the only set of it here, one of several that stands for all, one of several.
@@ -372,7 +374,10 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
     joined = components(first).withColumnsRenamed({"id": "set", "component_id": "root"})
     state = members.join(joined, "set", "left").select("sig", "set", F.coalesce("root", "set").alias("root"))
     # a signature of two sets is settled; any other with several components is not
-    unsettled = state.groupBy("sig").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size")).where("lo <> hi and size > 2")
+    prints = [F.bit_xor(F.xxhash64(F.lit(k), "set")).alias(f"print{k}") for k in (0, 1)]
+    open_ = state.groupBy("sig").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), *prints).where("lo <> hi and size > 2")
+    # signatures of the same members are looked at once
+    unsettled = open_.groupBy("size", "print0", "print1").agg(F.min("sig").alias("sig"))
     blocks = F.ceil(F.col("size") / F.lit(BLOCK)).cast("int")
     placed = state.join(unsettled.select("sig", blocks.alias("blocks")), "sig").withColumn("block", F.pmod(F.xxhash64("set"), F.col("blocks")).cast("int"))
     # a row for each pair of blocks that a member's block is part of
@@ -389,16 +394,16 @@ def links(docs: DataFrame, known: DataFrame, percent: int, words: int) -> DataFr
             if not a or not b or len({g[3] for g in group}) < 2:
                 return None
             size = min(len(g[4]) for g in group)
-            bits = lambda side: np.stack([folded(np.frombuffer(g[4], np.uint8), size) for g in side])
-            n = lambda side, k: np.array([g[k] for g in side], np.int64)
-            x, y = bits(a), bits(b)
+            x, y = (np.stack([folded(np.frombuffer(g[4], np.uint8), size) for g in side]).view(np.uint64) for side in (a, b))
+            (na, ra), (nb, rb) = (np.array([g[2:4] for g in side], np.int64).T for side in (a, b))
             hit_a, hit_b = np.zeros(len(a), bool), np.zeros(len(b), bool)
-            for at in range(len(a)):
-                total = n(a[at : at + 1], 2) + n(b, 2)
-                near = np.bitwise_count(x[at] ^ y).sum(1, dtype=np.int64) * (100 + percent) <= (100 - percent) * total
-                near &= n(b, 3) != a[at][3]
-                hit_a[at] = near.any()
-                hit_b |= near
+            step = max(1, COMPARED // y.nbytes)
+            for at in range(0, len(a), step):
+                some = slice(at, at + step)
+                differ = np.bitwise_count(x[some, None] ^ y[None]).sum(2, dtype=np.int64) * (100 + percent)
+                near = (differ <= (100 - percent) * (na[some, None] + nb[None])) & (ra[some, None] != rb[None])
+                hit_a[some] = near.any(1)
+                hit_b |= near.any(0)
             keep = {g[1]: g for side, hit in ((a, hit_a), (b, hit_b)) for g, h in zip(side, hit.tolist(), strict=True) if h}
             if not keep:
                 return None
