@@ -141,6 +141,29 @@ def hilbert_cells_numpy(key: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndar
     return out[0], out[1], out[2]
 
 
+def row_major_cells_numpy(key: np.ndarray, nx: int, ny: int) -> list[np.ndarray]:
+    return [key % nx, key // nx % ny, key // (nx * ny)]
+
+
+def cells_numpy(key: np.ndarray, curve: str, extent: int) -> list[np.ndarray]:
+    """The cells of keys that ``key_of`` made with this extent."""
+    if curve == "row_major":
+        return row_major_cells_numpy(key, extent, extent)
+    if curve == "block":
+        across = -(-extent // 8)
+        big, small = row_major_cells_numpy(key >> 9, across, across), row_major_cells_numpy(key & 511, 8, 8)
+        return [b * 8 + s for b, s in zip(big, small, strict=True)]
+    if curve == "hilbert":
+        return list(hilbert_cells_numpy(key, max(1, (extent - 1).bit_length())))
+    if curve != "morton":
+        raise ValueError(f"no curve named {curve}")
+    cell = [np.zeros(len(key), np.int64) for _ in range(3)]
+    for b in range(BITS):
+        for a in range(3):
+            cell[a] |= (key >> (3 * b + a) & 1) << b
+    return cell
+
+
 def hilbert_udf(bits: int):
     """Vectorised over Arrow batches; for cells, never for points."""
     @F.pandas_udf("long")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -82,10 +84,23 @@ def keyed(cloud: DataFrame, factor: float, curve: str = "morton", layout: str =
 
 
 def merged(*tables: DataFrame) -> DataFrame:
-    out = tables[0]
-    for t in tables[1:]:
-        out = out.unionByName(t)
-    return run_lengths(out)
+    return run_lengths(stacked(list(tables)))
+
+
+def stacked(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
+def hybrid_blocks(cells: DataFrame, shift: int, sparse: float) -> DataFrame:
+    """Blocks 2^shift lattice units wide with points n, cells m and ``kind``: those of under ``sparse`` points a cell enumerate points."""
+    blocks = cells.groupBy(*[F.shiftright(c, shift).alias(c) for c in CELL]).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("m"))
+    return blocks.withColumn("kind", F.when(F.col("n") < F.col("m") * F.lit(sparse), "points").otherwise("cells"))
+
+
+def as_of(rows: DataFrame, kind: str, frame: str, asking: str, by: list[str], time: str) -> DataFrame:
+    """Rows of kind ``asking`` with ``seen``, the time of the last ``frame`` of the same ``by`` at or before them: one window, no join."""
+    earlier = Window.partitionBy(*by).orderBy(time).rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    return rows.withColumn("seen", F.max(F.when(F.col(kind) == frame, F.col(time))).over(earlier)).where(F.col(kind) == asking)
 
 
 def changes(before: DataFrame, after: DataFrame) -> DataFrame:

@@ -67,6 +67,44 @@ def pack(codes: np.ndarray, lengths: np.ndarray) -> bytes:
     return np.packbits(bits).tobytes()
 
 
+def bits_at(bits: np.ndarray, start: np.ndarray, width: np.ndarray | int) -> np.ndarray:
+    """Numbers of ``width`` bits from places ``start``, highest bit first."""
+    width = np.broadcast_to(width, start.shape)
+    out = np.zeros(len(start), np.int64)
+    for b in range(int(width.max(initial=0))):
+        has = width > b
+        out[has] = out[has] << 1 | bits[start[has] + b]
+    return out
+
+
+def walked(step: np.ndarray, n: int) -> np.ndarray:
+    """The first ``n`` places from 0 on, each ``step`` of its own after the last.
+
+    Places are followed for a while one by one; then whole stretches at a time, by
+    steps that span 64 codes.
+    """
+    stride = 64
+    if n <= 4 * stride:
+        at, out, steps = 0, [], step.tolist()
+        for _ in range(n):
+            out.append(at)
+            at += steps[at] if at < len(steps) else 0
+        return np.array(out, np.int64)
+    top = len(step)
+    ahead = np.minimum(np.arange(top + 1) + np.append(step, 0), top)
+    far = ahead
+    for _ in range(6):  # 2^6 codes
+        far = far[far]
+    heads, at, jumps = [], 0, far.tolist()
+    for _ in range(-(-n // stride)):
+        heads.append(at)
+        at = jumps[at]
+    rows = [np.array(heads, np.int64)]
+    for _ in range(stride - 1):
+        rows.append(ahead[rows[-1]])
+    return np.stack(rows, 1).ravel()[:n]
+
+
 def huffman_decode(data: bytes, n: int, symbols: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Table look-up of the next ``MOST`` bits at every bit place, then a walk over places."""
     if n == 0:
@@ -75,47 +113,46 @@ def huffman_decode(data: bytes, n: int, symbols: np.ndarray, lengths: np.ndarray
     codes = canonical(lengths)
     order = np.argsort(codes << (most - lengths), kind="stable")
     first = (codes << (most - lengths))[order]
-    bits = np.unpackbits(np.frombuffer(data, np.uint8)).astype(np.int64)
-    bits = np.concatenate([bits, np.zeros(most, np.int64)])
-    window = np.zeros(len(bits) - most, np.int64)
+    bits = np.concatenate([np.unpackbits(np.frombuffer(data, np.uint8)), np.zeros(most, np.uint8)])
+    window = np.zeros(len(bits) - most, np.int32)
     for b in range(most):
         window = window << 1 | bits[b : b + len(window)]
     hit = order[np.searchsorted(first, window, "right") - 1]
-    step, at, out = lengths[hit].tolist(), 0, []
-    for _ in range(n):
-        out.append(at)
-        at += step[at]
-    return symbols[hit[np.array(out)]]
+    return symbols[hit[walked(lengths[hit], n)]]
+
+
+def bit_lengths(x: np.ndarray) -> np.ndarray:
+    """Bits of numbers above 0; a float's exponent is one too high where rounding carried it over."""
+    length = np.frexp(x.astype(np.float64))[1].astype(np.int64)
+    return length - ((x >> (length - 1)) == 0)
 
 
 def varints(values: np.ndarray) -> bytes:
     """Seven bits a byte, lowest first; for values that are not negative."""
-    out = bytearray()
-    for v in values.tolist():
-        while v > 127:
-            out.append(v & 127 | 128)
-            v >>= 7
-        out.append(v)
-    return bytes(out)
+    values = np.asarray(values, np.int64)
+    size = np.maximum(1, -(-np.where(values > 0, bit_lengths(np.maximum(values, 1)), 0) // 7))
+    ends = np.cumsum(size)
+    out = np.zeros(int(ends[-1]) if len(ends) else 0, np.uint8)
+    for b in range(int(size.max(initial=0))):
+        has = size > b
+        out[ends[has] - size[has] + b] = (values[has] >> (7 * b) & 127) | np.where(size[has] > b + 1, 128, 0)
+    return out.tobytes()
 
 
 def read_varints(data: bytes, n: int, at: int = 0) -> tuple[np.ndarray, int]:
-    out = []
-    for _ in range(n):
-        v = shift = 0
-        while True:
-            b = data[at]
-            at += 1
-            v |= (b & 127) << shift
-            shift += 7
-            if b < 128:
-                break
-        out.append(v)
-    return np.array(out, np.int64), at
+    """``n`` numbers from byte ``at`` on, and where they end."""
+    raw = np.frombuffer(data, np.uint8)[at : at + 10 * n].astype(np.int64)
+    last = np.flatnonzero(raw < 128)[:n]
+    if not n:
+        return np.zeros(0, np.int64), at
+    first = np.concatenate([[0], last[:-1] + 1])
+    place = np.arange(int(last[-1]) + 1)
+    shift = 7 * (place - np.repeat(first, last - first + 1))
+    return np.add.reduceat((raw[: len(place)] & 127) << shift, first), at + len(place)
 
 
 def golomb_bits(values: np.ndarray, k: int) -> int:
-    return int((2 * np.floor(np.log2((values >> k) + 1)).astype(np.int64) + 1 + k).sum()) if len(values) else 0
+    return int((2 * (bit_lengths((values >> k) + 1) - 1) + 1 + k).sum()) if len(values) else 0
 
 
 def golomb_order(values: np.ndarray) -> int:
@@ -123,30 +160,57 @@ def golomb_order(values: np.ndarray) -> int:
 
 
 def golomb_encode(values: np.ndarray, k: int) -> bytes:
+    """For each value a zero for every bit above ``k`` + 1, then the bits of the value plus 2^k."""
     x = values + (1 << k)
-    length = np.array([int(v).bit_length() for v in x.tolist()], np.int64)
-    # length - 1 - k zeros, then the bits of x
-    return pack(x, 2 * length - 1 - k) if (2 * length - 1 - k).max(initial=0) < 63 else _golomb_wide(x, length, k)
-
-
-def _golomb_wide(x: np.ndarray, length: np.ndarray, k: int) -> bytes:
-    bits = "".join("0" * (n - 1 - k) + bin(v)[2:] for v, n in zip(x.tolist(), length.tolist(), strict=True))
-    return int(bits.ljust(-(-len(bits) // 8) * 8, "0"), 2).to_bytes(-(-len(bits) // 8), "big") if bits else b""
+    if not len(x):
+        return b""
+    length = bit_lengths(x)
+    ends = np.cumsum(2 * length - 1 - k)
+    bits = np.zeros(int(ends[-1]), np.uint8)
+    for b in range(int(length.max())):
+        has = length > b
+        bits[ends[has] - 1 - b] = x[has] >> b & 1
+    return np.packbits(bits).tobytes()
 
 
 def golomb_decode(data: bytes, n: int, k: int) -> np.ndarray:
+    if n == 0:
+        return np.zeros(0, np.int64)
     bits = np.unpackbits(np.frombuffer(data, np.uint8))
-    ones = np.flatnonzero(bits)
-    text, out, at = bits.tolist(), [], 0
-    for _ in range(n):
-        one = int(ones[np.searchsorted(ones, at)])
-        width = one - at + 1 + k
-        v = 0
-        for b in text[one : one + width]:
-            v = v << 1 | b
-        out.append(v - (1 << k))
-        at = one + width
-    return np.array(out, np.int64)
+    place = np.arange(len(bits), dtype=np.int64)
+    one = np.minimum.accumulate(np.where(bits == 1, place, len(bits))[::-1])[::-1]  # the next one from each place
+    at = walked(np.minimum(2 * (one - place) + 1 + k, len(bits)), n)
+    return bits_at(bits, one[at], one[at] - at + 1 + k) - (1 << k)
+
+
+def escaped(symbols: np.ndarray, where: np.ndarray, counts: np.ndarray, values: np.ndarray, least: int = 2) -> tuple[bytes, bytes]:
+    """Dictionary and bits in which symbols rarer than ``least`` share the last code; their plain bits follow all codes."""
+    own = np.flatnonzero(counts >= least)
+    code = np.full(len(symbols), len(own))
+    code[own] = np.arange(len(own))
+    code = code[where] if len(where) else np.zeros(0, np.int64)
+    rare = values[code == len(own)]
+    kept = symbols[own]
+    lengths = huffman_lengths(np.arange(len(own) + 1), np.append(counts[own], max(len(rare), 1)))
+    width = int(rare.max(initial=0)).bit_length()
+    body = pack(canonical(lengths)[code], lengths[code])
+    head = varints(np.array([len(kept)])) + varints(np.diff(kept, prepend=0)) + lengths.astype(np.uint8).tobytes() + bytes([width]) + varints(np.array([len(body)]))
+    return head, body + (pack(rare, np.full(len(rare), width)) if width and len(rare) else b"")
+
+
+def unescaped(data: bytes, n: int) -> np.ndarray:
+    count, at = read_varints(data, 1)
+    gaps, at = read_varints(data, int(count[0]), at)
+    lengths = np.frombuffer(data[at : at + len(gaps) + 1], np.uint8).astype(np.int64)
+    width = data[at + len(gaps) + 1]
+    size, at = read_varints(data, 1, at + len(gaps) + 2)
+    code = huffman_decode(data[at : at + int(size[0])], n, np.arange(len(gaps) + 1), lengths)
+    out = np.append(np.cumsum(gaps), 0)[code]
+    rare = code == len(gaps)
+    if rare.any():
+        bits = np.unpackbits(np.frombuffer(data[at + int(size[0]) :], np.uint8))
+        out[rare] = bits_at(bits, np.arange(int(rare.sum())) * width, width) if width else 0
+    return out
 
 
 class Stream:
@@ -164,6 +228,8 @@ class Stream:
             body = pack(canonical(lengths)[where], lengths[where])
             if entropy == "huffman" or len(head) + len(body) <= 1 + golomb_bits(values, golomb_order(values)) // 8:
                 return cls("h", head, body)
+        if entropy == "escape":
+            return cls("e", *escaped(symbols, where, counts, values))
         if entropy == "fixed":
             width = int(values.max(initial=0)).bit_length()
             return cls("f", bytes([width]), pack(values, np.full(len(values), width)) if width else b"")
@@ -175,10 +241,11 @@ class Stream:
         kind, data = data[:1], data[1:]
         if kind == b"g":
             return golomb_decode(data[1:], n, data[0])
+        if kind == b"e":
+            return unescaped(data, n)
         if kind == b"f":
             width = data[0]
-            bits = np.unpackbits(np.frombuffer(data[1:], np.uint8))[: n * width].reshape(n, width).astype(np.int64)
-            return bits @ (1 << np.arange(width - 1, -1, -1, dtype=np.int64)) if width else np.zeros(n, np.int64)
+            return bits_at(np.unpackbits(np.frombuffer(data[1:], np.uint8)), np.arange(n) * width, width)
         count, at = read_varints(data, 1)
         gaps, at = read_varints(data, int(count[0]), at)
         lengths = np.frombuffer(data[at : at + len(gaps)], np.uint8).astype(np.int64)

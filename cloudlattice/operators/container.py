@@ -33,6 +33,7 @@ class CodecSpec:
     chunk_cells: int = CHUNK_CELLS
     quantizer: str = "bcc"
     delta: bool = True
+    keep_order: bool = False
 
 
 PRESETS = {"default": CodecSpec(), "compact": CodecSpec(curve="hilbert")}
@@ -40,8 +41,13 @@ PRESETS = {"default": CodecSpec(), "compact": CodecSpec(curve="hilbert")}
 HEADER = 8 * 4 + 4
 
 
-def encode_chunk(key: np.ndarray, n: np.ndarray, cell: np.ndarray, spec: CodecSpec, rle: bool) -> dict:
-    """One row from sorted keys, counts and cells (3, chunk)."""
+def encode_chunk(key: np.ndarray, n: np.ndarray, cell: np.ndarray, spec: CodecSpec, rle: bool, pid: np.ndarray | None = None) -> dict:
+    """One row from sorted keys, counts and cells (3, chunk); with ``pid``, from a row for each point."""
+    order = None
+    if pid is not None:
+        order = squeeze(Stream.encode(zigzag(np.diff(pid, prepend=0)), "auto").bytes(), spec.backend)
+        key, first, n = np.unique(key, return_index=True, return_counts=True)
+        cell = cell[:, first]
     seq = key if rle else np.repeat(key, n)
     stream = Stream.encode(np.diff(seq, prepend=seq[:1]) if spec.delta else seq - seq[0], spec.entropy)
     counts = Stream.encode(n - 1, spec.entropy) if rle else None
@@ -51,8 +57,8 @@ def encode_chunk(key: np.ndarray, n: np.ndarray, cell: np.ndarray, spec: CodecSp
     return {
         "key_first": int(key[0]), "key_last": int(key[-1]), "n_points": int(n.sum()), "n_cells": len(key),
         "lo_i": int(lo[0]), "lo_j": int(lo[1]), "lo_k": int(lo[2]), "hi_i": int(hi[0]), "hi_j": int(hi[1]), "hi_k": int(hi[2]),
-        "rle": rle, "entropy": stream.kind, "bytes_backend": spec.backend, "cell_blob": blob, "count_blob": count_blob, "order_blob": None,
-        "sz_dict": len(stream.head) + (len(counts.head) if counts else 0), "sz_cell": len(blob), "sz_count": len(count_blob or b""), "sz_header": HEADER + SIDECAR_BYTES,
+        "rle": rle, "entropy": stream.kind, "bytes_backend": spec.backend, "cell_blob": blob, "count_blob": count_blob, "order_blob": order,
+        "sz_dict": len(stream.head) + (len(counts.head) if counts else 0), "sz_cell": len(blob), "sz_count": len(count_blob or b""), "sz_header": HEADER + SIDECAR_BYTES + len(order or b""),
     }
 
 
@@ -66,6 +72,17 @@ def decode_chunk(row: dict, delta: bool = True) -> tuple[np.ndarray, np.ndarray]
     return np.unique(seq, return_counts=True)
 
 
+def zigzag(x: np.ndarray) -> np.ndarray:
+    """Signed numbers as 0, -1, 1, -2, 2 in turn."""
+    return np.where(x >= 0, 2 * x, -2 * x - 1)
+
+
+def decode_order(row: dict) -> np.ndarray:
+    """Ids of the points of a chunk, cell by cell."""
+    values = Stream.decode(unsqueeze(row["order_blob"]), row["n_points"])
+    return np.cumsum(np.where(values & 1, -(values >> 1) - 1, values >> 1))
+
+
 def wants_rle(keyed: DataFrame, mode: str) -> bool:
     """``auto``: on where there are at least 1.3 points to a cell."""
     if mode != "auto":
@@ -75,26 +92,30 @@ def wants_rle(keyed: DataFrame, mode: str) -> bool:
 
 
 def encode(keyed: DataFrame, spec: CodecSpec, parts: int = 1) -> DataFrame:
-    """Chunks of a table of key, i, j, k, n: sorted key ranges, one part each, encoded where they lie."""
-    rle = wants_rle(keyed, spec.rle)
-    ranged = keyed.select("key", "i", "j", "k", "n").repartitionByRange(parts, "key").sortWithinPartitions("key")
+    """Chunks of a table of key, i, j, k, n: sorted key ranges, one part each, encoded where they lie.
+
+    With ``keep_order`` the table has a row for each point, and its pid; a cell may then go on in the next chunk.
+    """
+    columns = ["key", "i", "j", "k", "n"] + ["pid"] * spec.keep_order
+    rle = wants_rle(keyed, spec.rle) or spec.keep_order
+    ranged = keyed.select(columns).repartitionByRange(parts, "key").sortWithinPartitions("key", *["pid"] * spec.keep_order)
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, number, held, size = TaskContext.get().partitionId(), 0, [], 0
 
         def row() -> pa.RecordBatch:
             nonlocal number
-            key, i, j, k, n = (np.concatenate([h[c] for h in held]) for c in range(5))
-            made = {"part": part, "chunk": (part << 32) + number, **encode_chunk(key, n, np.stack([i, j, k]), spec, rle)}
+            key, i, j, k, n, *pid = (np.concatenate([h[c] for h in held]) for c in range(len(columns)))
+            made = {"part": part, "chunk": (part << 32) + number, **encode_chunk(key, n, np.stack([i, j, k]), spec, rle, *pid)}
             number += 1
             return pa.RecordBatch.from_pylist([made], schema)
 
         for batch in batches:
-            columns = [batch.column(c).to_numpy(zero_copy_only=False) for c in range(5)]
+            got = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
             at = 0
-            while at < len(columns[0]):
-                take = min(spec.chunk_cells - size, len(columns[0]) - at)
-                held.append([c[at : at + take] for c in columns])
+            while at < len(got[0]):
+                take = min(spec.chunk_cells - size, len(got[0]) - at)
+                held.append([c[at : at + take] for c in got])
                 size, at = size + take, at + take
                 if size == spec.chunk_cells:
                     yield row()
@@ -107,38 +128,50 @@ def encode(keyed: DataFrame, spec: CodecSpec, parts: int = 1) -> DataFrame:
     return ranged.mapInArrow(task, FIELDS)
 
 
-def decode(chunks: DataFrame, curve: str, layout: str, bits: int = 21, delta: bool = True) -> DataFrame:
-    """chunk, key, i, j, k, n of every cell; no shuffle, as chunks stand alone. Cells come in slices of bounded size."""
+def decode(chunks: DataFrame, curve: str, layout: str, extent: int, delta: bool = True, order: bool = False) -> DataFrame:
+    """chunk, key, i, j, k, n of every cell, or with ``order`` a row and pid for every point.
+
+    No shuffle, as chunks stand alone. Rows come in slices of bounded size.
+    """
+    names = ["chunk", "key", "i", "j", "k", "n"] + ["pid"] * order
+    wanted = ["chunk", "key_first", "n_points", "n_cells", "rle", "cell_blob", "count_blob"] + ["order_blob"] * order
+    side = extent if layout == "raw" else (extent + 1) // 2
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for at in range(batch.num_rows):  # a chunk at a time
+                row = batch.slice(at, 1).to_pylist()[0]
                 key, n = decode_chunk(row, delta)
-                bare = key if layout == "raw" else key >> 1
-                if curve == "hilbert":
-                    cell = curves.hilbert_cells_numpy(bare, bits)
-                else:
-                    cell = [np.zeros(len(bare), np.int64) for _ in range(3)]
-                    for b in range(21):
-                        for a in range(3):
-                            cell[a] |= (bare >> (3 * b + a) & 1) << b
+                cell = curves.cells_numpy(key if layout == "raw" else key >> 1, curve, side)
                 if layout != "raw":
                     cell = [c * 2 + (key & 1) for c in cell]
-                for at in range(0, len(key), 65_536):
-                    s = slice(at, at + 65_536)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key[s]), row["chunk"])), pa.array(key[s]), *(pa.array(c[s]) for c in cell), pa.array(n[s])], ["chunk", "key", "i", "j", "k", "n"])
+                columns = [np.full(len(key), row["chunk"]), key, *cell, n]
+                if order:
+                    columns = [*(np.repeat(c, n) for c in columns[:5]), np.ones(int(n.sum()), np.int64), decode_order(row)]
+                for start in range(0, len(columns[0]), 65_536):
+                    yield pa.RecordBatch.from_arrays([pa.array(c[start : start + 65_536]) for c in columns], names)
 
-    wanted = ["chunk", "key_first", "n_points", "n_cells", "rle", "cell_blob", "count_blob"]
-    return chunks.select(*wanted).mapInArrow(task, "chunk long, key long, i long, j long, k long, n long")
+    return chunks.select(*wanted).mapInArrow(task, ", ".join(f"{c} long" for c in names))
 
 
-def compress(cloud: DataFrame, eb: float, spec: CodecSpec = CodecSpec(), parts: int = 1) -> DataFrame:
-    """Container rows of a cloud on the unit cube: combine points to cells, key, range-sort, encode."""
+def part_count(cloud: DataFrame) -> int:
+    """As many parts as the session shuffles into."""
+    return int(cloud.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
+def compress(cloud: DataFrame, eb: float, spec: CodecSpec = CodecSpec(), parts: int | None = None) -> DataFrame:
+    """Container rows of a cloud on the unit cube: combine points to cells, key, range-sort, encode.
+
+    Without ``parts`` there are as many as the session's shuffle partitions.
+    """
     factor = factor_of(eb, spec)
     extent = int(factor) + 3
-    cells = tables.occupied(cloud, factor, spec.quantizer)
+    if spec.keep_order:
+        cells = quantize.assign(cloud, factor, spec.quantizer).select(*quantize.CELL, F.lit(1).cast("long").alias("n"), "pid")
+    else:
+        cells = tables.occupied(cloud, factor, spec.quantizer)
     layout = spec.layout if spec.quantizer == "bcc" else "raw"
-    return encode(curves.attach(cells, spec.curve, extent, layout, udf=spec.curve == "hilbert"), spec, parts)
+    return encode(curves.attach(cells, spec.curve, extent, layout, udf=spec.curve == "hilbert"), spec, parts or part_count(cloud))
 
 
 def factor_of(eb: float, spec: CodecSpec) -> float:
@@ -146,13 +179,14 @@ def factor_of(eb: float, spec: CodecSpec) -> float:
 
 
 def decompress(chunks: DataFrame, eb: float, spec: CodecSpec = CodecSpec(), expand: bool = False) -> DataFrame:
-    """Cells with counts and centres x, y, z on the unit cube; ``expand`` repeats centres by their counts."""
+    """Cells with counts and centres x, y, z on the unit cube; ``expand`` repeats centres by their counts.
+
+    A container that keeps the order gives a row for every point, with its pid.
+    """
     factor = factor_of(eb, spec)
     layout = spec.layout if spec.quantizer == "bcc" else "raw"
-    extent = int(factor) + 3
-    bits = max(1, ((extent if layout == "raw" else (extent + 1) // 2) - 1).bit_length())
-    cells = decode(chunks, spec.curve, layout, bits, spec.delta)
-    if expand:
+    cells = decode(chunks, spec.curve, layout, int(factor) + 3, spec.delta, spec.keep_order)
+    if expand and not spec.keep_order:
         cells = tables.expand(cells.select("i", "j", "k", "n"))
     return cells.withColumns({a: F.col(c) / F.lit(factor) for a, c in zip("xyz", quantize.CELL, strict=True)})
 

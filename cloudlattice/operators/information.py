@@ -105,3 +105,37 @@ def kl_deviation(hist: DataFrame, theory: list[float], by: tuple[str, ...] = ())
         total = F.col("total")
     p = F.col("c") / total
     return hist.withColumn("t", p * F.ln(p / q)).groupBy(*by).agg(F.sum("c").alias("n_points"), F.sum("t").alias("delta"))
+
+
+def by_sequence(keys: DataFrame, by: list[str]) -> DataFrame:
+    """by, h_given, mutual, h_residual of many sequences of cells (columns of ``by``, key, n) in one plan.
+
+    Every entropy is that of a histogram of pairs (a, b); all histograms are one aggregation.
+    """
+    from cloudlattice.operators import cells as tables
+
+    order = tables.residuals_by(keys, by)
+    top = F.lit(1 << 62)
+    # the delta of the next cell, by the same residuals in falling order; the first of them has no next
+    ahead = tables.residuals_by(order.select(*by, (top - F.col("key")).alias("key"), "n", F.col("delta").alias("own")), by)
+    steps = ahead.select(*by, "n", "own", F.when(F.col("delta") < F.col("key"), F.col("delta")).alias("next"))
+    least = keys.groupBy(*by).agg(F.min("key").alias("least"))  # a row for each sequence
+    before = order.join(F.broadcast(least), by).select(*by, "key", "n", "delta", F.when(F.col("key") > F.col("least"), F.col("key") - F.col("delta")).alias("before"))
+    entry = lambda kind, a, b, c: F.struct(F.lit(kind).alias("kind"), a.cast("long").alias("a"), b.cast("long").alias("b"), c.cast("long").alias("c"))
+    one, zero, n = F.lit(1), F.lit(0), F.col("n")
+    pairs = []
+    for a, b, c in ((F.col("key"), F.col("key"), n - 1), (F.col("before"), F.col("key"), F.when(F.col("before").isNotNull(), 1).otherwise(0))):
+        pairs += [entry("pair", a, b, c), entry("first", a, zero, c)]
+    pairs += [entry("residual", F.col("delta"), zero, one), entry("residual", zero, zero, n - 1)]
+    # after a cell's own delta come n - 1 zeros, then the next cell's delta
+    following = ((F.col("own"), F.when(n > 1, 0).otherwise(F.col("next")), one), (zero, zero, n - 2), (zero, F.col("next"), F.when(n > 1, 1).otherwise(0)))
+    turns = []
+    for a, b, c in following:
+        held = F.when(b.isNull(), 0).otherwise(c)
+        turns += [entry("both", a, b, held), entry("was", a, zero, held), entry("now", b, zero, held)]
+    rows = before.select(*by, F.inline(F.array(*pairs))).unionByName(steps.select(*by, F.inline(F.array(*turns)))).where("c > 0")
+    counts = rows.groupBy(*by, "kind", "a", "b").agg(F.sum("c").alias("c"))
+    sums = counts.groupBy(*by, "kind").agg(F.sum("c").alias("t"), F.sum(F.col("c") * F.log2(F.col("c").cast("double"))).alias("s"))
+    h = sums.select(*by, "kind", (F.log2(F.col("t").cast("double")) - F.col("s") / F.col("t")).alias("h"))
+    of = lambda kind: F.max(F.when(F.col("kind") == kind, F.col("h")))
+    return h.groupBy(*by).agg((of("pair") - of("first")).alias("h_given"), (of("was") + of("now") - of("both")).alias("mutual"), of("residual").alias("h_residual"))

@@ -18,12 +18,25 @@ def distortion(cloud: DataFrame, factor: float, shape: str = "bcc", diagonal: fl
     return sums.withColumns({"psnr": F.log10(F.lit(diagonal**2) / F.col("mse")) * 10, "max_rel": F.col("max_err") / F.lit(diagonal)})
 
 
+#: A centre's neighbours within sqrt 5 lattice units: as far as the cell of a point that is nearer than the covering radius may lie.
+NEIGHBOURS = tuple((a, b, c) for a in (-1, 1) for b in (-1, 1) for c in (-1, 1)) + tuple(tuple(s if k == a else 0 for k in range(3)) for a in range(3) for s in (-2, 2))
+
+
 def hausdorff(cloud: DataFrame, factor: float) -> DataFrame:
-    """Both directed distances between points and centres, by cell: a centre's nearest point lies in its own cell
-    or farther than the cell's nearest, so the second is an upper bound, at most the first."""
-    e = F.sqrt(quantize.error_squared()) / F.lit(factor)
-    per_cell = quantize.assign(cloud, factor).groupBy(*quantize.CELL).agg(F.max(e).alias("far"), F.min(e).alias("near"))
-    return per_cell.agg(F.max("far").alias("from_points"), F.max("near").alias("from_cells"))
+    """Both directed distances between points and centres. A centre's nearest point may lie in a neighbouring cell."""
+    at = quantize.assign(cloud, factor)
+    around = F.array(*[F.struct(*[F.lit(v).alias(n) for v, n in zip(step, "abc", strict=True)]) for step in ((0, 0, 0), *NEIGHBOURS)])
+    told = at.select("u", "v", "w", *quantize.CELL, F.inline(around)).select("u", "v", "w", (F.col("i") + F.col("a")).alias("i"), (F.col("j") + F.col("b")).alias("j"), (F.col("k") + F.col("c")).alias("k"), (F.abs("a") + F.abs("b") + F.abs("c") == 0).alias("own"))
+    e2 = quantize.error_squared()
+    near = told.groupBy(*quantize.CELL).agg(F.min(e2).alias("near"), F.max(F.when(F.col("own"), e2)).alias("far")).where("far is not null")
+    return near.agg((F.sqrt(F.max("far")) / F.lit(factor)).alias("from_points"), (F.sqrt(F.max("near")) / F.lit(factor)).alias("from_cells"))
+
+
+def precision(cloud: DataFrame, factor: float) -> DataFrame:
+    """Largest error with centres written in single and in double precision."""
+    at = quantize.assign(cloud, factor)
+    centre = [(F.col(c) / F.lit(factor)).cast("float").cast("double") for c in quantize.CELL]
+    return at.agg(F.sqrt(F.max(quantize.squared([F.col(a) for a in "xyz"], centre))).alias("single"), (F.sqrt(F.max(quantize.error_squared())) / F.lit(factor)).alias("double"))
 
 
 def ratio(points: int, size: float) -> float:

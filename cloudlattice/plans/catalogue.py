@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cloudlattice.plans import codecs, geometry, ordering, regions, statistics, workloads
+from cloudlattice.plans import choices, codecs, geometry, ordering, rates, regions, statistics, workloads
 from cloudlattice.plans.workloads import flagship
 from cloudlattice.streaming import cells as stream
 
@@ -27,6 +27,6 @@ def _stream_sql() -> str:
     return f"SELECT day, i + {stream.SHIFT} AS i, j + {stream.SHIFT} AS j, k + {stream.SHIFT} AS k, count(*) AS n FROM ({duck.celled(at)}) GROUP BY ALL"
 
 
-_modules = (geometry, ordering, regions, codecs, statistics, workloads)
+_modules = (geometry, ordering, regions, codecs, statistics, rates, choices, workloads)
 QUERIES = {name: f for m in _modules for name, f in m.QUERIES.items()} | {"stream_cell_counts": stream_cell_counts}
 ORACLES = {name: sql for m in _modules for name, sql in m.ORACLES.items()} | {"stream_cell_counts": _stream_sql()}

@@ -178,11 +178,15 @@ def stencil_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _hausdorff_sql() -> str:
     f = duck.number(COARSE)
-    return f"SELECT {duck.rounded(f'max(sqrt(e2)) / {f}')} AS from_points, {duck.rounded(f'max(m)')} AS from_cells FROM (SELECT e2, NULL AS m FROM ({duck.celled(duck.at_factor('c_accounts', COARSE))}) UNION ALL SELECT NULL, min(sqrt(e2)) / {f} FROM ({duck.celled(duck.at_factor('c_accounts', COARSE))}) GROUP BY i, j, k)"
+    at = duck.celled(duck.at_factor("c_accounts", COARSE))
+    steps = ", ".join(map(str, ((0, 0, 0), *metrics.NEIGHBOURS)))
+    told = f"SELECT i + a AS i, j + b AS j, k + c AS k, (u - i - a) * (u - i - a) + (v - j - b) * (v - j - b) + (w - k - c) * (w - k - c) AS e2 FROM ({at}), (VALUES {steps}) s(a, b, c)"
+    near = f"SELECT max(near) FROM (SELECT min(e2) AS near FROM ({told}) JOIN (SELECT DISTINCT i, j, k FROM ({at})) USING (i, j, k) GROUP BY i, j, k)"
+    return f"SELECT {duck.rounded(f'sqrt((SELECT max(e2) FROM ({at}))) / {f}')} AS from_points, {duck.rounded(f'sqrt(({near})) / {f}')} AS from_cells"
 
 
 @registered(_hausdorff_sql())
 def hausdorff(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Largest distance from a point to its centre, and from a centre to its nearest point of the cell."""
+    """Largest distance from a point to its centre, and from a centre to its nearest point."""
     got = metrics.hausdorff(clouds.unit(spark, sf_dir, "c_accounts"), COARSE)
     return got.select(*[rounded(F.col(c)).alias(c) for c in got.columns])

@@ -153,7 +153,7 @@ def density_rho(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sweeps.cells(spark, sf_dir, ALL, sweeps.WIDE).groupBy("dataset", "eb").agg(F.sum("n").alias("n_points"), F.count(F.lit(1)).alias("n_cells"), rounded(F.sum("n") / F.count(F.lit(1))).alias("rho"))
 
 
-_GAIN_BOUNDS = (1e-3, 5e-3, 2e-2, 5e-2)
+_GAIN_BOUNDS = sweeps.WIDE
 
 
 @registered(
@@ -163,9 +163,12 @@ _GAIN_BOUNDS = (1e-3, 5e-3, 2e-2, 5e-2)
 )
 def density_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cubes needed for each truncated octahedron, at equal mean squared error and at equal largest error."""
-    count = lambda shape, name: sweeps.cells(spark, sf_dir, ALL, _GAIN_BOUNDS, shape).groupBy("dataset", "eb").agg(F.count(F.lit(1)).alias(name))
-    cubes = count("cube", "n_cube").withColumn("match", F.lit("l2max")).unionByName(count("cube_mse", "n_cube").withColumn("match", F.lit("mse")))
-    return count("bcc", "n_bcc").join(cubes, ["dataset", "eb"]).select("dataset", "eb", "match", "n_bcc", "n_cube", rounded(F.col("n_cube") / F.col("n_bcc")).alias("gain"))
+    # one scan of each cloud quantizes every point at every bound on all three lattices
+    held = sweeps.occupied(spark, sf_dir, ALL, _GAIN_BOUNDS, ("bcc", "cube", "cube_mse"))
+    of = lambda shape: F.max(F.when(F.col("shape") == shape, F.col("m")))
+    wide = held.groupBy("dataset", "eb").agg(of("bcc").alias("n_bcc"), of("cube").alias("l2max"), of("cube_mse").alias("mse"))
+    each = F.inline(F.array(*[F.struct(F.lit(m).alias("match"), F.col(m).alias("n_cube")) for m in ("l2max", "mse")]))
+    return wide.select("dataset", "eb", "n_bcc", each).select("dataset", "eb", "match", "n_bcc", "n_cube", rounded(F.col("n_cube") / F.col("n_bcc")).alias("gain"))
 
 
 def _kl_sql(shape: str) -> str:

@@ -88,7 +88,14 @@ def curve_morton_raw(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.keyed(clouds.unit(spark, sf_dir, "c_vectors"), COARSE, "morton", "raw")
 
 
-@registered(f"SELECT count(*) AS n_cells, 0::BIGINT AS wrong FROM ({duck.table('c_linekeys', bcc_factor(1e-3))})")
+def _decoded_sql() -> str:
+    part = lambda a: " + ".join(f"(((key >> {3 * b + a}) & 1) << {b})" for b in range(12))
+    keyed_at = f"SELECT i, j, k, {duck.morton('(i >> 1)', '(j >> 1)', '(k >> 1)')} AS key FROM ({duck.table('c_linekeys', bcc_factor(1e-3))})"
+    back = " OR ".join(f"({part(a)}) * 2 + (i & 1) <> {c}" for a, c in enumerate("ijk"))
+    return f"SELECT count(*) AS n_cells, count(*) FILTER (WHERE {back}) AS wrong FROM ({keyed_at})"
+
+
+@registered(_decoded_sql())
 def curve_morton_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cells whose key does not lead back to them: none."""
     at = tables.keyed(clouds.unit(spark, sf_dir, "c_linekeys"), bcc_factor(1e-3)).select(F.struct("i", "j", "k").alias("cell"), "key")
@@ -116,6 +123,7 @@ def delta_inverse(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _INFO = ("row_major", "block", "morton", "hilbert")
+_INFO_CLOUDS = ("c_vectors", "c_activity", "c_shipping", "c_sales", "c_corpus")
 
 
 def _info_sql(cloud: str, curve: str) -> str:
@@ -126,41 +134,16 @@ def _info_sql(cloud: str, curve: str) -> str:
     FROM (SELECT 1) WHERE true""".replace("FROM p", f"FROM (SELECT * FROM ({seq}) WHERE before IS NOT NULL)").replace("FROM q", f"FROM (SELECT * FROM (SELECT res, lag(res) OVER (ORDER BY pos) AS was FROM ({seq})) WHERE was IS NOT NULL)").replace("FROM s", f"FROM ({seq})")
 
 
-@registered(" UNION ALL ".join(_info_sql(c, k) for c in ("c_vectors", "c_activity") for k in _INFO))
+@registered(" UNION ALL ".join(_info_sql(c, k) for c in _INFO_CLOUDS for k in _INFO))
 def curve_information(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Entropy of a symbol given the one before, mutual information of residuals, entropy of residuals, by curve.
 
     All from counts: a run of n equal keys gives n - 1 pairs of the key with itself.
     """
-    out = None
-    for cloud in ("c_vectors", "c_activity"):
-        cells = tables.occupied(clouds.unit(spark, sf_dir, cloud), COARSE).persist()
-        for curve in _INFO:
-            order = tables.residuals(curves.attach(cells, curve, EXTENT).select("key", "n")).persist()
-            part = _information(order).select(F.lit(cloud).alias("dataset"), F.lit(curve).alias("curve"), *[rounded(F.col(c)).alias(c) for c in ("h_given", "mutual", "h_residual")])
-            out = part if out is None else out.unionByName(part)
-    return out
-
-
-def _information(order: DataFrame) -> DataFrame:
-    """``order``: key, n, delta of unique cells in one global order."""
-    h = lambda rows, by, name: info.entropy(rows.groupBy(*by).agg(F.sum("c").alias("c"))).select(F.col("h").alias(name))
-    some = lambda rows: rows.where("c > 0")
-    least = order.agg(F.min("key").alias("least"))
-    cross = order.crossJoin(F.broadcast(least)).where("key > least").select((F.col("key") - F.col("delta")).alias("before"), "key", F.lit(1).cast("long").alias("c"))
-    pairs = some(order.select(F.col("key").alias("before"), "key", (F.col("n") - 1).alias("c"))).unionByName(cross)
-    residual = some(order.select("delta", F.lit(1).cast("long").alias("c")).unionByName(order.select(F.lit(0).cast("long").alias("delta"), (F.col("n") - 1).alias("c"))))
-    # neighbours of residuals: after a cell's own delta come n - 1 zeros, then the next cell's delta
-    following = tables.residuals(order.select((-F.col("key")).alias("key"), "n", F.col("delta").alias("own")).withColumn("key", F.col("key") + F.lit(1 << 40))).select("own", "n", (F.col("delta")).alias("gap"), "key")
-    after = following.select("own", "n", F.when(F.col("gap") == F.col("key"), None).otherwise(F.col("gap")).alias("next"))  # keys are shifted up, so only the last has no next
-    steps = after.select(F.col("own").alias("was"), F.when(F.col("n") > 1, 0).otherwise(F.col("next")).alias("res"), F.lit(1).cast("long").alias("c"))
-    steps = steps.unionByName(some(after.select(F.lit(0).cast("long").alias("was"), F.lit(0).cast("long").alias("res"), (F.col("n") - 2).alias("c"))))
-    steps = steps.unionByName(after.where("n > 1").select(F.lit(0).cast("long").alias("was"), F.col("next").alias("res"), F.lit(1).cast("long").alias("c"))).where("res is not null")
-    rows = [h(pairs, ["before", "key"], "h2"), h(pairs, ["before"], "h1"), h(steps, ["was"], "r1"), h(steps, ["res"], "r0"), h(steps, ["was", "res"], "r2"), h(residual, ["delta"], "h_residual")]
-    joined = rows[0]
-    for r in rows[1:]:
-        joined = joined.crossJoin(r)  # single rows
-    return joined.select((F.col("h2") - F.col("h1")).alias("h_given"), (F.col("r1") + F.col("r0") - F.col("r2")).alias("mutual"), "h_residual")
+    cells = tables.stacked([tables.occupied(clouds.unit(spark, sf_dir, c), COARSE).withColumn("dataset", F.lit(c)) for c in _INFO_CLOUDS])
+    keys = tables.stacked([curves.attach(cells, k, EXTENT).select("dataset", F.lit(k).alias("curve"), "key", "n") for k in _INFO])
+    got = info.by_sequence(keys, ["dataset", "curve"])
+    return got.select("dataset", "curve", *[rounded(F.col(c)).alias(c) for c in ("h_given", "mutual", "h_residual")])
 
 
 @registered(f"SELECT n, count(*) AS cells FROM ({duck.table('c_sales', COARSE)}) GROUP BY n")
@@ -276,7 +259,7 @@ def parts_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts[0].unionByName(parts[1])
 
 
-@registered(f"SELECT count(*) AS n_cells, 0::BIGINT AS shared FROM ({duck.table('c_corpus', COARSE)})")
+@registered(f"SELECT count(*) AS n_cells, count(*) FILTER (WHERE owners > 1) AS shared FROM (SELECT i, j, k, count(DISTINCT owner) AS owners FROM ({_SPLIT}) GROUP BY i, j, k)")
 def parts_disjoint(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cells that two parts of the container hold: none."""
     spec = container.CodecSpec(chunk_cells=64)

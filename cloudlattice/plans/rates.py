@@ -48,7 +48,7 @@ def rows(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = NAMES) -> Da
     parts = []
     for name in names:
         raw = clouds.load(spark, sf_dir, name, keyed=True).select("pid", *AXES, *[F.col(a).alias(f"r{a}") for a in AXES])
-        parts.append(families.stored(clouds.unit_scale(raw, clouds.bounding_box(clouds.load(spark, sf_dir, name))), name, slice_bits(name)))
+        parts.append(families.stored(clouds.unit_scale(raw, clouds.box_of(spark, sf_dir, name)), name, slice_bits(name)))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -59,17 +59,17 @@ def measured(sized: DataFrame) -> DataFrame:
 
 
 _TABLE = "dataset string, eb double, codec string, cr double, bpp double, psnr double, max_rel double"
-_known: dict[tuple[str, str], list] = {}
+_known: dict[tuple, list] = {}
 
 
-def table(spark: SparkSession, sf_dir: str) -> DataFrame:
+def table(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = NAMES, bounds: tuple[float, ...] = sweeps.WIDE) -> DataFrame:
     """The rate-distortion table: a row for each cloud, bound and codec, made once a session as it is the base of several queries."""
-    key = (spark.sparkContext.applicationId, sf_dir)
+    key = (spark.sparkContext.applicationId, sf_dir, names, bounds)
     if key not in _known:
         patch = F.when(F.col("dataset") == "c_vectors", 48).otherwise(80)
-        held = rows(spark, sf_dir).persist()  # every codec reads it; spills to disk, and goes when the table is made
+        held = rows(spark, sf_dir, names).persist()  # every codec reads it; spills to disk, and goes when the table is made
         try:
-            _known[key] = [tuple(r) for r in measured(families.all_sizes(held, sweeps.WIDE, patch)).collect()]  # clouds x bounds x codecs
+            _known[key] = [tuple(r) for r in measured(families.all_sizes(held, bounds, patch)).collect()]  # clouds x bounds x codecs
         finally:
             held.unpersist()
     return spark.createDataFrame(_known[key], _TABLE)
@@ -215,7 +215,7 @@ def _errors_sql() -> str:
 
 
 @lru_cache
-def table_sql() -> str:
+def table_sql(names: tuple[str, ...] = NAMES, bounds: tuple[float, ...] = sweeps.WIDE) -> str:
     """The whole table as one statement over clouds and bounds."""
     sized = {"array_predictive": _predictive_sql(), "particle_block": _particle_sql(), "kdtree_split": _kdtree_sql(), "octree_occupancy": _octree_sql(), "float_bounded": _bounded_sql()}
     simple = " UNION ALL ".join([*(f"SELECT dataset, eb, '{c}' AS codec, bits FROM ({q})" for c, q in sized.items()), *(f"SELECT dataset, eb, codec, bits FROM ({_variant_sql(c, 'pts', 'dataset, eb')})" for c in ("to_morton", "to_hilbert", "cube_pipeline"))])
@@ -224,7 +224,7 @@ def table_sql() -> str:
     every = f"""SELECT dataset, eb, codec, n, bits, mse, worst FROM ({simple}) JOIN (VALUES {kinds}) k(codec, kind) USING (codec) JOIN errors USING (dataset, eb, kind)
         UNION ALL SELECT dataset, eb, 'float_lossless', n, bits, 0, 0 FROM errors JOIN ({_lossless_sql()}) USING (dataset) WHERE kind = 'bcc'
         UNION ALL SELECT dataset, eb, 'array_transform', n, bits, t.mse, t.worst FROM ({_transform_sql()}) t JOIN (SELECT dataset, eb, n FROM errors WHERE kind = 'bcc') USING (dataset, eb)"""
-    return f"""WITH stored AS MATERIALIZED ({_rows_sql()}), pts AS MATERIALIZED (SELECT stored.*, bounds.* FROM stored, {_bounds_sql(sweeps.WIDE)}), grid AS MATERIALIZED ({_grid_sql()}), errors AS MATERIALIZED ({_errors_sql()})
+    return f"""WITH stored AS MATERIALIZED ({_rows_sql(names)}), pts AS MATERIALIZED (SELECT stored.*, bounds.* FROM stored, {_bounds_sql(bounds)}), grid AS MATERIALIZED ({_grid_sql()}), errors AS MATERIALIZED ({_errors_sql()})
     SELECT dataset, eb, codec, {duck.rounded('n * 96 / bits', 4)} AS cr, {duck.rounded('bits / n', 4)} AS bpp, {psnr} AS psnr, {duck.rounded('sqrt(worst) / sqrt(3.0::DOUBLE)', 9)} AS max_rel FROM ({every})"""
 
 
@@ -290,7 +290,10 @@ def nemenyi_cliques(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs.select(F.col("a_codec").alias("better"), F.col("b_codec").alias("worse"), rounded(gap).alias("gap"), (gap <= difference).alias("tied"))
 
 
-@registered(f"WITH r AS MATERIALIZED (SELECT * FROM ({table_sql()}) WHERE psnr IS NOT NULL) SELECT dataset, eb, codec, psnr, cr FROM r a WHERE NOT EXISTS (SELECT 1 FROM r b WHERE b.dataset = a.dataset AND b.psnr >= a.psnr AND b.cr >= a.cr AND (b.psnr > a.psnr OR b.cr > a.cr))")
+_FRONT_SQL = "max(cr) OVER (PARTITION BY dataset ORDER BY psnr DESC RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW EXCLUDE GROUP)"
+
+
+@registered(f"SELECT dataset, eb, codec, psnr, cr FROM (SELECT *, {_FRONT_SQL} AS nearer, max(cr) OVER (PARTITION BY dataset, psnr) AS equal FROM ({table_sql()}) WHERE psnr IS NOT NULL) WHERE cr = equal AND (nearer IS NULL OR cr > nearer)")
 def pareto_front(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Codecs and bounds that no other beats in both error and ratio."""
     return ranking.pareto(table(spark, sf_dir).where("psnr IS NOT NULL").select("dataset", "eb", "codec", "psnr", "cr"))
@@ -313,6 +316,20 @@ def curve_gap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return gaps.groupBy("dataset").agg(F.count(F.lit(1)).alias("bounds"), extreme["gap"].alias("extreme_gap"), extreme["eb"].alias("extreme_eb"), F.sum((F.col("gap") > 0).cast("long")).alias("hilbert_better"))
 
 
+#: The published picture's ratio, on the densest cloud, and the bounds that are looked at.
+RATIO, RATIO_CLOUD = 110.0, ("c_shipping",)
+RATIO_BOUNDS = tuple(float(f"{2e-3 * 100 ** (k / 23):.4g}") for k in range(24))
+_OFF_SQL = f"abs(ln(cr / {duck.number(RATIO)}))"
+
+
+@registered(f"SELECT dataset, codec, arg_min(eb, ({_OFF_SQL}, eb)) AS eb, arg_min(cr, ({_OFF_SQL}, eb)) AS cr, arg_min(psnr, ({_OFF_SQL}, eb)) AS psnr FROM ({table_sql(RATIO_CLOUD, RATIO_BOUNDS)}) WHERE psnr IS NOT NULL GROUP BY dataset, codec")
+def fixed_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each codec's bound whose ratio is nearest to 110, and its error there."""
+    results = table(spark, sf_dir, RATIO_CLOUD, RATIO_BOUNDS).where("psnr IS NOT NULL")
+    nearest = F.min(F.struct(F.abs(F.log(F.col("cr") / RATIO)).alias("off"), "eb", "cr", "psnr"))
+    return results.groupBy("dataset", "codec").agg(nearest.alias("b")).select("dataset", "codec", "b.eb", "b.cr", "b.psnr")
+
+
 def _strides_sql() -> str:
     strides = ", ".join(f"({k})" for k in STRIDES)
     pts = f"SELECT stored.*, bounds.*, stride FROM stored, {_bounds_sql(sweeps.BOUNDS)}, (VALUES {strides}) t(stride) WHERE (pid // 1024 * 7 + pid % 1024) % stride = 0"

@@ -1,4 +1,4 @@
-"""Registered queries that compare methods: estimated sizes, ranks, cliques, Pareto fronts, strides."""
+"""Registered queries that take this method's choices apart: estimated sizes by lattice, curve and counts, density by stride."""
 
 from __future__ import annotations
 
@@ -10,7 +10,6 @@ from pyspark.sql import functions as F
 from cloudlattice.functions import curves
 from cloudlattice.functions.lattice import bcc_factor
 from cloudlattice.operators import cells as tables
-from cloudlattice.operators import metrics, ranking
 from cloudlattice.operators.information import rounded
 from cloudlattice.plans import duck, sweeps
 from cloudlattice.plans.ordering import KEYS
@@ -97,56 +96,6 @@ def estimated_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sizes(spark, sf_dir)
 
 
-_RANKS = f"SELECT dataset, eb, codec, (rank() OVER (PARTITION BY dataset, eb ORDER BY value DESC) + (count(*) OVER (PARTITION BY dataset, eb, value) - 1) / 2)::DOUBLE AS rank FROM ({sizes_sql()})"
-
-
-@registered(_RANKS)
-def friedman_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rank of each method in each block of cloud and bound."""
-    return ranking.ranks(sizes(spark, sf_dir))
-
-
-_K, _N = len(CODECS), len(NAMES) * len(BOUNDS)
-
-
-@registered(f"SELECT {_N}::BIGINT AS blocks, {_K} AS methods, {duck.rounded(f'12 * {_N} / ({_K} * ({_K} + 1.0::DOUBLE)) * (sum(m * m) - {_K * (_K + 1) ** 2 / 4}::DOUBLE)')} AS chi_square FROM (SELECT codec, avg(rank) AS m FROM ({_RANKS}) GROUP BY codec)")
-def friedman_statistic(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Friedman's statistic over the blocks."""
-    mean = ranking.mean_ranks(friedman_ranks(spark, sf_dir))
-    chi = F.lit(12.0) * F.max("blocks") / (_K * (_K + 1.0)) * (F.sum(F.col("mean_rank") * F.col("mean_rank")) - _K * (_K + 1) ** 2 / 4)
-    return mean.agg(F.max("blocks").alias("blocks"), F.count(F.lit(1)).cast("int").alias("methods"), rounded(chi).alias("chi_square"))
-
-
-@registered(f"SELECT a.codec AS better, b.codec AS worse, {duck.rounded('b.m - a.m')} AS gap, b.m - a.m <= {duck.number(ranking.critical_difference(_K, _N))} AS tied FROM (SELECT codec, avg(rank) AS m FROM ({_RANKS}) GROUP BY codec) a JOIN (SELECT codec, avg(rank) AS m FROM ({_RANKS}) GROUP BY codec) b ON (a.m, a.codec) < (b.m, b.codec)")
-def nemenyi_cliques(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs of methods with the gap of their mean ranks, and whether it is within the critical difference."""
-    mean = ranking.mean_ranks(friedman_ranks(spark, sf_dir)).persist()  # a row for each method
-    a, b = (mean.select(F.col("codec").alias(f"{s}_codec"), F.col("mean_rank").alias(f"{s}_m")) for s in "ab")
-    pairs = a.join(b, F.struct("a_m", "a_codec") < F.struct("b_m", "b_codec"))
-    gap = F.col("b_m") - F.col("a_m")
-    return pairs.select(F.col("a_codec").alias("better"), F.col("b_codec").alias("worse"), rounded(gap).alias("gap"), (gap <= ranking.critical_difference(_K, _N)).alias("tied"))
-
-
-def _points_sql() -> str:
-    unit = {"bcc": 5**0.5 / 2, "cube": 3**0.5 / 2}
-    psnr = " UNION ALL ".join(
-        f"SELECT '{s}' AS shape, dataset, eb, {duck.rounded('-10 * log10(avg(r * r) * any_value(eb) * any_value(eb))', 4)} AS psnr FROM (SELECT *, sqrt(e2) / {duck.number(unit[s])} AS r FROM ({duck.celled(duck.points(NAMES, BOUNDS, s), s)})) GROUP BY dataset, eb" for s in unit
-    )
-    return f"SELECT dataset, eb, codec, psnr, value AS cr FROM ({sizes_sql()}) JOIN ({psnr}) USING (dataset, eb) WHERE shape = CASE WHEN codec LIKE 'cube%' THEN 'cube' ELSE 'bcc' END"
-
-
-@registered(f"SELECT * FROM ({_points_sql()}) a WHERE NOT EXISTS (SELECT 1 FROM ({_points_sql()}) b WHERE b.dataset = a.dataset AND b.psnr >= a.psnr AND b.cr >= a.cr AND (b.psnr > a.psnr OR b.cr > a.cr))")
-def pareto_front(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Methods and bounds that no other beats in both error and ratio."""
-    psnr = None
-    for shape in ("bcc", "cube"):
-        at = sweeps.celled(sweeps.points(spark, sf_dir, NAMES, BOUNDS, shape), shape).withColumn("r", sweeps.errors(None, shape))
-        part = at.groupBy("dataset", "eb").agg(rounded(F.log10(F.avg(F.col("r") * F.col("r")) * F.first("eb") * F.first("eb")) * -10, 4).alias("psnr")).withColumn("shape", F.lit(shape))
-        psnr = part if psnr is None else psnr.unionByName(part)
-    results = sizes(spark, sf_dir).withColumn("shape", F.when(F.col("codec").startswith("cube"), "cube").otherwise("bcc"))
-    return ranking.pareto(results.join(psnr, ["dataset", "eb", "shape"]).select("dataset", "eb", "codec", "psnr", F.col("value").alias("cr")))
-
-
 _STRIDES = (32, 16, 8, 4, 2, 1)
 _DENSE = (5e-3, 2e-2, 5e-2)
 
@@ -175,10 +124,3 @@ def subsample_density(spark: SparkSession, sf_dir: str) -> DataFrame:
             part = part.select(F.lit(name).alias("dataset"), F.lit(eb).alias("eb"), "stride", "n_points", "n_cells")
             out = part if out is None else out.unionByName(part)
     return out
-
-
-@registered(f"SELECT dataset, eb, 0::BIGINT AS falls FROM ({_stride_sql()}) GROUP BY dataset, eb")
-def stride_monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Steps in which density falls as the stride shrinks: none."""
-    at = subsample_density(spark, sf_dir).withColumn("value", F.col("n_points") / F.col("n_cells"))
-    return metrics.falls(at)

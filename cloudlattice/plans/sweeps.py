@@ -37,6 +37,20 @@ def cells(spark: SparkSession, sf_dir: str, names: tuple[str, ...], bounds: tupl
     return celled(points(spark, sf_dir, names, bounds, shape), shape).groupBy("dataset", "eb", *quantize.CELL).agg(F.count(F.lit(1)).alias("n"))
 
 
+def occupied(spark: SparkSession, sf_dir: str, names: tuple[str, ...], bounds: tuple[float, ...], shapes: tuple[str, ...]) -> DataFrame:
+    """dataset, eb, shape, m: occupied cells of several lattices, from one scan of each cloud."""
+    factors = F.array(*[F.struct(F.lit(eb).alias("eb"), *[F.lit(FACTORS[s](eb)).alias(s) for s in shapes]) for eb in bounds])
+    parts = []
+    for name in names:
+        at = clouds.unit(spark, sf_dir, name).withColumn("b", F.explode(factors))
+        cells = []
+        for shape in shapes:
+            cell = quantize.QUANTIZERS[shape]([F.col(a) * F.col(f"b.{shape}") for a in "xyz"])
+            cells.append(F.struct(F.lit(shape).alias("shape"), *[c.cast("long").alias(n) for c, n in zip(cell, quantize.CELL, strict=True)]))
+        parts.append(at.select(F.lit(name).alias("dataset"), F.col("b.eb").alias("eb"), F.inline(F.array(*cells))))
+    return reduce(DataFrame.unionByName, parts).groupBy("dataset", "eb", "shape", *quantize.CELL).agg(F.lit(1).alias("_")).groupBy("dataset", "eb", "shape").agg(F.count(F.lit(1)).alias("m"))
+
+
 def errors(at: DataFrame, shape: str = "bcc") -> Column:
     """Error in units of eps of a row of ``celled``; eps is sqrt(5)/2, sqrt(3)/2 or 1/(2 sqrt 0.475) lattice units."""
     del at

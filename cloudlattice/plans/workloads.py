@@ -1,4 +1,4 @@
-"""Experiments on coded bytes: rate and distortion, ratios under targets, curves, ablations, parts, timings.
+"""Experiments on coded bytes: rate and distortion, ablations, dictionaries, parts, fixed ratios, timings.
 
 These use the byte coders, so they have no SQL form; the streams that they code do.
 """
@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from cloudlattice.functions import quantize
 from cloudlattice.functions.lattice import bcc_factor
-from cloudlattice.operators import baselines, container, metrics
+from cloudlattice.operators import container, metrics
 from cloudlattice.operators.container import CodecSpec
 from cloudlattice.sources import clouds
 
@@ -38,82 +38,37 @@ def coded(cloud: DataFrame, eb: float, spec: CodecSpec, parts: int = 1) -> DataF
     return sizes.crossJoin(metrics.distortion(cloud, container.factor_of(eb, spec), spec.quantizer)).drop("n")  # single rows
 
 
-def baseline_bits(spark: SparkSession, sf_dir: str, name: str, eb: float) -> dict[str, DataFrame]:
-    """codec: a single row of bits. Axis codecs keep eb / sqrt(3) an axis, so the point keeps eb."""
-    at = clouds.unit(spark, sf_dir, name, keyed=True)
-    levels = min(12, max(1, math.ceil(math.log2(1 / (2 * eb)))))
-    keys = baselines.cube_keys(at, levels)
-    entropy = lambda df: df.groupBy("axis").agg(F.sum("c").alias("t"), F.sum(F.col("c") * F.log2(F.col("c").cast("double"))).alias("s"), F.count(F.lit(1)).alias("d")).agg(F.sum(F.col("t") * F.log2(F.col("t").cast("double")) - F.col("s") + F.col("d") * 16).alias("bits"))
-    columns = union([at.select("pid", F.col(a).alias("v")) for a in "xyz"])
-    raw = union([clouds.load(spark, sf_dir, name, keyed=True).select((F.col("pid") + k * (1 << 50)).alias("pid"), F.col(a).alias("v")) for k, a in enumerate("xyz")])
-    blocks = baselines.block_deltas(at, math.sqrt(3) / (2 * eb * math.sqrt(3)))
-    streams = union([blocks.select(F.lit(c).alias("axis"), F.col(c).alias("v")) for c in ("dblock", "dlocal", "n")]).groupBy("axis", "v").agg(F.count(F.lit(1)).alias("c"))
-    return {
-        "array_predictive": entropy(baselines.predictive(at, eb)),
-        "array_transform": baselines.transform_blocks(at, eb).agg(F.sum("bits").alias("bits")),
-        "particle_block": entropy(streams),
-        "kdtree_split": baselines.kdtree_bits(keys, levels).agg(F.sum("split_bits").alias("bits")),
-        "octree_occupancy": baselines.octree_bits(baselines.octree_masks(keys, levels)).crossJoin(keys.agg(F.count(F.lit(1)).alias("m"))).select((F.col("context_bits") + F.col("m")).alias("bits")),
-        "float_lossless": baselines.float_lossless(raw).agg(F.sum("bits").alias("bits")),
-        "float_bounded": baselines.float_bounded(columns.select("v"), eb).agg(F.sum("bits").alias("bits")),
-    }
-
-
 @registered
-def rate_distortion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """dataset, eb, codec, cr, bpp, psnr, max_rel: this method's variants from coded bytes (a part of the clouds and bounds, see README)."""
+def coded_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """dataset, eb, codec, cr, bpp, psnr, max_rel: this method's variants from bytes as written (``rate_distortion`` has all codecs from code lengths)."""
     parts = []
     for name in NAMES:
-        at = clouds.unit(spark, sf_dir, name).persist()
+        at = clouds.unit(spark, sf_dir, name)
         for eb in BOUNDS:
             for codec, spec in OURS.items():
                 parts.append(coded(at, eb, spec).select(F.lit(name).alias("dataset"), F.lit(eb).alias("eb"), F.lit(codec).alias("codec"), "cr", "bpp", "psnr", "max_rel"))
     return union(parts)
 
 
-@registered
-def baseline_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """dataset, eb, codec, cr of the seven codec families at one bound."""
-    parts = []
-    for name in NAMES:
-        points = clouds.load(spark, sf_dir, name).agg(F.count(F.lit(1)).alias("n"))
-        for codec, bits in baseline_bits(spark, sf_dir, name, BOUNDS[1]).items():
-            parts.append(bits.crossJoin(points).select(F.lit(name).alias("dataset"), F.lit(BOUNDS[1]).alias("eb"), F.lit(codec).alias("codec"), (F.col("n") * 96 / F.col("bits")).alias("cr")))  # single rows
-    return union(parts)
-
-
-@registered
-def ratios_under_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The best ratio of each codec whose measured error keeps each target."""
-    results = rate_distortion(spark, sf_dir).persist()
-    return union([metrics.best_under_target(results, t).withColumn("target", F.lit(t)) for t in BOUNDS])
-
-
-@registered
-def curve_gap(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Hilbert against Z-order over bounds."""
-    return metrics.curve_gap(rate_distortion(spark, sf_dir))
-
-
 @registered
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One choice changed at a time: lattice, curve, layout, counts, residuals, coder, byte coder."""
     base = {"base": {}, "hilbert": {"curve": "hilbert"}, "row_major": {"curve": "row_major"}, "raw_keys": {"layout": "raw"}, "counts_off": {"rle": "off"}, "counts_on": {"rle": "on"}, "no_residuals": {"delta": False, "entropy": "fixed"}, "exp_golomb": {"entropy": "exp_golomb"}, "auto": {"entropy": "auto"}, "no_byte_coder": {"backend": "none"}, "cube": {"quantizer": "cube"}}
-    at = clouds.unit(spark, sf_dir, "c_corpus").persist()
-    return union([container.sizes(container.compress(at, 2e-2, CodecSpec(**change))).select(F.lit(name).alias("variant"), "n_points", "n_cells", "bytes_total", "cr", "metadata_share") for name, change in base.items()])
+    at = clouds.unit(spark, sf_dir, "c_corpus")
+    return union([container.sizes(container.compress(at, 2e-2, CodecSpec(**change), 1)).select(F.lit(name).alias("variant"), "n_points", "n_cells", "bytes_total", "cr", "metadata_share") for name, change in base.items()])
 
 
 @registered
 def metadata_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Dictionary bytes in all bytes as the ratio grows, with and without a dictionary."""
-    at = clouds.unit(spark, sf_dir, "c_shipping").persist()
-    return union([container.sizes(container.compress(at, eb, CodecSpec(entropy=e))).select(F.lit(eb).alias("eb"), F.lit(e).alias("entropy"), "cr", "metadata_share") for eb in (2e-2, 5e-2, 2e-1) for e in ("huffman", "exp_golomb")])
+    at = clouds.unit(spark, sf_dir, "c_shipping")
+    return union([container.sizes(container.compress(at, eb, CodecSpec(entropy=e), 1)).select(F.lit(eb).alias("eb"), F.lit(e).alias("entropy"), "cr", "metadata_share") for eb in (2e-2, 5e-2, 2e-1) for e in ("huffman", "exp_golomb")])
 
 
 @registered
 def ratio_retention(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ratio of 2 to 16 parts against one."""
-    at = clouds.unit(spark, sf_dir, "c_shipping").persist()
+    at = clouds.unit(spark, sf_dir, "c_shipping")
     rows = union([container.sizes(container.compress(at, 5e-3, CodecSpec(), parts)).select(F.lit(parts).alias("parts"), "cr") for parts in (1, 4, 16)])
     return rows.withColumn("kept", F.col("cr") / F.max(F.when(F.col("parts") == 1, F.col("cr"))).over(Window.partitionBy(F.lit(1))))  # three rows
 
@@ -123,7 +78,7 @@ def eps_for_ratio(cloud: DataFrame, ratio: float, spec: CodecSpec = CodecSpec(),
     low, high, best = math.log(1e-5), math.log(0.3), (0.0, math.inf)
     for _ in range(rounds):
         eb = math.exp((low + high) / 2)
-        got = container.sizes(container.compress(cloud, eb, spec)).first()["cr"]
+        got = container.sizes(container.compress(cloud, eb, spec, 1)).first()["cr"]
         if abs(math.log(got / ratio)) < abs(math.log(max(best[1], 1e-9) / ratio)) or best[0] == 0.0:
             best = (eb, got)
         low, high = ((low + high) / 2, high) if got < ratio else (low, (low + high) / 2)
@@ -131,10 +86,10 @@ def eps_for_ratio(cloud: DataFrame, ratio: float, spec: CodecSpec = CodecSpec(),
 
 
 @registered
-def fixed_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """At a ratio near 20: the bound, the error, and how unevenly it lies along the axes and the diagonal."""
+def coded_fixed_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """At a ratio near 20 of bytes as written: the bound, the error, and how unevenly it lies along the axes and the diagonal."""
     rows = []
-    at = clouds.unit(spark, sf_dir, "c_catalog").persist()
+    at = clouds.unit(spark, sf_dir, "c_catalog")
     for codec, spec in (("to_morton", CodecSpec()), ("cube_pipeline", CodecSpec(quantizer="cube"))):
         eb, cr = eps_for_ratio(at, 20.0, spec, rounds=7)
         factor = container.factor_of(eb, spec)
@@ -189,6 +144,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = clouds.unit(spark, sf_dir, "c_shipping")
     parts = []
     for eb in (1e-3, 2e-2):
-        sizes = container.sizes(container.compress(at, eb, CodecSpec()))
+        sizes = container.sizes(container.compress(at, eb, CodecSpec(), 1))
         parts.append(sizes.crossJoin(metrics.distortion(at, bcc_factor(eb))).select(F.lit(eb).alias("eb"), "n_points", "n_cells", (F.col("n_points") / F.col("n_cells")).alias("rho"), "max_rel", "psnr", "bpp", "cr"))  # single rows
     return union(parts)

@@ -96,8 +96,19 @@ def unit_scale(cloud: DataFrame, box: dict[str, float] | None = None) -> DataFra
     return cloud.withColumns({a: scaled(a) for a in AXES})
 
 
+_boxes: dict[tuple[str, str, str], dict[str, float]] = {}
+
+
+def box_of(spark: SparkSession, sf_dir: str, name: str) -> dict[str, float]:
+    """The box of a registered cloud, found once a session: six numbers."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _boxes:
+        _boxes[key] = bounding_box(load(spark, sf_dir, name))
+    return _boxes[key]
+
+
 def unit(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False) -> DataFrame:
-    return unit_scale(load(spark, sf_dir, name, keyed), bounding_box(load(spark, sf_dir, name)))
+    return unit_scale(load(spark, sf_dir, name, keyed), box_of(spark, sf_dir, name))
 
 
 def stride(cloud: DataFrame, k: int) -> DataFrame:

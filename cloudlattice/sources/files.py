@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import numpy as np
@@ -48,8 +49,14 @@ class CellSource(DataSource):
 
 
 class CellReader(DataSourceReader):
+    """Chunks decode as the container's manifest says."""
+
     def __init__(self, path: str):
+        import glob
+
         self.path = path
+        with open(sorted(glob.glob(f"{path}/manifest/part-*"))[0], encoding="utf-8") as held:
+            self.manifest = json.loads(held.readline())
 
     def partitions(self) -> list[InputPartition]:
         import pyarrow.dataset as ds
@@ -59,8 +66,9 @@ class CellReader(DataSourceReader):
     def read(self, partition: InputPartition) -> Iterator[pa.RecordBatch]:
         import pyarrow.parquet as pq
 
+        delta = self.manifest.get("delta", True)
         with pq.ParquetFile(partition.value) as held:
             for batch in held.iter_batches(16):
                 for row in batch.to_pylist():
-                    key, n = decode_chunk(row)
+                    key, n = decode_chunk(row, delta)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), row["chunk"])), pa.array(key), pa.array(n)], ["chunk", "key", "n"])

@@ -32,6 +32,22 @@ def windowed_counts(events: DataFrame, steps: tuple[float, float, float], window
     return at.groupBy(window.alias("window"), *quantize.CELL).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), *quantize.CELL, "n")
 
 
+def kind_counts(events: DataFrame, window: Column, late: str = "1 hour") -> DataFrame:
+    """Events by window, tumbling or sliding, and kind."""
+    at = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    if at.isStreaming:
+        at = at.withWatermark("ts", late)
+    return at.groupBy(window.alias("window"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), "event_type", "n")
+
+
+def sessions(events: DataFrame, gap: int, late: str = "1 hour") -> DataFrame:
+    """Events by user in sessions that end after ``gap`` quiet seconds."""
+    at = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    if at.isStreaming:
+        at = at.withWatermark("ts", late)
+    return at.groupBy("user_id", F.session_window("ts", f"{gap} seconds").alias("window")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("window.start").alias("start"), "n")
+
+
 def merge_batches(stream: DataFrame, path: str, checkpoint: str):
     """Start a query that adds each batch's cell table to a folder, one file set a batch; a batch that is run again replaces itself."""
 
