@@ -8,7 +8,8 @@ adjacent and whose bounding boxes are within ``eps`` are joined recursively: bot
 intervals are halved, pairs of halves that are provably farther apart are skipped,
 and what is left is compared in double precision.
 
-Equal vectors of one label are joined as one with its multiplicity. A block pair
+Equal vectors of one label are joined as one with its multiplicity. Neighbouring blocks
+are held as a group, to which each partner block is sent once. A block pair
 returns each vector's number of links and a spanning forest of the links found, so
 a group of near copies never turns into all its pairs as rows.
 """
@@ -30,6 +31,8 @@ from cloudlattice.llm.work import load, partitions_for, written
 
 LIMIT = 0.98
 BLOCK = 1024
+#: 2^GROUP_BITS neighbouring blocks are held together while their partners pass by.
+GROUP_BITS = 4
 LEAF = 128
 AXES = 8
 #: Axes on which the cells of two blocks have to be adjacent.
@@ -155,27 +158,43 @@ def link_table(vectors: DataFrame, limit: float = LIMIT, block: int = BLOCK) ->
         .select(F.col("block").alias("a"), F.col("block_b").alias("b"))
         .distinct()
     )
-    side = lambda s: blocks.select(F.col("block").alias(s), *(F.col(c).alias(f"{c}_{s}") for c in ("reps", "copies", "vectors")))
-    work = pairs.join(side("a"), "a").join(side("b"), "b")
+    # neighbouring blocks share most partners: a group of them holds its own vectors, and each partner is sent to the group once
+    payload = ["reps", "copies", "vectors"]
+    own = blocks.select(F.shiftright("block", GROUP_BITS).alias("group"), F.lit(0).alias("kind"), "block", *payload, F.array().cast("array<bigint>").alias("partners"))
+    asked = pairs.groupBy(F.shiftright("a", GROUP_BITS).alias("group"), F.col("b").alias("block")).agg(F.collect_list("a").alias("partners"))  # at most as many as a group has blocks
+    sent = asked.join(blocks.select("block", *payload), "block").select("group", F.lit(1).alias("kind"), "block", *payload, "partners")
+    work = own.unionByName(sent).repartition("group").sortWithinPartitions("group", "kind", "block")
+
+    def opened(row: dict) -> tuple[np.ndarray, ...]:
+        reps, copies = (np.frombuffer(row[c], np.int64) for c in ("reps", "copies"))
+        v = np.frombuffer(row["vectors"]).reshape(len(reps), -1)
+        return reps, copies, v, v / norms(v)[:, None] @ axes[v.shape[1]]
+
+    def compared(one: tuple, two: tuple, same: bool) -> pa.RecordBatch | None:
+        (ra, ca, a, ua), (rb, cb, b, ub) = one, two
+        shift = 0 if same else len(a)
+        na, nb, forest, edges = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64), Forest(shift + len(b)), []
+        for i, j in near(a, b, ua, ub, eps, limit, same):
+            np.add.at(na, i, cb[j])
+            np.add.at(nb, j, ca[i])
+            edges += [(x, y) for x, y in zip(i.tolist(), j.tolist(), strict=True) if forest.join(x, y + shift)]
+        rows = [(x, n, None) for rep, count in ((ra, na), (rb, nb)) for x, n in zip(rep[count > 0].tolist(), count[count > 0].tolist(), strict=True)]
+        rows += [(int(ra[x]), 0, int(rb[y])) for x, y in edges]
+        return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["rep", "links", "other"]) if rows else None
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group, held = None, {}
         for batch in batches:
-            for r in batch.to_pylist():
-                ra, rb = (np.frombuffer(r[f"reps_{s}"], np.int64) for s in "ab")
-                ca, cb = (np.frombuffer(r[f"copies_{s}"], np.int64) for s in "ab")
-                a, b = (np.frombuffer(r[f"vectors_{s}"]).reshape(len(x), -1) for s, x in (("a", ra), ("b", rb)))
-                ua, ub = (x / norms(x)[:, None] @ axes[x.shape[1]] for x in (a, b))
-                same = r["a"] == r["b"]
-                na, nb, forest, edges = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64), Forest(len(a) + (0 if same else len(b))), []
-                shift = 0 if same else len(a)
-                for i, j in near(a, b, ua, ub, eps, limit, same):
-                    np.add.at(na, i, cb[j])
-                    np.add.at(nb, j, ca[i])
-                    edges += [(x, y) for x, y in zip(i.tolist(), j.tolist(), strict=True) if forest.join(x, y + shift)]
-                rows = [(x, n, None) for rep, count in ((ra, na), (rb, nb)) for x, n in zip(rep[count > 0].tolist(), count[count > 0].tolist(), strict=True)]
-                rows += [(int(ra[x]), 0, int(rb[y])) for x, y in edges]
-                if rows:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["rep", "links", "other"])
+            for at in range(batch.num_rows):  # a block at a time
+                row = batch.slice(at, 1).to_pylist()[0]
+                if row["group"] != group:
+                    group, held = row["group"], {}
+                block = held.get(row["block"]) or opened(row)
+                if row["kind"] == 0:
+                    held[row["block"]] = block
+                for a in row["partners"]:
+                    if (out := compared(held[a], block, a == row["block"])) is not None:
+                        yield out
 
     found = written(work.mapInArrow(joined, "rep long, links long, other long"), "grid-links")
     counts = found.where("other is null").groupBy("rep").agg(F.sum("links").alias("links"))
