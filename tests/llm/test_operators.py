@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from cloudlattice.llm import ann, grid_join, html_extract, licenses, mixing, packing, sharding, shingle_join, suffix_dedup, toxicity
+from cloudlattice.llm import ann, grid_join, html_extract, licenses, mixing, packing, sharding, shingle_join, suffix_dedup, suffix_doubling, toxicity
 from cloudlattice.llm.graph import components
 
 R = random.Random(4)
@@ -99,6 +99,20 @@ def test_suffix_dedup(docs, rows, none):
     assert kept.columns == docs.columns and kept.count() == len(rows)
 
 
+def test_plain_doubling_finds_the_same_ranges(docs, none):
+    keyed = suffix_dedup.keyed(docs)
+
+    def spans(ranges):
+        found = {}
+        for r in ranges.collect():
+            found.setdefault((r["doc_id"], r["text_hash"]), []).append((r["start"], r["end"]))
+        return {k: suffix_dedup.merged(v) for k, v in found.items()}
+
+    for length in (100, 400):
+        assert spans(suffix_doubling.covered(keyed, length)) == spans(suffix_dedup.covered(keyed, length))
+    assert suffix_doubling.covered(suffix_dedup.keyed(none)).count() == 0
+
+
 def test_sharding(docs, rows, none):
     got = sharding.shard_documents(docs, 5).collect()
     assert len(got) == len(rows)
