@@ -138,6 +138,7 @@ def nearest(own: int, q: np.ndarray, guess: np.ndarray, ids: np.ndarray, unit: n
     other, one = ids != own, (q / np.sqrt(q @ q)).astype(np.float32)
     may = other
     if other.sum() > max(top, shortlist):
+        shortlist = max(top, shortlist)
         first = np.argpartition(np.where(other, -guess, np.inf), shortlist - 1)[:shortlist]
         reached = float(np.partition(unit[first] @ one, -top)[-top]) - margin
         if reached > 0:
@@ -157,7 +158,9 @@ def search(vectors: DataFrame, is_query: Column, top: int = TOP, shortlist: int
 
     Rows whose vector is null, zero, or holds null or non-finite components neither ask
     nor answer; a vector is compared with all others of its length. Ties go to the
-    smaller vec_id. An empty table gives an empty result.
+    smaller vec_id. Rows that repeat a vec_id are one candidate, by the nearest of them, and
+    one query, whose nearest are those of any of them; none answers itself. An empty
+    table gives an empty result.
     """
     spark = vectors.sparkSession
     rows = participants(vectors, "vec_id")
@@ -219,14 +222,16 @@ def search(vectors: DataFrame, is_query: Column, top: int = TOP, shortlist: int
                 v, q = np.frombuffer(r["vectors"], kind).reshape(len(ids), -1).astype(np.float64), np.frombuffer(r["queries"]).reshape(len(asked_ids), -1)
                 unit = (v / norms(v)[:, None]).astype(np.float32)
                 tables = model.value[r["width"]].tables(q / norms(q)[:, None])
+                # so many rows hold ``top`` ids, however they repeat
+                most = top * int(np.unique(ids, return_counts=True)[1].max())
                 out = [[], [], []]
                 for k, own in enumerate(asked_ids):
-                    best, score = nearest(own, q[k], scan(tables[k], codes), ids, unit, v, along, across, top, shortlist)
+                    best, score = nearest(own, q[k], scan(tables[k], codes), ids, unit, v, along, across, most, shortlist)
                     for held, new in zip(out, (np.full(len(best), own), ids[best], score), strict=True):
                         held.append(new)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(o)) for o in out], ["query_id", "vec_id", "score"])
 
-    scored = scans.mapInArrow(scanned, "query_id long, vec_id long, score double")
+    scored = scans.mapInArrow(scanned, "query_id long, vec_id long, score double").groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     by_score = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return scored.withColumn("rank", F.row_number().over(by_score)).where(F.col("rank") <= top).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 

@@ -17,4 +17,20 @@ QUERIES = {
     "op10_packing": packing.query,
 }
 
-ORACLES: dict[str, str] = {"op5_license_scan": licenses.oracle()}
+#: Every pair of documents that shares a shingle, counted in full; components by spreading every id along links.
+SHINGLE_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) >= 4 THEN list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' ')) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS x, len(w) >= 4 AS whole FROM w),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+links AS (SELECT a AS u, b AS v FROM (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS c FROM s p JOIN s q ON p.x = q.x AND p.whole = q.whole AND p.doc_id <> q.doc_id GROUP BY ALL) JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * c >= 85 * (x.n + y.n - c)),
+reach(doc_id, root) AS (SELECT doc_id, doc_id FROM documents UNION SELECT l.v, r.root FROM reach r JOIN links l ON l.u = r.doc_id)
+SELECT d.doc_id, coalesce(n, 0) AS n_shingles, root AS component_id FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT doc_id, min(root) AS root FROM reach GROUP BY doc_id) USING (doc_id)"""
+
+#: Every pair of vectors of one label.
+VECTOR_SQL = """
+WITH RECURSIVE ok AS (SELECT vec_id, label, embedding::DOUBLE[] AS v FROM embeddings WHERE label IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+links AS (SELECT a.vec_id AS u, b.vec_id AS v FROM ok a JOIN ok b ON a.label = b.label AND len(a.v) = len(b.v) AND a.vec_id <> b.vec_id WHERE list_cosine_similarity(a.v, b.v) >= 0.98),
+reach(vec_id, root) AS (SELECT vec_id, vec_id FROM embeddings UNION SELECT l.v, r.root FROM reach r JOIN links l ON l.u = r.vec_id)
+SELECT e.vec_id, coalesce(n, 0) AS n_links, root AS component_id, root = e.vec_id AS kept FROM embeddings e LEFT JOIN (SELECT u AS vec_id, count(*) AS n FROM links GROUP BY u) USING (vec_id) JOIN (SELECT vec_id, min(root) AS root FROM reach GROUP BY vec_id) USING (vec_id)"""
+
+ORACLES: dict[str, str] = {"op3_shingle_join": SHINGLE_SQL, "op4_grid_join": VECTOR_SQL, "op5_license_scan": licenses.oracle()}
