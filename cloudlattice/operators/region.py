@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -65,6 +67,39 @@ def count_index(sidecars: DataFrame, cells: DataFrame, balls: DataFrame, factor:
     return balls.select("qid").join(sums, "qid", "left").select("qid", F.coalesce("n_points", F.lit(0)).alias("n_points"))
 
 
+def count_chunks(chunks: DataFrame, balls: DataFrame, factor: float, curve: str, layout: str, extent: int, delta: bool = True) -> DataFrame:
+    """``count_index`` on container rows: a boundary chunk is decoded where it lies, and only its counts leave the task.
+
+    A chunk carries the balls that cross it (a stated set); distances are computed in the same order
+    of operations as in ``distance_squared``, so counts equal those of the full path.
+    """
+    from cloudlattice.functions import curves
+    from cloudlattice.operators.container import decode_chunk
+
+    classes = classify(chunks, balls, factor)
+    whole = classes.where("class = 'contained'").groupBy("qid").agg(F.sum("n_points").alias("n"))
+    asked = classes.where("class = 'boundary'").select("chunk", "qid").join(F.broadcast(balls), "qid").groupBy("chunk").agg(F.collect_list(F.struct("qid", *CENTRE, "r")).alias("balls"))
+    side = extent if layout == "raw" else (extent + 1) // 2
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(batch.num_rows):  # a chunk at a time
+                row = batch.slice(at, 1).to_pylist()[0]
+                key, n = decode_chunk(row, delta)
+                cell = curves.cells_numpy(key if layout == "raw" else key >> 1, curve, side)
+                place = [(c if layout == "raw" else c * 2 + (key & 1)) / factor for c in cell]
+                sums = []
+                for b in row["balls"]:
+                    x, y, z = (p - b[c] for p, c in zip(place, CENTRE, strict=True))
+                    sums.append(int(n[x * x + y * y + z * z <= b["r"] * b["r"]].sum()))
+                yield pa.RecordBatch.from_arrays([pa.array([b["qid"] for b in row["balls"]], pa.int64()), pa.array(sums, pa.int64())], ["qid", "n"])
+
+    wanted = ["chunk", "key_first", "n_points", "n_cells", "rle", "cell_blob", "count_blob"]
+    looked = chunks.select(*wanted).join(asked, "chunk").select(*wanted, "balls").mapInArrow(task, "qid long, n long")
+    sums = whole.unionByName(looked).groupBy("qid").agg(F.sum("n").alias("n_points"))
+    return balls.select("qid").join(sums, "qid", "left").select("qid", F.coalesce("n_points", F.lit(0)).alias("n_points"))
+
+
 def boundary(sidecars: DataFrame, balls: DataFrame, factor: float) -> DataFrame:
     return classify(sidecars, balls, factor).where("class = 'boundary'").select("chunk").distinct()
 

@@ -318,3 +318,10 @@ def session_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 def densest_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The twenty-five cells of most points; a report of the top, so the limit is the feature."""
     return tables.occupied(clouds.unit(spark, sf_dir, "c_activity"), COARSE).orderBy(F.desc("n"), "i", "j", "k").limit(25)
+
+
+@registered("SELECT user_id, 15::BIGINT AS seen, epoch_us(ts) AS crossed FROM (SELECT user_id, ts, row_number() OVER (PARTITION BY user_id ORDER BY ts) AS r FROM events) WHERE r = 15")
+def busy_users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Users with at least fifteen events, and when the fifteenth came; a stream keeps the same counts as state."""
+    found = stream.alerts(spark.read.parquet(f"{sf_dir}/events.parquet"), 15)
+    return found.select("user_id", "seen", F.unix_micros(F.from_utc_timestamp("crossed", F.current_timezone())).alias("crossed"))

@@ -103,9 +103,17 @@ def radius_count_full(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @registered(_count_sql())
 def radius_count_index(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The same counts from sidecars, with only boundary chunks decoded."""
+    """The same counts from sidecars, with only boundary chunks decoded, each where it lies."""
     spec = container.CodecSpec(chunk_cells=512)
-    chunks = container.compress(clouds.unit(spark, sf_dir, CLOUD), 0.02, spec).persist()
+    chunks = container.compress(clouds.unit(spark, sf_dir, CLOUD), 0.02, spec).persist()  # stands for a written container
+    return region.count_chunks(chunks, balls(spark, sf_dir), COARSE, spec.curve, spec.layout, int(COARSE) + 3)
+
+
+@registered(_count_sql())
+def radius_count_joined(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same again with the cells of boundary chunks joined to the balls that cross them."""
+    spec = container.CodecSpec(chunk_cells=512)
+    chunks = container.compress(clouds.unit(spark, sf_dir, CLOUD), 0.02, spec).persist()  # stands for a written container
     asked = balls(spark, sf_dir)
     edge = region.boundary(chunks, asked, COARSE)
     return region.count_index(chunks, container.decompress(chunks.join(edge, "chunk", "left_semi"), 0.02, spec), asked, COARSE)

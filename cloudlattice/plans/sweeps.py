@@ -38,17 +38,24 @@ def cells(spark: SparkSession, sf_dir: str, names: tuple[str, ...], bounds: tupl
 
 
 def occupied(spark: SparkSession, sf_dir: str, names: tuple[str, ...], bounds: tuple[float, ...], shapes: tuple[str, ...]) -> DataFrame:
-    """dataset, eb, shape, m: occupied cells of several lattices, from one scan of each cloud."""
-    factors = F.array(*[F.struct(F.lit(eb).alias("eb"), *[F.lit(FACTORS[s](eb)).alias(s) for s in shapes]) for eb in bounds])
+    """dataset, eb, shape, m: occupied cells of several lattices, from one scan of each cloud.
+
+    A row that is shuffled is two numbers: which sequence, and the cell with 21 bits an axis.
+    """
+    sets = [(name, eb, shape) for name in names for eb in bounds for shape in shapes]
+    number = {s: k for k, s in enumerate(sets)}
     parts = []
     for name in names:
-        at = clouds.unit(spark, sf_dir, name).withColumn("b", F.explode(factors))
+        factors = F.array(*[F.struct(F.lit(number[name, eb, shapes[0]]).alias("s"), *[F.lit(FACTORS[s](eb)).alias(s) for s in shapes]) for eb in bounds])
+        at = clouds.unit(spark, sf_dir, name).select("x", "y", "z", F.inline(factors))
         cells = []
-        for shape in shapes:
-            cell = quantize.QUANTIZERS[shape]([F.col(a) * F.col(f"b.{shape}") for a in "xyz"])
-            cells.append(F.struct(F.lit(shape).alias("shape"), *[c.cast("long").alias(n) for c, n in zip(cell, quantize.CELL, strict=True)]))
-        parts.append(at.select(F.lit(name).alias("dataset"), F.col("b.eb").alias("eb"), F.inline(F.array(*cells))))
-    return reduce(DataFrame.unionByName, parts).groupBy("dataset", "eb", "shape", *quantize.CELL).agg(F.lit(1).alias("_")).groupBy("dataset", "eb", "shape").agg(F.count(F.lit(1)).alias("m"))
+        for n, shape in enumerate(shapes):
+            i, j, k = (c.cast("long") for c in quantize.QUANTIZERS[shape]([F.col(a) * F.col(shape) for a in "xyz"]))
+            cells.append(F.struct((F.col("s") + n).alias("s"), F.shiftleft(i, 42).bitwiseOR(F.shiftleft(j, 21)).bitwiseOR(k).alias("cell")))
+        parts.append(at.select(F.inline(F.array(*cells))))
+    counted = reduce(DataFrame.unionByName, parts).distinct().groupBy("s").agg(F.count(F.lit(1)).alias("m"))
+    named = spark.createDataFrame([(k, *s) for s, k in number.items()], "s int, dataset string, eb double, shape string")
+    return counted.join(F.broadcast(named), "s").select("dataset", "eb", "shape", "m")  # a row for each sequence
 
 
 def errors(at: DataFrame, shape: str = "bcc") -> Column:

@@ -106,26 +106,102 @@ def timed(df: DataFrame) -> float:
     return time.perf_counter() - start
 
 
+def settled(cloud: DataFrame) -> DataFrame:
+    """The cloud as a cached table that later plans scan anew; drop it by ``unpersist``."""
+    held = cloud.persist()
+    held.count()
+    return held
+
+
+def mean_seconds(make, runs: int) -> float:
+    """Mean of runs, each of a plan made anew, so that no cached result of an earlier one is hit."""
+    return sum(timed(make()) for _ in range(runs)) / runs
+
+
 def quantizer_timing(spark: SparkSession, sf_dir: str, name: str = "c_shipping", runs: int = 3) -> list[dict]:
-    """Seconds of quantizing and of the whole compression, by lattice, the mean of runs."""
-    at = clouds.unit(spark, sf_dir, name).persist()
-    at.count()
+    """Seconds of quantizing and of the whole compression, by lattice, the mean of runs. Only the points are cached."""
+    at = settled(clouds.unit(spark, sf_dir, name))
     rows = []
     for shape in ("cube", "bcc"):
         spec = CodecSpec(quantizer=shape)
-        quantize_s = [timed(quantize.assign(at, container.factor_of(1e-3, spec), shape)) for _ in range(runs)]
-        total_s = [timed(container.compress(at, 1e-3, spec, 8)) for _ in range(runs)]
-        rows.append({"quantizer": shape, "quantize_s": sum(quantize_s) / runs, "total_s": sum(total_s) / runs})
+        factor = container.factor_of(1e-3, spec)
+        container.compress(at, 1e-3, spec, 8).write.format("noop").mode("overwrite").save()  # compiles the plan
+        rows.append({"quantizer": shape, "quantize_s": mean_seconds(lambda: quantize.assign(at, factor, shape), runs), "total_s": mean_seconds(lambda: container.compress(at, 1e-3, spec, 8), runs)})
+    at.unpersist()
+    return rows
+
+
+def throughput(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("c_shipping", "c_orders"), bounds: tuple[float, ...] = (1e-3, 2e-2), runs: int = 2) -> list[dict]:
+    """Raw megabytes a second in both directions against bits a point, by cloud, bound and variant. Only points and written bytes are cached."""
+    rows = []
+    for name in names:
+        at = settled(clouds.unit(spark, sf_dir, name))
+        mb = at.count() * 12 / 1e6
+        for eb in bounds:
+            for codec, spec in OURS.items():
+                there = mean_seconds(lambda: container.compress(at, eb, spec, 8), runs)
+                chunks = settled(container.compress(at, eb, spec, 8))
+                back = mean_seconds(lambda: container.decompress(chunks, eb, spec), runs)
+                rows.append({"dataset": name, "eb": eb, "codec": codec, "mb": round(mb, 2), "bpp": round(container.sizes(chunks).first()["bpp"], 3), "compress_mb_s": round(mb / there, 2), "decompress_mb_s": round(mb / back, 2)})
+                chunks.unpersist()
+        at.unpersist()
+    return rows
+
+
+def query_latency(spark: SparkSession, sf_dir: str, path: str, name: str = "c_shipping", eb: float = 1e-3, chunks: tuple[int, ...] = (8, 32)) -> list[dict]:
+    """Milliseconds for fifty balls on a written container, by full decoding and by sidecars, with the share that is skipped and the sidecars' share of all bytes."""
+    from cloudlattice.operators import region
+    from cloudlattice.plans import regions
+
+    cloud = settled(clouds.unit(spark, sf_dir, name))
+    factor = bcc_factor(eb)
+    cells = container.sizes(container.compress(cloud, eb, CodecSpec(), 8)).first()["n_cells"]
+    rows = []
+    for count in chunks:
+        spec = CodecSpec(chunk_cells=-(-cells // count), entropy="auto")
+        where = f"{path}/{name}-{count}"
+        container.write(container.compress(cloud, eb, spec, 1), where, eb, spec, {})
+        held, _, _, _ = container.read(spark, where)
+        share = container.sizes(held).first()["sidecar_share"]
+        for radius in (0.02, 0.05, 0.10):
+            asked = regions.balls(spark, sf_dir).where(F.col("r") == F.lit(radius * math.sqrt(3))).persist()
+            balls = asked.count()
+            full = lambda: region.count_full(container.decompress(held, eb, spec).select("i", "j", "k", "n"), asked, factor)  # noqa: B023, E731
+            index = lambda: region.count_chunks(held, asked, factor, spec.curve, spec.layout, int(factor) + 3)  # noqa: B023, E731
+            same = full().exceptAll(index()).count() == 0
+            skip = region.skip_report(held, asked, factor).first()
+            full_ms, index_ms = (1000 * mean_seconds(f, 2) / max(balls, 1) for f in (full, index))
+            rows.append({"dataset": name, "chunks": held.count(), "radius": radius, "balls": balls, "full_ms": round(full_ms, 2), "index_ms": round(index_ms, 2), "speed_up": round(full_ms / index_ms, 2), "skipped": round(skip["skipped"] / max(skip["pairs"], 1), 3), "sidecar_share": round(share, 5), "equal": same})
+            asked.unpersist()
+    cloud.unpersist()
+    return rows
+
+
+def scaling(spark: SparkSession, sf_dir: str, name: str = "c_shipping", eb: float = 1e-3, parts: tuple[int, ...] = (1, 2, 4, 8, 16)) -> list[dict]:
+    """Seconds of the compression by number of parts on the session's cores, the ratio, and the share of task time spent on the shuffle."""
+    at = settled(clouds.unit(spark, sf_dir, name))
+    rows = []
+    for count in parts:
+        make = lambda: container.compress(at, eb, CodecSpec(), count)  # noqa: B023, E731
+        timed(make())
+        before = shuffle_times(spark)
+        seconds = mean_seconds(make, 2)
+        run, moved = (b - a for a, b in zip(before, shuffle_times(spark), strict=True))
+        rows.append({"cores": spark.sparkContext.defaultParallelism, "parts": count, "seconds": round(seconds, 3), "cr": round(container.sizes(make()).first()["cr"], 4), "shuffle_share": round(moved / max(run, 1), 4)})
+    at.unpersist()
     return rows
 
 
-def throughput(spark: SparkSession, sf_dir: str, name: str = "c_shipping", eb: float = 1e-3) -> dict:
-    """Raw megabytes a second in both directions."""
-    at = clouds.unit(spark, sf_dir, name).persist()
-    mb = at.count() * 12 / 1e6
-    chunks = container.compress(at, eb, CodecSpec(), 8).persist()
-    there = timed(chunks)
-    return {"mb": mb, "compress_mb_s": mb / there, "decompress_mb_s": mb / timed(container.decompress(chunks, eb))}
+def shuffle_times(spark: SparkSession) -> tuple[float, float]:
+    """Milliseconds of all tasks so far, and of those the ones that wrote or waited for shuffled data."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    stages = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), spark._jvm.java.util.ArrayList())
+    run = moved = 0.0
+    for k in range(stages.size()):
+        s = stages.apply(k)
+        run += s.executorRunTime()
+        moved += s.shuffleWriteTime() / 1e6 + s.shuffleFetchWaitTime()
+    return run, moved
 
 
 def lossless_storage(spark: SparkSession, sf_dir: str, name: str, path: str) -> list[tuple[str, float]]:

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import json
+import os
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
 
 from cloudlattice.operators.container import decode_chunk
 
@@ -47,6 +49,9 @@ class CellSource(DataSource):
     def reader(self, schema) -> DataSourceReader:
         return CellReader(self.options["path"])
 
+    def writer(self, schema, overwrite: bool) -> DataSourceWriter:
+        return ChunkWriter(self.options, schema.names)
+
 
 class CellReader(DataSourceReader):
     """Chunks decode as the container's manifest says."""
@@ -72,3 +77,57 @@ class CellReader(DataSourceReader):
                 for row in batch.to_pylist():
                     key, n = decode_chunk(row, delta)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), row["chunk"])), pa.array(key), pa.array(n)], ["chunk", "key", "n"])
+
+
+@dataclass
+class Written(WriterCommitMessage):
+    """A part file that a task has finished, still under its temporary name."""
+
+    waiting: str
+    final: str
+
+
+class ChunkWriter(DataSourceArrowWriter):
+    """Container rows as part files by ``df.write.format("cloudlattice").option("path", ...).option("manifest", json)``.
+
+    A task writes a file under a name that readers skip; the files get their names and the
+    manifest is written when all tasks have committed, so a failed job leaves nothing to read.
+    """
+
+    def __init__(self, options: dict, names: list[str]):
+        if "manifest" not in options:
+            raise ValueError("option manifest: the container's specification as JSON")
+        self.path, self.manifest, self.names = options["path"], options["manifest"], names
+
+    def write(self, batches: Iterator[pa.RecordBatch]) -> WriterCommitMessage:
+        import uuid
+
+        import pyarrow.parquet as pq
+        from pyspark import TaskContext
+
+        folder = f"{self.path}/chunks/part={TaskContext.get().partitionId()}"
+        name = uuid.uuid4().hex
+        waiting, out = f"{folder}/_{name}", None
+        os.makedirs(folder, exist_ok=True)
+        for batch in batches:
+            held = pa.Table.from_batches([batch])
+            held = held.drop_columns(["part"]) if "part" in held.column_names else held
+            out = out or pq.ParquetWriter(waiting, held.schema, compression="none")
+            out.write_table(held)
+        if out is None:
+            return Written("", "")
+        out.close()
+        return Written(waiting, f"{folder}/{name}.parquet")
+
+    def commit(self, messages: list) -> None:
+        for m in messages:
+            if m and m.waiting:
+                os.replace(m.waiting, m.final)
+        os.makedirs(f"{self.path}/manifest", exist_ok=True)
+        with open(f"{self.path}/manifest/part-0.txt", "w", encoding="utf-8") as held:
+            held.write(self.manifest)
+
+    def abort(self, messages: list) -> None:
+        for m in messages:
+            if m and m.waiting and os.path.exists(m.waiting):
+                os.remove(m.waiting)

@@ -7,7 +7,7 @@ their parity and stay above zero.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from cloudlattice.functions import quantize
@@ -48,6 +48,31 @@ def sessions(events: DataFrame, gap: int, late: str = "1 hour") -> DataFrame:
     return at.groupBy("user_id", F.session_window("ts", f"{gap} seconds").alias("window")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("window.start").alias("start"), "n")
 
 
+ALERT = "user_id long, seen long, crossed timestamp"
+
+
+def alerts(events: DataFrame, least: int) -> DataFrame:
+    """user_id, seen, crossed: users whose events reach ``least``, once each, with the time of the event that did it.
+
+    On a stream the count of each user is kept as state; rows that repeat a time count each.
+    """
+    import pandas as pd
+
+    at = events.select(F.col("user_id").cast("long").alias("user_id"), F.col("ts").cast("timestamp").alias("ts"))
+
+    def step(key, batches, state):
+        seen = state.get[0] if state.exists else 0
+        times = sorted(t for batch in batches for t in batch["ts"])
+        if seen < least <= seen + len(times):
+            yield pd.DataFrame({"user_id": [key[0]], "seen": [least], "crossed": [times[least - seen - 1]]})
+        state.update((seen + len(times),))
+
+    if at.isStreaming:
+        return at.groupBy("user_id").applyInPandasWithState(step, ALERT, "seen long", "append", "NoTimeout")
+    order = Window.partitionBy("user_id").orderBy("ts")
+    return at.withColumn("seen", F.row_number().over(order).cast("long")).where(F.col("seen") == least).select("user_id", "seen", F.col("ts").alias("crossed"))
+
+
 def merge_batches(stream: DataFrame, path: str, checkpoint: str):
     """Start a query that adds each batch's cell table to a folder, one file set a batch; a batch that is run again replaces itself."""
 

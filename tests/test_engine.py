@@ -15,7 +15,7 @@ from cloudlattice.sources import clouds, files
 from cloudlattice.streaming import cells as stream
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHECKED = ["cell_goldens", "bcc_vs_brute", "fcc_cells", "curve_hilbert", "curve_morton", "delta_stream", "sidecars", "radius_count_index", "radial_profile", "octree_bits", "float_lossless_bits", "frame_change", "dense_regions", "stream_cell_counts", "parts_balance", "parts_disjoint", "curve_morton_roundtrip", "rate_distortion", "ratios_under_targets", "friedman_ranks", "nemenyi_cliques", "pareto_front", "stride_monotone", "axis_streams", "escape_bits", "chunk_skips", "last_frame", "session_counts", "hausdorff", "guarded_bound"]
+CHECKED = ["cell_goldens", "bcc_vs_brute", "fcc_cells", "curve_hilbert", "curve_morton", "delta_stream", "sidecars", "radius_count_index", "radial_profile", "octree_bits", "float_lossless_bits", "frame_change", "dense_regions", "stream_cell_counts", "parts_balance", "parts_disjoint", "curve_morton_roundtrip", "rate_distortion", "ratios_under_targets", "friedman_ranks", "nemenyi_cliques", "pareto_front", "stride_monotone", "axis_streams", "escape_bits", "chunk_skips", "last_frame", "session_counts", "hausdorff", "guarded_bound", "density_gain", "radius_count_joined", "busy_users"]
 
 
 @pytest.fixture(scope="module")
@@ -175,3 +175,77 @@ def test_stream_equals_batch(spark, sf_dir, tmp_path):
     stream.merge_batches(live, str(tmp_path / "out"), str(tmp_path / "check")).awaitTermination()
     want = cells.run_lengths(stream.event_cells(events, catalogue.STEPS).select(*quantize.CELL))
     assert sorted(map(tuple, stream.merged_table(spark, str(tmp_path / "out")).collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_alerts_of_a_stream_equal_those_of_the_table(spark, sf_dir, tmp_path):
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select("ts", "user_id")
+    events.orderBy("ts").repartitionByRange(3, "ts").write.parquet(str(tmp_path / "in"))
+    live = stream.alerts(spark.readStream.schema(events.schema).parquet(str(tmp_path / "in")), 12)
+    live.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start().awaitTermination()
+    read = lambda df: sorted((r["user_id"], r["seen"], r["crossed"]) for r in df.collect())
+    want = read(stream.alerts(events, 12))
+    assert want and read(spark.read.parquet(str(tmp_path / "out"))) == want
+
+
+def test_sessions_and_sliding_windows_of_a_stream(spark, sf_dir, tmp_path):
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select("ts", "user_id", "event_type")
+    events.write.parquet(str(tmp_path / "in"))
+    live = stream.kind_counts(spark.readStream.schema(events.schema).parquet(str(tmp_path / "in")), F.window("ts", "2 days", "1 day"), "60 days")
+    live.writeStream.format("memory").queryName("sliding").outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    want = stream.kind_counts(events, F.window("ts", "2 days", "1 day"))
+    assert sorted(map(tuple, spark.table("sliding").collect())) == sorted(map(tuple, want.collect()))
+    assert stream.sessions(events, 3600).agg(F.sum("n")).first()[0] == events.count()
+
+
+def test_table_function_decodes_chunks(spark, sf_dir):
+    sql.register(spark)
+    chunks = container.compress(clouds.unit(spark, sf_dir, "c_catalog"), 0.02, container.CodecSpec(chunk_cells=50), 2)
+    chunks.createOrReplaceTempView("chunks")
+    got = spark.sql("SELECT d.key, d.n FROM chunks c, LATERAL decode_chunk(c.key_first, c.n_points, c.n_cells, c.rle, c.cell_blob, c.count_blob) d")
+    want = cells.keyed(clouds.unit(spark, sf_dir, "c_catalog"), lattice.bcc_factor(0.02)).select("key", "n")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    with pytest.raises(Exception, match="12 bits"):
+        spark.sql("SELECT morton(id, id, id + 5000) FROM range(1)").collect()
+
+
+def test_data_source_writes_what_it_reads(spark, sf_dir, tmp_path):
+    import json
+    from dataclasses import asdict
+
+    spark.dataSource.register(files.CellSource)
+    spec = container.CodecSpec(chunk_cells=50, delta=False, entropy="fixed")
+    chunks = container.compress(clouds.unit(spark, sf_dir, "c_catalog"), 0.02, spec, 2)
+    manifest = json.dumps({"version": 1, "eb": 0.02, "box": {}, **asdict(spec)})
+    chunks.write.format("cloudlattice").mode("append").option("path", str(tmp_path / "c")).option("manifest", manifest).save()
+    got = spark.read.format("cloudlattice").option("path", str(tmp_path / "c")).load().select("key", "n")
+    want = cells.keyed(clouds.unit(spark, sf_dir, "c_catalog"), lattice.bcc_factor(0.02)).select("key", "n")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    again, eb, held, _ = container.read(spark, str(tmp_path / "c"))
+    assert held == spec and again.agg(F.sum("n_points")).first()[0] == 200
+
+
+def test_raw_files_and_tables(spark, tmp_path):
+    points = np.arange(30, dtype="<f4").reshape(10, 3)
+    (tmp_path / "a.xyz").write_bytes(points.tobytes())
+    assert sorted(map(tuple, files.read_raw(spark, str(tmp_path / "a.xyz")).collect())) == [tuple(map(float, p)) for p in points]
+    df = spark.createDataFrame([(1.0, 2.0, 3.0), (4.0, 5.0, 6.0)], "x double, y double, z double")
+    for form in ("csv", "json", "orc", "parquet"):
+        where = str(tmp_path / form)
+        (df.write.option("header", True) if form == "csv" else df.write).format(form).save(where)
+        assert sorted(map(tuple, files.read_table(spark, where, form, "x double, y double, z double").collect())) == [(1.0, 2.0, 3.0), (4.0, 5.0, 6.0)]
+
+
+def test_sampled_splitters_balance_parts(spark, sf_dir):
+    from cloudlattice.operators import distribute
+
+    keys = cells.keyed(clouds.unit(spark, sf_dir, "c_linekeys"), lattice.bcc_factor(1e-3))
+    splits = distribute.sample_splitters(keys, 4, 0.3)
+    assert len(splits) == 3 and splits == sorted(splits)
+    assert distribute.balance(keys.withColumn("owner", distribute.splitter_owner(splits))).first()["balance"] < 1.3
+
+
+def test_plain_columnar_files_stay_near_their_raw_size(spark, sf_dir, tmp_path):
+    from cloudlattice.plans import workloads
+
+    found = dict(workloads.lossless_storage(spark, sf_dir, "c_shipping", str(tmp_path)))
+    assert set(found) == {"zstd", "gzip", "snappy", "lz4"} and all(0.5 < r < 4 for r in found.values())
