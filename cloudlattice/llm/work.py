@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+BATCH_ROWS, DEFAULT_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", "10000"
 #: The engine's own setting: shuffle files go when the query that made them has ended.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 #: Bytes of a row group in written tables; a task holds one while it writes.
@@ -22,7 +23,14 @@ ROW_GROUP = 32 << 20
 _own: dict[str, str] = {}
 
 
+def steady(spark: SparkSession) -> None:
+    """Fewer rows in a batch between the engine and Python, as texts make rows large; a value that the user has set stays."""
+    if spark.conf.get(BATCH_ROWS) == DEFAULT_ROWS:
+        spark.conf.set(BATCH_ROWS, "1000")
+
+
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
+    steady(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
@@ -54,6 +62,7 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    steady(spark)
     before = spark.conf.get(CLEANUP, "false")
     spark.conf.set(CLEANUP, "true")
     try:
