@@ -16,9 +16,12 @@ from cloudlattice.functions import curves, quantize
 from cloudlattice.functions.lattice import LatticeSpec, bcc_factor
 from cloudlattice.operators import cells as tables
 from cloudlattice.operators.coding import Stream, squeeze, unsqueeze
+from cloudlattice.operators.distribute import sample_splitters, splitter_owner
 
 CHUNK_CELLS = 262_144
 SIDECAR_BYTES = 28
+#: Parts that sampled splitters are looked up for by comparison.
+MOST_SPLIT = 64
 FIELDS = "part int, chunk long, key_first long, key_last long, n_points long, n_cells long, lo_i int, lo_j int, lo_k int, hi_i int, hi_j int, hi_k int, rle boolean, entropy string, bytes_backend string, cell_blob binary, count_blob binary, order_blob binary, sz_dict long, sz_cell long, sz_count long, sz_header long"
 NAMES = [f.split()[0] for f in FIELDS.split(", ")]
 
@@ -83,22 +86,22 @@ def decode_order(row: dict) -> np.ndarray:
     return np.cumsum(np.where(values & 1, -(values >> 1) - 1, values >> 1))
 
 
-def wants_rle(keyed: DataFrame, mode: str) -> bool:
-    """``auto``: on where there are at least 1.3 points to a cell."""
-    if mode != "auto":
-        return mode == "on"
-    r = keyed.agg(F.sum("n"), F.count(F.lit(1))).first()
-    return bool(r[1]) and r[0] >= 1.3 * r[1]
+def wants_rle(n: np.ndarray, mode: str) -> bool:
+    """``auto``: on for a chunk with at least 1.3 points to a cell."""
+    return bool(n.sum() >= 1.3 * len(n)) if mode == "auto" else mode == "on"
 
 
-def encode(keyed: DataFrame, spec: CodecSpec, parts: int = 1) -> DataFrame:
+def encode(keyed: DataFrame, spec: CodecSpec, parts: int = 1, splitters: list[int] | None = None) -> DataFrame:
     """Chunks of a table of key, i, j, k, n: sorted key ranges, one part each, encoded where they lie.
 
+    ``splitters`` cut the keys into ``parts`` ranges; without them the engine finds some, which runs the table's plan twice.
+
     With ``keep_order`` the table has a row for each point, and its pid; a cell may then go on in the next chunk.
     """
     columns = ["key", "i", "j", "k", "n"] + ["pid"] * spec.keep_order
-    rle = wants_rle(keyed, spec.rle) or spec.keep_order
-    ranged = keyed.select(columns).repartitionByRange(parts, "key").sortWithinPartitions("key", *["pid"] * spec.keep_order)
+    dealt = keyed.select(columns)
+    dealt = dealt.repartitionByRange(parts, "key") if splitters is None else dealt.repartitionById(parts, splitter_owner(splitters))
+    ranged = dealt.sortWithinPartitions("key", *["pid"] * spec.keep_order)
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, number, held, size = TaskContext.get().partitionId(), 0, [], 0
@@ -106,7 +109,7 @@ def encode(keyed: DataFrame, spec: CodecSpec, parts: int = 1) -> DataFrame:
         def row() -> pa.RecordBatch:
             nonlocal number
             key, i, j, k, n, *pid = (np.concatenate([h[c] for h in held]) for c in range(len(columns)))
-            made = {"part": part, "chunk": (part << 32) + number, **encode_chunk(key, n, np.stack([i, j, k]), spec, rle, *pid)}
+            made = {"part": part, "chunk": (part << 32) + number, **encode_chunk(key, n, np.stack([i, j, k]), spec, spec.keep_order or wants_rle(n, spec.rle), *pid)}
             number += 1
             return pa.RecordBatch.from_pylist([made], schema)
 
@@ -159,19 +162,21 @@ def part_count(cloud: DataFrame) -> int:
     return int(cloud.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
 
-def compress(cloud: DataFrame, eb: float, spec: CodecSpec = CodecSpec(), parts: int | None = None) -> DataFrame:
-    """Container rows of a cloud on the unit cube: combine points to cells, key, range-sort, encode.
+def compress(cloud: DataFrame, eb: float, spec: CodecSpec = CodecSpec(), parts: int | None = None, share: float = 0.05) -> DataFrame:
+    """Container rows of a cloud on the unit cube: combine points to cells, key, deal out by key range, encode.
 
-    Without ``parts`` there are as many as the session's shuffle partitions.
+    Without ``parts`` there are as many as the session's shuffle partitions. Up to ``MOST_SPLIT`` parts are cut
+    at keys of a sample of ``share`` of the points, which costs a scan but no shuffle; the engine's range exchange cuts more.
     """
-    factor = factor_of(eb, spec)
+    factor, parts = factor_of(eb, spec), parts or part_count(cloud)
     extent = int(factor) + 3
-    if spec.keep_order:
-        cells = quantize.assign(cloud, factor, spec.quantizer).select(*quantize.CELL, F.lit(1).cast("long").alias("n"), "pid")
-    else:
-        cells = tables.occupied(cloud, factor, spec.quantizer)
     layout = spec.layout if spec.quantizer == "bcc" else "raw"
-    return encode(curves.attach(cells, spec.curve, extent, layout, udf=spec.curve == "hilbert"), spec, parts or part_count(cloud))
+    with_keys = lambda cells: curves.attach(cells, spec.curve, extent, layout, udf=spec.curve == "hilbert")
+    points = quantize.assign(cloud, factor, spec.quantizer).select(*quantize.CELL, F.lit(1).cast("long").alias("n"), *["pid"] * spec.keep_order)
+    splitters = None
+    if parts <= MOST_SPLIT:
+        splitters = sample_splitters(with_keys(points.select(*quantize.CELL)), parts, share) if parts > 1 else []
+    return encode(with_keys(points if spec.keep_order else tables.occupied(cloud, factor, spec.quantizer)), spec, parts, splitters)
 
 
 def factor_of(eb: float, spec: CodecSpec) -> float:

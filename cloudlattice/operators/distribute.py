@@ -12,7 +12,7 @@ def prefix_owner(parts: int, span: int) -> Column:
 
 
 def exact_splitters(keys: DataFrame, parts: int) -> list[int]:
-    """Keys that cut the occupied cells into equal shares, from exact percentiles."""
+    """Keys that cut the occupied cells into equal shares, from exact percentiles, which hold a count for every distinct key: for small tables and checks."""
     row = keys.agg(F.percentile("key", [p / parts for p in range(1, parts)]).alias("s")).first()
     return [int(x) for x in row["s"] or []]
 
@@ -20,7 +20,7 @@ def exact_splitters(keys: DataFrame, parts: int) -> list[int]:
 def sample_splitters(keys: DataFrame, parts: int, share: float = 0.1, seed: int = 1) -> list[int]:
     """The same from a sample, as a large run takes them: only the splitters reach the driver."""
     row = keys.sample(share, seed).agg(F.percentile_approx("key", [p / parts for p in range(1, parts)], 10_000).alias("s")).first()
-    return [int(x) for x in row["s"] or []]
+    return sorted({int(x) for x in row["s"] or []})
 
 
 def splitter_owner(splitters: list[int]) -> Column:
