@@ -458,7 +458,7 @@ def representatives(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     Repeated rows of it count once. A row without an id stays, as nothing can name its class.
     """
     keep = classes(docs, percent, words).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
+    kept = docs.join(keep, "doc_id", "left_semi").withColumn("_text_hash", F.xxhash64("text")).dropDuplicates(["doc_id", "_text_hash"]).drop("_text_hash")
     return kept.unionByName(docs.where(F.col("doc_id").isNull()))
 
 
