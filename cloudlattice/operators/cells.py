@@ -122,10 +122,15 @@ def dense_regions(grid: DataFrame, least: int) -> DataFrame:
     label = lambda: (F.col("i") * (1 << 21) + F.col("j")) * (1 << 21) + F.col("k")
     state = grid.where(F.col("n") >= least).withColumn("region", label().cast("long"))
     steps = F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b"), F.lit(c).alias("c")) for a in (-1, 0, 1) for b in (-1, 0, 1) for c in (-1, 0, 1)])
+    held = None
     while True:
         told = state.withColumn("s", F.explode(steps)).groupBy((F.col("i") + F.col("s.a")).alias("i"), (F.col("j") + F.col("s.b")).alias("j"), (F.col("k") + F.col("s.c")).alias("k")).agg(F.min("region").alias("least"))
         after = state.join(told, CELL).select(*CELL, "n", F.least("region", "least").alias("region"), (F.col("least") < F.col("region")).alias("moved"))
-        after = after.checkpoint() if after.sparkSession.sparkContext.getCheckpointDir() else after.persist()
-        if not after.where("moved").limit(1).count():
+        kept = bool(after.sparkSession.sparkContext.getCheckpointDir())
+        after = after.checkpoint() if kept else after.persist()
+        moved = after.where("moved").limit(1).count()
+        if held is not None and not kept:
+            held.unpersist()
+        if not moved:
             return after.drop("moved")
-        state = after.drop("moved")
+        state, held = after.drop("moved"), after

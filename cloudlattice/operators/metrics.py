@@ -43,17 +43,10 @@ def ratio(points: int, size: float) -> float:
     return points * RAW_BYTES / size if size else float("nan")
 
 
-def best_under_target(results: DataFrame, target: float) -> DataFrame:
-    """The highest ratio of each dataset and codec whose measured largest relative error is at most the target."""
-    kept = results.where(F.col("max_rel") <= target)
-    return kept.groupBy("dataset", "codec").agg(F.max("cr").alias("cr"), F.max_by("eb", "cr").alias("eb"))
-
-
-def curve_gap(results: DataFrame) -> DataFrame:
-    """Ratio of the Hilbert order over that of the Z-order, less one, and the extreme over bounds (columns dataset, eb, codec, cr)."""
-    pivot = results.groupBy("dataset", "eb").pivot("codec", ["to_hilbert", "to_morton"]).agg(F.first("cr"))
-    gap = pivot.withColumn("gap", F.col("to_hilbert") / F.col("to_morton") - 1)
-    return gap.groupBy("dataset").agg(F.max_by("gap", F.abs("gap")).alias("extreme_gap"), F.avg("gap").alias("mean_gap"))
+def best_under_targets(results: DataFrame, targets: tuple[float, ...]) -> DataFrame:
+    """For each dataset, codec and target the highest ratio whose measured largest relative error is at most the target, and its bound."""
+    kept = results.withColumn("target", F.explode(F.array(*[F.lit(t) for t in targets]))).where(F.col("max_rel") <= F.col("target"))
+    return kept.groupBy("dataset", "codec", "target").agg(F.max("cr").alias("cr"), F.max(F.struct("cr", "eb"))["eb"].alias("eb"))
 
 
 def falls(results: DataFrame) -> DataFrame:

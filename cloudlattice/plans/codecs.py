@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from cloudlattice.functions.lattice import cube_factor
@@ -159,15 +159,30 @@ def float_bounded_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.float_bounded(clouds.unit(spark, sf_dir, CLOUD).select(F.col("y").alias("v")), EB)
 
 
-@registered()
+_MIX = 40503
+
+
+def _energy_sql() -> str:
+    basis = [[math.cos(math.pi * (p + 0.5) * k / 8) * math.sqrt((1 if k == 0 else 2) / 8) for p in range(8)] for k in range(8)]
+    stored = duck.unit(CLOUD, keyed=True)
+    mixed = f"SELECT x, y, z, pid // 65536 * 65536 + row_number() OVER (PARTITION BY pid // 65536 ORDER BY pid % 65536 * {_MIX} % 65536) - 1 AS pid FROM ({stored})"
+    parts = []
+    for order, source in (("stored", stored), ("scrambled", mixed)):
+        for a in "xyz":
+            c = ", ".join(f"sum({a} * ([{', '.join(duck.number(b) for b in basis[k])}])[pid % 8 + 1]) AS c{k}" for k in range(1, 8))
+            e = lambda ks: " + ".join(f"sum(c{k} * c{k})" for k in ks)
+            parts.append(f"SELECT '{a}' AS axis, '{order}' AS \"order\", {duck.rounded(f'({e(range(1, 4))}) / ({e(range(1, 8))})')} AS low_share FROM (SELECT {c} FROM ({source}) GROUP BY pid // 8)")
+    return " UNION ALL ".join(parts)
+
+
+@registered(_energy_sql())
 def transform_energy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Low-frequency energy in stored order and after a scramble of keys: indices carry no meaning."""
     at = clouds.unit(spark, sf_dir, CLOUD, keyed=True)
-    from pyspark.sql import Window
-
-    order = Window.partitionBy(F.floor(F.col("pid") / 65536)).orderBy(F.xxhash64("pid"))
+    order = Window.partitionBy(F.floor(F.col("pid") / 65536)).orderBy(F.pmod("pid", F.lit(65536)) * _MIX % 65536)
     mixed = at.withColumn("pid", F.floor(F.col("pid") / 65536) * 65536 + F.row_number().over(order) - 1)
-    return baselines.transform_energy(at).withColumn("order", F.lit("stored")).unionByName(baselines.transform_energy(mixed).withColumn("order", F.lit("scrambled")))
+    both = baselines.transform_energy(at).withColumn("order", F.lit("stored")).unionByName(baselines.transform_energy(mixed).withColumn("order", F.lit("scrambled")))
+    return both.withColumn("low_share", rounded(F.col("low_share")))
 
 
 @registered(f"WITH c AS (SELECT i, j, k FROM ({duck.table('c_vectors', COARSE)})) SELECT (SELECT count(*) FROM c a JOIN c x ON x.i = a.i - 2 AND x.j = a.j AND x.k = a.k JOIN c y ON y.i = a.i AND y.j = a.j - 2 AND y.k = a.k JOIN c z ON z.i = a.i AND z.j = a.j AND z.k = a.k - 2) AS predictable, (SELECT count(*) FROM c) AS n_cells")

@@ -250,10 +250,22 @@ def polyhedra_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.select("shape", *[rounded(F.col(c)).alias(c) for c in df.columns[1:]])
 
 
-@registered()
+def _solids_sql() -> str:
+    """Regular solids of edge 1 from their faces: pyramids over ``f`` faces of ``n`` sides, ``r`` from the middle; the others by closed forms."""
+    # fixed values: sides, faces and inradius of the regular solids
+    solids = "(VALUES ('tetrahedron', 3, 4, sqrt(6.0::DOUBLE) / 12), ('cube', 4, 6, 0.5::DOUBLE), ('dodecahedron', 5, 12, sqrt(250 + 110 * sqrt(5.0::DOUBLE)) / 20), ('icosahedron', 3, 20, sqrt(3.0::DOUBLE) * (3 + sqrt(5.0::DOUBLE)) / 12)) s(shape, n, f, r)"
+    a = "(1 / (2 * tan(pi() / n)))"
+    regular = f"SELECT shape, (r * r + {a} * {a} / 2 * (1 + pow(tan(pi() / n), 2) / 3)) / (5 * pow(f * n * {a} / 2 * r / 3, 2 / 3.0::DOUBLE)) AS g FROM {solids}"
+    # fixed values: closed forms of the second moments
+    closed = "SELECT * FROM (VALUES ('hexagonal_prism', pow(pow(5 / (36 * sqrt(3.0::DOUBLE)), 2) / 12, 1 / 3.0::DOUBLE)), ('rhombic_dodecahedron', pow(2.0::DOUBLE, -11 / 3.0::DOUBLE)), ('truncated_octahedron', 19 / (192 * pow(2.0::DOUBLE, 1 / 3.0::DOUBLE))), ('sphere', pow(3 / (4 * pi()), 2 / 3.0::DOUBLE) / 5)) c(shape, g)"
+    return f"SELECT shape, {duck.rounded('g', 9)} AS g, {duck.rounded('pow(1 / 12.0::DOUBLE / g, 1.5::DOUBLE)')} AS volume_gain, {duck.rounded('1 - pow(g * 12, 1.5::DOUBLE)')} AS cells_saved FROM ({regular} UNION ALL {closed})"
+
+
+@registered(_solids_sql())
 def polyhedra_by_tetrahedra(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All shapes, those without a closed form integrated over their faces."""
-    return spark.createDataFrame([(r["shape"], r["g"], r["volume_gain"], r["cells_saved"]) for r in lattice.polyhedra()], "shape string, g double, volume_gain double, cells_saved double")
+    rows = spark.createDataFrame([(r["shape"], r["g"], r["volume_gain"], r["cells_saved"]) for r in lattice.polyhedra()], "shape string, g double, volume_gain double, cells_saved double")
+    return rows.select("shape", rounded(F.col("g"), 9).alias("g"), *[rounded(F.col(c)).alias(c) for c in ("volume_gain", "cells_saved")])
 
 
 def _entropy_sql(by: str, source: str) -> str:

@@ -188,7 +188,13 @@ def entropy_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select(rounded(F.col("h")).alias("h"), F.col("total").alias("symbols"))
 
 
-@registered()
+_MERGES = f"""WITH RECURSIVE d AS (SELECT key // 4096 AS chunk, key - lag(key, 1, 0) OVER (PARTITION BY key // 4096 ORDER BY key) AS delta FROM ({keyed_sql()})),
+c AS (SELECT chunk, delta, count(*) AS c FROM d GROUP BY ALL),
+h(chunk, w, bits) AS (SELECT chunk, list_sort(list(c)), 0::BIGINT FROM c GROUP BY chunk UNION ALL SELECT chunk, list_sort(list_append(w[3:], w[1] + w[2])), bits + w[1] + w[2] FROM h WHERE len(w) > 1)
+SELECT chunk, sum(c)::BIGINT AS cells, count(*) AS symbols, CASE WHEN count(*) = 1 THEN sum(c)::BIGINT ELSE any_value(top) END AS code_bits FROM c JOIN (SELECT chunk, max(bits) AS top FROM h GROUP BY chunk) USING (chunk) GROUP BY chunk"""
+
+
+@registered(_MERGES)
 def huffman_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bits of an optimal prefix code of the residuals of each chunk, and of its dictionary."""
     import numpy as np

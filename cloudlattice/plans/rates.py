@@ -239,17 +239,10 @@ def _targets_sql() -> str:
     return f"SELECT dataset, codec, target, max(cr) AS cr, arg_max(eb, (cr, eb)) AS eb FROM ({table_sql()}) r, (VALUES {targets}) t(target) WHERE max_rel <= target GROUP BY dataset, codec, target"
 
 
-def targets(results: DataFrame) -> DataFrame:
-    """The best ratio of each codec whose measured error keeps each of the six targets."""
-    each = F.explode(F.array(*[F.lit(t) for t in sweeps.BOUNDS]))
-    kept = results.withColumn("target", each).where(F.col("max_rel") <= F.col("target"))
-    return kept.groupBy("dataset", "codec", "target").agg(F.max("cr").alias("cr"), F.max(F.struct("cr", "eb"))["eb"].alias("eb"))
-
-
 @registered(_targets_sql())
 def ratios_under_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The master table: clouds, codecs and six targets."""
-    return targets(table(spark, sf_dir))
+    return metrics.best_under_targets(table(spark, sf_dir), sweeps.BOUNDS)
 
 
 _RANKED_SQL = f"SELECT dataset, target AS eb, codec, cr AS value FROM ({_targets_sql()}) WHERE codec IN ({', '.join(f"'{c}'" for c in RANKED)})"
@@ -343,10 +336,8 @@ def stride_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
     by = [*GROUP, "stride"]
     parts = []
     for name in STRIDED:
-        raw = clouds.unit(spark, sf_dir, name, keyed=True)
-        number = F.floor(F.col("pid") / 1024) * 7 + F.pmod("pid", F.lit(1024))
-        kept = F.array_compact(F.array(*[F.when(F.pmod(number, F.lit(k)) == 0, k) for k in STRIDES]))
-        parts.append(raw.select(F.lit(name).alias("dataset"), *AXES, F.explode(kept).alias("stride")))
+        strided = clouds.strides(clouds.unit(spark, sf_dir, name, keyed=True), STRIDES, clouds.line_number(F.col("pid")))
+        parts.append(strided.select(F.lit(name).alias("dataset"), *AXES, "stride"))
     points = families.bounded(reduce(DataFrame.unionByName, parts), sweeps.BOUNDS, ["dataset", "stride", *AXES])
     sized = families.variants(points, by, ("to_morton",)).join(points.groupBy(*by).agg(F.count(F.lit(1)).alias("n_points")), by)
     return sized.select(*by, "n_points", rounded(F.col("n_points") * 96 / F.col("bits"), 4).alias("cr"))

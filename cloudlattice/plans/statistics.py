@@ -117,9 +117,8 @@ def subsample_density(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name in ("c_shipping", "c_sales"):
         at = clouds.unit(spark, sf_dir, name, keyed=True)
-        number = F.floor(F.col("pid") / 1024) * 7 + F.pmod("pid", F.lit(1024))
         for eb in _DENSE:
-            cells = quantize.assign(at, bcc_factor(eb)).select("i", "j", "k", F.explode(F.array(*[F.when(F.pmod(number, F.lit(k)) == 0, k) for k in _STRIDES])).alias("stride")).where("stride is not null")
+            cells = clouds.strides(quantize.assign(at, bcc_factor(eb)), _STRIDES, clouds.line_number(F.col("pid"))).select("i", "j", "k", "stride")
             part = cells.groupBy("stride", "i", "j", "k").agg(F.count(F.lit(1)).alias("n")).groupBy("stride").agg(F.sum("n").alias("n_points"), F.count(F.lit(1)).alias("n_cells"))
             part = part.select(F.lit(name).alias("dataset"), F.lit(eb).alias("eb"), "stride", "n_points", "n_cells")
             out = part if out is None else out.unionByName(part)

@@ -111,11 +111,13 @@ def unit(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False) -> Da
     return unit_scale(load(spark, sf_dir, name, keyed), box_of(spark, sf_dir, name))
 
 
-def stride(cloud: DataFrame, k: int) -> DataFrame:
-    """Every k-th point by key; samples are nested in k. Lines use their order and place, as pid mod 2^n sees the place only."""
-    return cloud.where(F.pmod(F.col("pid"), F.lit(k)) == 0)
+def line_number(pid: Column) -> Column:
+    """A running number of order lines, whose ids are the order times 1024 and a place."""
+    return F.floor(pid / 1024) * 7 + F.pmod(pid, F.lit(1024))
 
 
-def line_stride(cloud: DataFrame, k: int) -> DataFrame:
-    number = F.floor(F.col("pid") / 1024) * 7 + F.pmod("pid", F.lit(1024))
-    return cloud.where(F.pmod(number, F.lit(k)) == 0)
+def strides(cloud: DataFrame, steps: tuple[int, ...], number: Column | None = None) -> DataFrame:
+    """The rows of every stride, in a column ``stride``: every k-th row by number, so samples are nested."""
+    number = F.col("pid") if number is None else number
+    kept = F.array_compact(F.array(*[F.when(F.pmod(number, F.lit(k)) == 0, k) for k in steps]))
+    return cloud.withColumn("stride", F.explode(kept))
