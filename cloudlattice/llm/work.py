@@ -17,8 +17,17 @@ WORD = r"[^\x20\x09-\x0D]+"
 BATCH_ROWS, DEFAULT_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", "10000"
 #: The engine's own setting: shuffle files go when the query that made them has ended.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-#: Bytes of a row group in written tables; a task holds one while it writes.
-ROW_GROUP = 32 << 20
+#: A work table has at most so many files for each core, and so many tasks in its last stage.
+FILES_PER_CORE = 3
+#: A task holds one row group while it writes. A local file system starts a process for the permissions of every file,
+#: check sum and marker, which costs more than a small file; no other file system reads these settings.
+WRITING = {
+    "compression": "zstd",
+    "parquet.block.size": 32 << 20,
+    "mapreduce.fileoutputcommitter.marksuccessfuljobs": "false",
+    "fs.file.impl": "org.apache.hadoop.fs.RawLocalFileSystem",
+    "fs.file.impl.disable.cache": "true",
+}
 
 _own: dict[str, str] = {}
 
@@ -65,8 +74,9 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     steady(spark)
     before = spark.conf.get(CLEANUP, "false")
     spark.conf.set(CLEANUP, "true")
+    files = FILES_PER_CORE * max(1, spark.sparkContext.defaultParallelism)
     try:
-        df.write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP).parquet(path)
+        df.coalesce(files).write.options(**WRITING).parquet(path)
     finally:
         spark.conf.set(CLEANUP, before)
     atexit.register(_remove, spark, path)
