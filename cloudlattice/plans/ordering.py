@@ -265,6 +265,30 @@ def parts_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts[0].unionByName(parts[1])
 
 
+def _raw_box_sql() -> str:
+    box = ", ".join(f"min({a}) AS {a}lo, max({a}) AS {a}hi" for a in "xyz")
+    at = ", ".join(f"({a} - {a}lo) / greatest(xhi - xlo, yhi - ylo, zhi - zlo) * {duck.number(_RAW)} AS {u}" for a, u in zip("xyz", "uvw", strict=True))
+    cells = f"SELECT i, j, k, count(*) AS n FROM ({duck.celled(f'SELECT {at} FROM ({duck.raw("c_linekeys")}), (SELECT {box} FROM ({duck.raw("c_linekeys")}))')}) GROUP BY ALL"
+    return f"SELECT {duck.packed(KEYS['morton'])} AS key FROM ({cells})"
+
+
+_RAW = bcc_factor(1e-3)
+_RAW_BITS = 3 * (((int(_RAW) + 4) // 2 - 1).bit_length()) + 1
+_RAW_PREFIX = f"SELECT key, floor(key * {_PARTS} / {1 << _RAW_BITS}.0::DOUBLE)::INTEGER AS owner FROM ({_raw_box_sql()})"
+_RAW_SPLIT = f"SELECT k.key, (SELECT count(*) FROM (SELECT unnest(quantile_cont(key, {[p / _PARTS for p in range(1, _PARTS)]})) AS s FROM ({_raw_box_sql()})) q WHERE k.key > floor(q.s))::INTEGER AS owner FROM ({_raw_box_sql()}) k"
+
+
+@registered(f"{_balance_sql('prefix', _RAW_PREFIX)} UNION ALL {_balance_sql('quantile', _RAW_SPLIT)}")
+def skewed_box_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same on a box whose sides stay as unequal as the raw axes: even key ranges leave most parts empty."""
+    box = clouds.box_of(spark, sf_dir, "c_linekeys")
+    side = max(box[f"{a}_hi"] - box[f"{a}_lo"] for a in "xyz")
+    at = clouds.load(spark, sf_dir, "c_linekeys").select(*[((F.col(a) - F.lit(box[f"{a}_lo"])) / F.lit(side)).alias(a) for a in "xyz"])
+    keys = curves.attach(tables.occupied(at, _RAW), "morton", int(_RAW) + 3)
+    both = [("prefix", distribute.prefix_owner(_PARTS, 1 << _RAW_BITS)), ("quantile", distribute.splitter_owner(distribute.exact_splitters(keys, _PARTS)))]
+    return tables.stacked([distribute.balance(keys.withColumn("owner", owner)).select(F.lit(name).alias("splitters"), "parts", "largest", rounded(F.col("balance")).alias("balance")) for name, owner in both])
+
+
 @registered(f"SELECT count(*) AS n_cells, count(*) FILTER (WHERE owners > 1) AS shared FROM (SELECT i, j, k, count(DISTINCT owner) AS owners FROM ({_SPLIT}) GROUP BY i, j, k)")
 def parts_disjoint(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cells that two parts of the container hold: none."""

@@ -154,7 +154,10 @@ _FINE = bcc_factor(1e-3)
 _CENTRES = f"SELECT i / {duck.number(_FINE)} AS x, j / {duck.number(_FINE)} AS y, k / {duck.number(_FINE)} AS z, n FROM ({duck.table(CLOUD, _FINE)})"
 
 
-@registered(f"SELECT shell, coalesce(a.n, 0) AS n_original, coalesce(b.n, 0) AS n_cells, {duck.rounded('(coalesce(b.n, 0) - a.n)::DOUBLE / a.n')} AS change FROM ({_shell_sql(duck.unit(CLOUD), '1')}) a FULL JOIN ({_shell_sql(_CENTRES, 'n')}) b USING (shell)")
+_PROFILE = f"SELECT shell, coalesce(a.n, 0) AS n_original, coalesce(b.n, 0) AS n_cells, {duck.rounded('(coalesce(b.n, 0) - a.n)::DOUBLE / a.n')} AS change FROM ({_shell_sql(duck.unit(CLOUD), '1')}) a FULL JOIN ({_shell_sql(_CENTRES, 'n')}) b USING (shell)"
+
+
+@registered(_PROFILE)
 def radial_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Points by shell around the middle, before and after, and the relative change."""
     at = clouds.unit(spark, sf_dir, CLOUD)
@@ -165,6 +168,14 @@ def radial_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.withColumn("change", rounded(F.when(F.col("n_original") > 0, (F.col("n_cells") - F.col("n_original")) / F.col("n_original"))))
 
 
+@registered(f"SELECT count(*) AS shells, {duck.rounded('avg(abs(change))')} AS mean_change, arg_max(change, (abs(change), -shell)) AS worst_change FROM ({_PROFILE}) WHERE change IS NOT NULL")
+def profile_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean of the relative changes' sizes and the worst change, over all shells that hold points."""
+    held = radial_profile(spark, sf_dir).where("change IS NOT NULL")
+    worst = F.max(F.struct(F.abs("change").alias("size"), (-F.col("shell")).alias("near"), "change"))["change"]
+    return held.agg(F.count(F.lit(1)).alias("shells"), rounded(F.avg(F.abs("change"))).alias("mean_change"), worst.alias("worst_change"))
+
+
 @registered(f"SELECT i >> 3 AS i, j >> 3 AS j, k >> 3 AS k, sum(n)::BIGINT AS n FROM ({duck.table('c_vectors', COARSE)}) GROUP BY 1, 2, 3")
 def occupancy_map(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.occupancy_map(tables.occupied(clouds.unit(spark, sf_dir, "c_vectors"), COARSE), 3)
