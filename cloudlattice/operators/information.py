@@ -35,16 +35,6 @@ def joint_and_marginal(cells: DataFrame) -> DataFrame:
     return each.agg(pick(0).alias("h_joint"), pick(3).alias("h_i"), pick(5).alias("h_j"), pick(6).alias("h_k"))
 
 
-def sequence_information(ordered: DataFrame, value: str, pair: str) -> DataFrame:
-    """Entropies of a symbol, of a symbol given the one before, and their mutual information.
-
-    ``ordered`` holds a symbol and the one before it (null for the first).
-    """
-    pairs = ordered.where(F.col(pair).isNotNull())
-    h_pair, h_first, h_second = (entropy(histogram(pairs, *s)).select(F.col("h").alias(n)) for s, n in (((pair, value), "h2"), ((pair,), "h1"), ((value,), "h0")))
-    return h_pair.crossJoin(h_first).crossJoin(h_second).select((F.col("h2") - F.col("h1")).alias("h_given"), (F.col("h0") + F.col("h1") - F.col("h2")).alias("mutual"))  # three single rows
-
-
 def log_gamma(x: Column) -> Column:
     """Stirling's series after four steps of the recurrence; better than 1e-9 from 1 on."""
     y = x + 4.0
@@ -90,11 +80,6 @@ def _theory(shape: str, bins: int, grid: int = 96) -> tuple[float, ...]:
     return tuple([*out, *(rest * tail / tail.sum()).tolist()])
 
 
-def error_bins(ratio: DataFrame, bins: int = 64) -> DataFrame:
-    """Histogram of error / eps (column ``r``)."""
-    return ratio.groupBy(F.least(F.floor(F.col("r") * bins), F.lit(bins - 1)).cast("int").alias("bin")).agg(F.count(F.lit(1)).alias("c"))
-
-
 def kl_deviation(hist: DataFrame, theory: list[float], by: tuple[str, ...] = ()) -> DataFrame:
     """Kullback-Leibler divergence in nats of the histogram from the theory, and the number of points."""
     q = F.element_at(F.array(*[F.lit(max(t, 1e-12)) for t in theory]), F.col("bin") + 1)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from cloudlattice.functions import lattice, quantize
 from cloudlattice.functions.bits import bit_length
-from cloudlattice.functions.lattice import LatticeSpec, bcc_factor
+from cloudlattice.functions.lattice import LatticeSpec
 from cloudlattice.operators import cells as tables
 from cloudlattice.operators import container, distribute, families, metrics, region
 from cloudlattice.operators.container import CodecSpec
