@@ -48,11 +48,13 @@ def occupied(spark: SparkSession, sf_dir: str, names: tuple[str, ...], bounds: t
     for name in names:
         factors = F.array(*[F.struct(F.lit(number[name, eb, shapes[0]]).alias("s"), *[F.lit(FACTORS[s](eb)).alias(s) for s in shapes]) for eb in bounds])
         at = clouds.unit(spark, sf_dir, name).select("x", "y", "z", F.inline(factors))
-        cells = []
-        for n, shape in enumerate(shapes):
+        packed = {}
+        for shape in shapes:
             i, j, k = (c.cast("long") for c in quantize.QUANTIZERS[shape]([F.col(a) * F.col(shape) for a in "xyz"]))
-            cells.append(F.struct((F.col("s") + n).alias("s"), F.shiftleft(i, 42).bitwiseOR(F.shiftleft(j, 21)).bitwiseOR(k).alias("cell")))
-        parts.append(at.select(F.inline(F.array(*cells))))
+            packed[f"{shape}_cell"] = F.shiftleft(i, 42).bitwiseOR(F.shiftleft(j, 21)).bitwiseOR(k)
+        # a projection of its own, in which the parts that the three coordinates share are computed once
+        cells = [F.struct((F.col("s") + n).alias("s"), F.col(f"{shape}_cell").alias("cell")) for n, shape in enumerate(shapes)]
+        parts.append(at.select("s", *[c.alias(n) for n, c in packed.items()]).select(F.inline(F.array(*cells))))
     counted = reduce(DataFrame.unionByName, parts).distinct().groupBy("s").agg(F.count(F.lit(1)).alias("m"))
     named = spark.createDataFrame([(k, *s) for s, k in number.items()], "s int, dataset string, eb double, shape string")
     return counted.join(F.broadcast(named), "s").select("dataset", "eb", "shape", "m")  # a row for each sequence
