@@ -448,7 +448,8 @@ def classes(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> Data
     known = written(profiles(docs, words), "profiles")
     roots = components(links(docs, known, percent, words)).withColumnsRenamed({"id": "set", "component_id": "root"})
     slim = known.select("doc_id", "n", "set").join(roots, "set", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("root", "set")).alias("root"))
-    least = slim.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    # a table of its own: the engine splits a large class in a join of two tables, not in one with an aggregate
+    least = written(slim.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id")), "least")
     return slim.join(least, "root", "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
