@@ -24,6 +24,8 @@ def _table() -> np.ndarray:
 
 
 _BYTES = _table()
+#: A random number for each byte, for words whose case counts.
+CASED = mixed(np.arange(1, 257, dtype=np.uint64))
 _SPACE = np.zeros(256, bool)
 _SPACE[[32, *range(9, 14)]] = True
 
@@ -42,18 +44,18 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 _held: list = [0, None, None]
 
 
-def _words(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _words(data: np.ndarray, table: np.ndarray = _BYTES) -> tuple[np.ndarray, np.ndarray]:
     """(hash, first byte) of every word of bytes that neither start nor end inside a word."""
     if _held[0] < len(data) + 1:
         _held[:] = [len(data) + 1, *_powers(len(data) + 1)]
     power, inverse = _held[1], _held[2]
     edge = np.diff(np.concatenate([[True], _SPACE[data], [True]]).astype(np.int8))
     start, end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[data] * inverse[: len(data)], dtype=np.uint64)])
+    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(table[data] * inverse[: len(data)], dtype=np.uint64)])
     return mixed((total[end] - total[start]) * power[start] + (end - start).astype(np.uint64)), start
 
 
-def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def word_hashes(data: np.ndarray, table: np.ndarray = _BYTES) -> tuple[np.ndarray, np.ndarray]:
     """``_words`` of any number of bytes, cut at white space into pieces, so that memory follows ``PIECE`` and the longest word."""
     found, at = [], 0
     while at < len(data):
@@ -64,7 +66,7 @@ def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
                 ahead = np.flatnonzero(_SPACE[data[stop : stop + PIECE]])
                 back, stop = ahead[:1] + (stop - at), stop + PIECE
             stop = at + int(back[-1]) + 1 if len(back) else len(data)
-        word, start = _words(data[at:stop])
+        word, start = _words(data[at:stop], table)
         found.append((word, start + at))
         at = stop
     if not found:

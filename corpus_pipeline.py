@@ -9,6 +9,8 @@ from cloudlattice.llm.work import load, written
 
 #: Near duplicates: word shingles of five words, similarity of 0.8 or more.
 WORDS, PERCENT = 5, 80
+#: Repeated passages: of over 50 words, or of 400 bytes, whichever a passage has.
+PASSAGE = 51
 
 
 def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -22,8 +24,8 @@ def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def unrepeated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without passages that start anywhere else too."""
-    return suffix_dedup.deduplicated(docs)
+    """Documents without passages of over 50 words or of 400 bytes that start anywhere else too."""
+    return suffix_dedup.deduplicated(docs, words=PASSAGE)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
