@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cloudlattice.functions import quantize
@@ -36,10 +36,15 @@ def registered(sql: str | None = None):
     return enter
 
 
+def scrambled(pid: Column) -> Column:
+    """pid * 2654435761 modulo 2^32, for ids of any size: both factors are reduced first, so that the product stays below 2^63."""
+    return F.pmod(F.pmod(pid, F.lit(1 << 32)) * F.lit(2654435761 - (1 << 32)), F.lit(1 << 32))
+
+
 def balls(spark: SparkSession, sf_dir: str, name: str = CLOUD, count: int = BALLS) -> DataFrame:
     """qid, cx, cy, cz, r: points of the smallest scrambled key, each with all radii."""
     at = clouds.unit(spark, sf_dir, name, keyed=True)
-    picked = at.orderBy(F.pmod(F.col("pid") * F.lit(2654435761), F.lit(1 << 32)), "pid").limit(count)
+    picked = at.orderBy(scrambled(F.col("pid")), "pid").limit(count)
     radii = F.posexplode(F.array(*[F.lit(r * math.sqrt(3)) for r in RADII]))
     spread = picked.select("pid", "x", "y", "z", radii.alias("p", "r"))
     return spread.select((F.col("pid") * len(RADII) + F.col("p")).alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy"), F.col("z").alias("cz"), "r")
