@@ -24,6 +24,11 @@ def distance_squared(factor: float) -> Column:
     return total([g * g for g in gap])
 
 
+def within(factor: float) -> Column:
+    """Whether a cell's centre lies in the ball; as a coalesced value, so that no null test of the cell is pushed down through the steps that make it."""
+    return F.coalesce(distance_squared(factor) <= F.col("r") * F.col("r"), F.lit(False))
+
+
 def box_distances(factor: float) -> tuple[Column, Column]:
     """Smallest and largest squared distance from a ball's centre to a box of centres."""
     near, far = [], []
@@ -50,7 +55,7 @@ def classify(sidecars: DataFrame, balls: DataFrame, factor: float) -> DataFrame:
 
 def count_full(cells: DataFrame, balls: DataFrame, factor: float) -> DataFrame:
     """Every cell against every ball."""
-    inside = cells.crossJoin(balls).where(distance_squared(factor) <= F.col("r") * F.col("r"))  # the baseline: all cells, all queries
+    inside = cells.crossJoin(balls).where(within(factor))  # the baseline: all cells, all queries
     return balls.select("qid").join(inside.groupBy("qid").agg(F.sum("n").alias("n_points")), "qid", "left").select("qid", F.coalesce("n_points", F.lit(0)).alias("n_points"))
 
 
@@ -62,7 +67,7 @@ def count_index(sidecars: DataFrame, cells: DataFrame, balls: DataFrame, factor:
     classes = classify(sidecars, balls, factor)
     whole = classes.where("class = 'contained'").select("qid", F.col("n_points").alias("n"))
     edge = classes.where("class = 'boundary'").select("chunk", "qid")
-    looked = cells.join(edge, "chunk").join(balls, "qid").where(distance_squared(factor) <= F.col("r") * F.col("r")).select("qid", "n")
+    looked = cells.join(edge, "chunk").join(balls, "qid").where(within(factor)).select("qid", "n")
     sums = whole.unionByName(looked).groupBy("qid").agg(F.sum("n").alias("n_points"))
     return balls.select("qid").join(sums, "qid", "left").select("qid", F.coalesce("n_points", F.lit(0)).alias("n_points"))
 

@@ -42,12 +42,17 @@ def scrambled(pid: Column) -> Column:
 
 
 def balls(spark: SparkSession, sf_dir: str, name: str = CLOUD, count: int = BALLS) -> DataFrame:
-    """qid, cx, cy, cz, r: points of the smallest scrambled key, each with all radii."""
-    at = clouds.unit(spark, sf_dir, name, keyed=True)
-    picked = at.orderBy(scrambled(F.col("pid")), "pid").limit(count)
+    """qid, cx, cy, cz, r: points of the smallest scrambled key, each with all radii; found once and held as rows, as plans use them several times."""
+    if name in clouds.LINES:  # ids follow from the number of lines of each order, so that only the picked orders' lines are put in order
+        first = clouds.line_ids(spark, sf_dir).orderBy(scrambled(F.col("pid")), "pid").limit(count)
+        at = clouds.unit(spark, sf_dir, name, keyed=True, orders=first.select("l_orderkey").distinct())
+        picked = at.join(F.broadcast(first.select("pid")), "pid", "left_semi")
+    else:
+        picked = clouds.unit(spark, sf_dir, name, keyed=True).orderBy(scrambled(F.col("pid")), "pid").limit(count)
     radii = F.posexplode(F.array(*[F.lit(r * math.sqrt(3)) for r in RADII]))
     spread = picked.select("pid", "x", "y", "z", radii.alias("p", "r"))
-    return spread.select((F.col("pid") * len(RADII) + F.col("p")).alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy"), F.col("z").alias("cz"), "r")
+    found = spread.select((F.col("pid") * len(RADII) + F.col("p")).alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy"), F.col("z").alias("cz"), "r")
+    return spark.createDataFrame([tuple(r) for r in found.collect()], "qid long, cx double, cy double, cz double, r double")  # ``count`` points
 
 
 def balls_sql(name: str = CLOUD, count: int = BALLS) -> str:

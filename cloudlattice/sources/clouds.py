@@ -46,6 +46,17 @@ CLOUDS = {
 }
 
 
+#: Clouds of order lines, whose ids are made by ``_line_id``.
+LINES = tuple(n for n, c in CLOUDS.items() if c.pid is None)
+
+
+def line_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """l_orderkey, pid of every order line, from the number of lines of each order."""
+    lines = spark.read.parquet(f"{sf_dir}/lineitem.parquet").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("m"))
+    places = lines.where("l_orderkey IS NOT NULL").select("l_orderkey", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))).alias("place"))
+    return places.select("l_orderkey", (F.col("l_orderkey") * 1024 + F.col("place")).alias("pid"))
+
+
 def of(df: DataFrame, x: str, y: str, z: str, pid: str | None = None, carry: tuple[str, ...] = (), on_bad: str = "drop") -> DataFrame:
     """A cloud of three numeric columns. Null, not-a-number and infinite coordinates are dropped or raise."""
     for c in (x, y, z):
@@ -62,8 +73,11 @@ def of(df: DataFrame, x: str, y: str, z: str, pid: str | None = None, carry: tup
     return out.where(good)
 
 
-def load(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False) -> DataFrame:
-    """x, y, z (and pid where asked for) of a registered cloud; only the columns that it needs are read."""
+def load(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False, orders: DataFrame | None = None) -> DataFrame:
+    """x, y, z (and pid where asked for) of a registered cloud; only the columns that it needs are read.
+
+    ``orders`` (a small table of l_orderkey) leaves the lines of these orders, with the ids that they have among all.
+    """
     spec = CLOUDS[name]
     df = spark.read.parquet(f"{sf_dir}/{spec.table}.parquet")
     if name == "c_vectors":
@@ -72,6 +86,8 @@ def load(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False) -> Da
         df = df.select("vec_id", "embedding", triple.alias("t"))
         axes = [F.element_at("embedding", F.col("t") * 3 + a + 1).cast("double").alias(n) for a, n in enumerate(AXES)]
         return df.select(*([(F.col("vec_id") * 21 + F.col("t")).alias("pid")] if keyed else []), *axes)
+    if orders is not None:
+        df = df.join(F.broadcast(orders), "l_orderkey", "left_semi")
     if keyed and spec.pid is None:
         df = _line_id(df)
     pid = [F.col(spec.pid or "pid").cast("long").alias("pid")] if keyed else []
@@ -107,8 +123,8 @@ def box_of(spark: SparkSession, sf_dir: str, name: str) -> dict[str, float]:
     return _boxes[key]
 
 
-def unit(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False) -> DataFrame:
-    return unit_scale(load(spark, sf_dir, name, keyed), box_of(spark, sf_dir, name))
+def unit(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False, orders: DataFrame | None = None) -> DataFrame:
+    return unit_scale(load(spark, sf_dir, name, keyed, orders), box_of(spark, sf_dir, name))
 
 
 def line_number(pid: Column) -> Column:

@@ -22,7 +22,7 @@ def test_scrambled_ids_of_any_size(spark):
     assert [tuple(r) for r in got] == [(x, x * 2654435761 % (1 << 32)) for x in ids]
 
 
-@pytest.mark.parametrize("name", ["chunk_classes"])
+@pytest.mark.parametrize("name", ["chunk_classes", "skip_report", "radius_interval", "radius_count_full", "radius_count_index", "radius_count_joined", "chunk_skips"])
 def test_large_keys_equal_sql_without_overflow(spark, far, name):
     con = duckdb.connect()
     for t in ("lineitem", "part"):
