@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -95,6 +96,20 @@ def load(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False, order
     return df.select(*pid, *axes, *(spec.carry if keyed else ()))
 
 
+def several(spark: SparkSession, sf_dir: str, names: tuple[str, ...], keyed: bool = False) -> DataFrame:
+    """cloud (its place in ``names``), x, y, z (and pid where asked for) of many clouds as stored; order lines are read and numbered once for all."""
+    lines, parts = [n for n in names if n in LINES], []
+    if lines:
+        df = spark.read.parquet(f"{sf_dir}/{CLOUDS[lines[0]].table}.parquet")
+        axes = {n: [(a() if callable(a) else F.col(a)).cast("double").alias(c) for a, c in zip(CLOUDS[n].axes, AXES, strict=True)] for n in lines}
+        at = F.inline(F.array(*[F.struct(F.lit(names.index(n)).alias("cloud"), *axes[n]) for n in lines]))
+        parts.append(_line_id(df).select(F.col("pid").cast("long"), at) if keyed else df.select(at))
+    for n in names:
+        if n not in LINES:
+            parts.append(load(spark, sf_dir, n, keyed).select(*(["pid"] if keyed else []), F.lit(names.index(n)).alias("cloud"), *AXES))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def bounding_box(cloud: DataFrame) -> dict[str, float]:
     """The only job before a compression: six numbers."""
     row = cloud.agg(*[f(a).alias(f"{a}_{s}") for a in AXES for f, s in ((F.min, "lo"), (F.max, "hi"))]).first()
