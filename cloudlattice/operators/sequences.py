@@ -17,6 +17,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 
 from cloudlattice.functions import curves
@@ -519,14 +520,17 @@ def pipeline_bits(on: list[float], counts: list[float], m: int, n: int) -> float
 def measured(rows: DataFrame, plan: Plan, tasks: int) -> list[dict]:
     """Of every sequence: points by ``n``, bits by codec, and with stored order sums and largest errors."""
     by = ("seq", "kind", "stream", "bucket")
-    ranges = rows.repartition(tasks, *by).groupBy(*by).applyInArrow(lambda g: table(list(merge(plan, g))), ROW).persist()
+    spark, held_rows = rows.sparkSession, "spark.sql.inMemoryColumnarStorage.batchSize"
+    before = spark.conf.get(held_rows)
+    spark.conf.set(held_rows, "16")  # a row is up to some MB, and a batch of the default's 10 000 would fill the heap
+    ranges = rows.repartition(tasks, *by).groupBy(*by).applyInArrow(lambda g: table(list(merge(plan, g))), ROW).persist(StorageLevel.DISK_ONLY)
     try:
         facts = ranges.where(f"stream = {FACTS}").collect()  # some numbers a key range
         sums = {r.seq: (np.frombuffer(r.v), np.frombuffer(r.c)) for r in facts if KINDS[r.kind] == "sums"}
         extra, tree, count = boundaries(plan, [r for r in facts if KINDS[r.kind] != "sums"])
         # a stream of one key has no histogram but for the driver's value
         alone = [(*at, b"", b"") for at in extra]
-        held = ranges.where(f"stream <> {FACTS}").unionByName(rows.sparkSession.createDataFrame(table(alone)))
+        held = ranges.where(f"stream <> {FACTS}").unionByName(spark.createDataFrame(table(alone)))
 
         def cost(group: pa.Table) -> pa.Table:
             seq, kind, stream = (group[c][0].as_py() for c in by[:3])
@@ -534,6 +538,7 @@ def measured(rows: DataFrame, plan: Plan, tasks: int) -> list[dict]:
 
         parts = held.repartition(tasks, *by).groupBy(*by).applyInArrow(cost, "seq int, kind int, stream int, x array<double>").collect()  # some numbers a histogram
     finally:
+        spark.conf.set(held_rows, before)
         ranges.unpersist()
     streams: dict = {}
     for r in sorted(parts):
