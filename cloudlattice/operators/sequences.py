@@ -4,7 +4,7 @@ A sequence is a cloud at a bound (and a stride). Points are read once: each task
 sorted keys with counts for every sequence and codec, cut at splitters. What belongs together is merged
 in key ranges, and their differences in histograms, which are merged in turn, so that no task holds a
 whole sequence. Splitters come from a sample of points; they deal out the work and don't change a result.
-Sizes and errors are those of ``families``; blocks leave a task as binary columns of 64-bit numbers.
+Sizes and errors are those of ``families``; blocks leave a task as binary columns of numbers.
 """
 
 from __future__ import annotations
@@ -29,7 +29,9 @@ PIPELINES = ("to_morton", "to_hilbert", "cube_pipeline")
 KEYED = (*PIPELINES, "particle_block", "grid")
 #: Codecs that look at points in their stored order, and what is added up.
 STORED = ("array_predictive", "float_bounded", "sums")
-KINDS = (*KEYED, *STORED)
+#: Codecs without rows of their own: their bits come with the sums and with the grid.
+CARRIED = ("float_lossless", "octree_occupancy")
+KINDS = (*KEYED, *STORED, *CARRIED)
 #: Points that a task combines at once, and points of a key range.
 BATCH, RANGE = 1 << 18, 400_000
 #: Points whose cells are computed at once, so that the steps between stay in a core's cache.
@@ -75,12 +77,19 @@ def squared(a, b) -> np.ndarray:
     return x * x + y * y + z * z
 
 
-def bcc(u: np.ndarray) -> list[np.ndarray]:
-    floor = [np.floor(a) for a in u]
-    odd = [(f.astype(np.int64) & 1).astype(np.float64) for f in floor]
-    even, other = [f + b for f, b in zip(floor, odd, strict=True)], [f + 1 - b for f, b in zip(floor, odd, strict=True)]
-    near = squared(u, even) <= squared(u, other)
-    return [np.where(near, e, o).astype(np.int64) for e, o in zip(even, other, strict=True)]
+def bcc(u: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
+    """Cells of the lattice and squared distances to them; between equally near ones the even corner."""
+    floor = np.floor(u)
+    below, cell = u - floor, floor.astype(np.int64)
+    above, odd = below - 1, cell & 1
+    below *= below
+    above *= above
+    flip = odd.astype(bool)
+    (ex, ey, ez), (ox, oy, oz) = np.where(flip, above, below), np.where(flip, below, above)
+    even, other = ex + ey + ez, ox + oy + oz
+    odd ^= even > other
+    cell += odd
+    return list(cell), np.minimum(even, other)
 
 
 def cube(u: np.ndarray) -> list[np.ndarray]:
@@ -144,37 +153,94 @@ def counted(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndar
     return keys[first], np.add.reduceat(counts, first) if len(keys) else counts
 
 
-def packed(a: np.ndarray | None) -> bytes:
-    return b"" if a is None else a.astype(np.int64, copy=False).tobytes()
+#: Widths of numbers in a binary column, by the byte before them.
+_WIDTHS = tuple(np.dtype(w) for w in ("u1", "<u2", "<u4", "<i8"))
+
+
+def _narrow(a: np.ndarray) -> bytes:
+    top = int(a.max()) if len(a) else 0
+    at = next(k for k, w in enumerate(_WIDTHS) if top <= np.iinfo(w).max)
+    return bytes([at]) + a.astype(_WIDTHS[at], copy=False).tobytes()
+
+
+def packed(a: np.ndarray | None, rising: bool = False) -> bytes:
+    """Numbers from 0 in the fewest bytes that hold them all; ``rising`` ones as the first and differences."""
+    if a is None or not len(a):
+        return b""
+    return np.array(a[:1], "<i8").tobytes() + _narrow(np.diff(a)) if rising else _narrow(a)
+
+
+def unpacked(held: bytes, rising: bool = False) -> np.ndarray:
+    start = 8 if rising else 0
+    a = np.frombuffer(held, _WIDTHS[held[start]], offset=start + 1)
+    if not rising:
+        return a.astype(np.int64)
+    out = np.empty(len(a) + 1, np.int64)
+    out[0], out[1:] = np.frombuffer(held, "<i8", 1)[0], a
+    return np.cumsum(out, out=out)
+
+
+def plain(a) -> bytes:
+    return np.array(a, np.int64).tobytes()
+
+
+def quantized(kinds: tuple[str, ...], bound: Bound, p: np.ndarray, errors: dict[str, list[float]] | None = None) -> dict[str, np.ndarray]:
+    """Keys of points on the unit cube, as they lie; ``bcc`` serves both orders of its cells. Into ``errors`` go summed and largest squared ones."""
+    wanted, n = set(kinds), p.shape[1]
+    names = [name for name, users in (("bcc", {"to_morton", "to_hilbert"}), ("cube_pipeline", {"cube_pipeline"}), ("particle_block", {"particle_block"}), ("grid", {"grid"})) if wanted & users]
+    out = {name: np.empty(n, np.int64) for name in names}
+
+    def add(name: str, e: np.ndarray) -> None:
+        held = errors.setdefault(name, [0.0, 0.0])
+        held[0] += float(e.sum())
+        held[1] = max(held[1], float(e.max()))
+
+    for at in range(0, n, CACHED):
+        here = slice(at, at + CACHED)
+        piece = p[:, here]
+        if "bcc" in out:
+            cell, e = bcc(piece * bound.bcc)
+            out["bcc"][here] = morton([c >> 1 for c in cell]) << 1 | cell[0] & 1
+            if errors is not None:
+                add("bcc", e / (bound.bcc * bound.bcc))
+        if wanted & {"cube_pipeline", "particle_block"}:
+            u = piece * bound.cube
+            cell = cube(u)
+            if "cube_pipeline" in out:
+                out["cube_pipeline"][here] = morton(cell)
+            if "particle_block" in out:
+                out["particle_block"][here] = blocked(cell, bound.blocks)
+            if errors is not None:
+                add("cube", squared(u, cell) / (bound.cube * bound.cube))
+        if "grid" in out:
+            cell = grid(piece, bound.levels)
+            out["grid"][here] = morton(cell)
+            if errors is not None:
+                add("grid", squared(piece, [(c + 0.5) / float(1 << bound.levels) for c in cell]))
+    return out
 
 
-def keys_of(plan: Plan, seq: int, p: np.ndarray) -> Iterator[tuple[str, np.ndarray, np.ndarray | None]]:
-    """Codec, keys in order and counts of points on the unit cube."""
-    bound = plan.seqs[seq][1]
-    wanted = set(plan.kinds)
-    if wanted & {"to_morton", "to_hilbert"}:
-        pieces = [bcc(p[:, at : at + CACHED] * bound.bcc) for at in range(0, p.shape[1], CACHED)]
-        keys, counts = counted(np.concatenate([morton([c >> 1 for c in cell]) << 1 | cell[0] & 1 for cell in pieces]))
-        if "to_morton" in wanted:
+def ordered(kinds: tuple[str, ...], bound: Bound, held: dict[str, np.ndarray]) -> Iterator[tuple[str, np.ndarray, np.ndarray | None]]:
+    """Codec, keys in order and counts, of what ``quantized`` gave."""
+    for name, keys in held.items():
+        if name != "bcc":
+            yield name, *counted(keys)
+            continue
+        keys, counts = counted(keys)
+        if "to_morton" in kinds:
             yield "to_morton", keys, counts
-        if "to_hilbert" in wanted:
-            keys = hilbert(keys >> 1, bound.hilbert) << 1 | keys & 1
-            yield "to_hilbert", *counted(keys, counts)
-    if wanted & {"cube_pipeline", "particle_block"}:
-        cell = cube(p * bound.cube)
-        if "cube_pipeline" in wanted:
-            yield "cube_pipeline", *counted(morton(cell))
-        if "particle_block" in wanted:
-            yield "particle_block", *counted(blocked(cell, bound.blocks))
-    if "grid" in wanted:
-        yield "grid", *counted(morton(grid(p, bound.levels)))
+        if "to_hilbert" in kinds:
+            yield "to_hilbert", *counted(hilbert(keys >> 1, bound.hilbert) << 1 | keys & 1, counts)
 
 
 def with_splitters(plan: Plan, sampled: dict[int, np.ndarray]) -> Plan:
     """Splitters of every sequence from some points of its cloud (three axes, as stored)."""
     for seq, (cloud, _, _) in enumerate(plan.seqs):
         parts, raw = plan.parts(seq), sampled.get(cloud)
-        for kind, keys, _ in keys_of(plan, seq, unit(raw, plan.boxes[cloud])) if parts > 1 and raw is not None and raw.shape[1] else ():
+        if parts == 1 or raw is None or not raw.shape[1]:
+            continue
+        bound = plan.seqs[seq][1]
+        for kind, keys, _ in ordered(plan.kinds, bound, quantized(plan.kinds, bound, unit(raw, plan.boxes[cloud]))):
             plan.splitters[seq, kind] = np.unique(keys[np.arange(1, parts) * len(keys) // parts])
     return plan
 
@@ -184,44 +250,54 @@ def histogram(plan: Plan, seq: int, kind: str, stream: int, values: np.ndarray,
     v, c = counted(values, counts)
     parts = plan.parts(seq)
     if parts == 1:
-        yield seq, KINDS.index(kind), stream, 0, packed(v), packed(c)
+        yield seq, KINDS.index(kind), stream, 0, packed(v, True), packed(c)
         return
     owner = (v % parts).astype(np.int16 if parts < 1 << 15 else np.int64)
     order = np.argsort(owner, kind="stable")
     edges = np.searchsorted(owner[order], np.arange(parts + 1))
     for b in np.flatnonzero(np.diff(edges)):
         at = order[edges[b] : edges[b + 1]]
-        yield seq, KINDS.index(kind), stream, int(b), packed(v[at]), packed(None if c is None else c[at])
+        yield seq, KINDS.index(kind), stream, int(b), packed(v[at], True), packed(None if c is None else c[at])
 
 
-def cut(plan: Plan, seq: int, p: np.ndarray) -> Iterator[tuple]:
-    """Rows of keys and counts, cut at the splitters."""
-    for kind, keys, counts in keys_of(plan, seq, p):
+def cut(plan: Plan, seq: int, held: dict[str, np.ndarray]) -> Iterator[tuple]:
+    """Rows of keys (of ``quantized``) and counts, cut at the splitters."""
+    for kind, keys, counts in ordered(plan.kinds, plan.seqs[seq][1], held):
         edges = [0, *np.searchsorted(keys, plan.splitters.get((seq, kind), []), side="right"), len(keys)]
         for b, (lo, hi) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
             if lo < hi:
-                yield seq, KINDS.index(kind), 0, b, packed(keys[lo:hi]), packed(None if counts is None else counts[lo:hi])
+                yield seq, KINDS.index(kind), 0, b, packed(keys[lo:hi], True), packed(None if counts is None else counts[lo:hi])
 
 
 def transformed(p: np.ndarray, bound: Bound) -> tuple[int, float, float]:
     """Bits, summed and largest squared error of the block transform over points in stored order."""
     n = p.shape[1]
-    v = np.concatenate([p, np.zeros((3, -n % 4))], 1).reshape(3, -1, 4)
-    e = bit_length(np.floor(v.max(2) * float(1 << FIXED))) - FIXED
+    v = np.concatenate([p, np.zeros((3, -n % 4))], 1) if n % 4 else p
+    v = np.ascontiguousarray(np.moveaxis(v.reshape(3, -1, 4), 2, 0))  # the four places of a block, each a contiguous array
+    e = bit_length(np.floor(v.max(0) * float(1 << FIXED))) - FIXED
     scale = np.ldexp(1.0, FIXED - e)
-    held = dict(zip("abcd", np.moveaxis(np.floor(v * scale[..., None] + 0.5).astype(np.int64), 2, 0), strict=True))
+    held = dict(zip("abcd", np.floor(v * scale + 0.5).astype(np.int64), strict=True))
     for target, value in families.lifting():
         held[target] = eval(value, {"shiftright": np.right_shift}, held)  # noqa: S307 (steps of this package)
-    held = {k: (a + NEGABINARY) ^ NEGABINARY for k, a in held.items()}
+    digits = np.stack([held[k] for k in "abcd"])
+    digits += NEGABINARY
+    digits ^= NEGABINARY
     kept = np.minimum(FIXED + 2, np.maximum(0, e - bound.least + 4))
     gone = FIXED + 2 - kept
-    digits = [np.maximum(bit_length(a) - gone, 0) for a in held.values()]
-    spent = sum(int((d + (d > 0)).sum()) for d in digits) + int(kept.sum()) + BLOCK_HEADER * kept.size
-    held = {k: ((a >> gone << gone) ^ NEGABINARY) - NEGABINARY for k, a in held.items()}
+    lengths = np.maximum(bit_length(digits) - gone, 0)
+    spent = int(lengths.sum()) + int(np.count_nonzero(lengths)) + int(kept.sum()) + BLOCK_HEADER * kept.size
+    digits >>= gone
+    digits <<= gone
+    digits ^= NEGABINARY
+    digits -= NEGABINARY
+    held = dict(zip("abcd", digits, strict=True))
     for target, value in families.unlifting():
         held[target] = eval(value, {"shiftright": np.right_shift}, held)  # noqa: S307
-    gap = np.stack([held[k] / scale for k in "abcd"], 2) - v
-    error = (gap * gap).sum(0).ravel()[:n]
+    gap = np.stack([held[k] for k in "abcd"]) / scale
+    gap -= v
+    gap *= gap
+    error = gap[:, 0] + gap[:, 1] + gap[:, 2]
+    error = error.T.ravel()[:n]
     return spent, float(error.sum()), float(error.max())
 
 
@@ -246,32 +322,41 @@ def lossless(raw: np.ndarray, patch: int) -> int:
 
 
 def in_order(plan: Plan, seq: int, p: np.ndarray, raw: np.ndarray) -> Iterator[tuple]:
-    """Rows of the codecs that look at a slice's points in stored order, and of errors."""
+    """Rows of a slice's points: of the codecs that look at them in stored order, of errors, and of keys."""
     cloud, bound, _ = plan.seqs[seq]
-    width, steps = float(1 << bound.levels), []
-    for axis, a in enumerate(p):
-        whole = np.floor(a / bound.step + 0.5).astype(np.int64)
-        steps.append(whole * bound.step)
-        gap = np.diff(whole, prepend=0)
-        yield from histogram(plan, seq, "array_predictive", axis, np.where(gap >= 0, gap * 2, -gap * 2 - 1))
-        q = np.floor(a * width + 0.5).astype(np.int64)
-        for place in range(bound.levels // 8 + 1):
-            byte = q >> 8 * place & 255
+    width, n = float(1 << bound.levels), p.shape[1]
+    errors = {k: [0.0, 0.0] for k in sorted(set(families.ERRORS.values()))}
+    spent, total, worst = 0, 0.0, 0.0
+    whole, q = np.empty((3, n), np.int64), np.empty((3, n), "<i4")
+    bytewise = "float_bounded" in plan.kinds
+    for at in range(0, n, CACHED):  # a multiple of a block's four places
+        here = slice(at, at + CACHED)
+        piece = p[:, here]
+        steps = np.floor(piece / bound.step + 0.5)
+        whole[:, here] = steps
+        back = [("steps", steps * bound.step)]
+        if bytewise:
+            fixed = np.floor(piece * width + 0.5)
+            q[:, here] = fixed
+            back.append(("fixed", fixed / width))
+        for name, to in back:
+            e = squared(piece, to)
+            errors[name] = [errors[name][0] + float(e.sum()), max(errors[name][1], float(e.max()))]
+        some, more, most = transformed(piece, bound)
+        spent, total, worst = spent + some, total + more, max(worst, most)
+    for axis in range(3):
+        gap = np.diff(whole[axis], prepend=0)
+        yield from histogram(plan, seq, "array_predictive", axis, gap << 1 ^ gap >> 63)
+        for place in range(bound.levels // 8 + 1) if bytewise else ():
+            byte = q[axis].view(np.uint8)[place::4]
             counts = np.append(np.bincount(byte, minlength=256), 1 + np.count_nonzero(byte[1:] != byte[:-1]))  # the last: runs
-            yield seq, KINDS.index("float_bounded"), axis * 3 + place, 0, packed(np.arange(257)), packed(counts)
-    back = {
-        "steps": steps,
-        "grid": [(c + 0.5) / width for c in grid(p, bound.levels)],
-        "fixed": [np.floor(a * width + 0.5) / width for a in p],
-    }
-    errors = {k: squared(p, at) for k, at in back.items()}
-    for shape, factor, cells in (("bcc", bound.bcc, bcc), ("cube", bound.cube, cube)):
-        u = p * factor
-        errors[shape] = squared(u, cells(u)) / (factor * factor)
-    spent, total, worst = transformed(p, bound)
-    first = seq == next(s for s, at in enumerate(plan.seqs) if at[0] == cloud)  # what no bound changes is added up once
-    sums = [p.shape[1], spent, total, lossless(raw, plan.patches[cloud]) if first else 0, *(float(errors[k].sum()) for k in sorted(errors))]
-    tops = [worst, *(float(errors[k].max()) for k in sorted(errors))]
+            yield seq, KINDS.index("float_bounded"), axis * 3 + place, 0, packed(np.arange(257), True), packed(counts)
+    del whole, q
+    for at in range(0, n, BATCH):
+        yield from cut(plan, seq, quantized(plan.kinds, bound, p[:, at : at + BATCH], errors))
+    first = "float_lossless" in plan.kinds and seq == next(s for s, at in enumerate(plan.seqs) if at[0] == cloud)  # what no bound changes is added up once
+    sums = [n, spent, total, lossless(raw, plan.patches[cloud]) if first else 0, *(errors[k][0] for k in sorted(errors))]
+    tops = [worst, *(errors[k][1] for k in sorted(errors))]
     yield seq, KINDS.index("sums"), 0, 0, np.array(sums, np.float64).tobytes(), np.array(tops, np.float64).tobytes()
 
 
@@ -311,11 +396,18 @@ def from_points(points: DataFrame, plan: Plan) -> DataFrame:
     def done(cloud: int, held: list) -> Iterator[tuple]:
         *raw, number = (np.concatenate(c) for c in zip(*held, strict=True))
         p = unit(np.stack(raw), plan.boxes[cloud])
-        for seq, (of, _, stride) in enumerate(plan.seqs):
+        by_bound = defaultdict(list)
+        for seq, (of, bound, stride) in enumerate(plan.seqs):
             if of == cloud:
-                mine = p if stride == 1 else p[:, number % stride == 0]
-                if mine.shape[1]:
-                    yield from cut(plan, seq, mine)
+                by_bound[bound].append((seq, stride))
+        kept = {stride: np.flatnonzero(number % stride == 0) for stride in {s for _, _, s in plan.seqs} - {1}}
+        for bound, mine in by_bound.items():  # points of a stride have the keys that they have among all
+            held = quantized(plan.kinds, bound, p)
+            for seq, stride in mine:
+                if stride == 1:
+                    yield from cut(plan, seq, held)
+                elif len(kept[stride]):
+                    yield from cut(plan, seq, {name: keys[kept[stride]] for name, keys in held.items()})
 
     return points.select("cloud", "x", "y", "z", "number").mapInArrow(lambda got: batches(rows(got)), ROW)
 
@@ -344,30 +436,31 @@ def from_slices(points: DataFrame, plan: Plan, tasks: int) -> DataFrame:
         for seq, (of, _, _) in enumerate(plan.seqs):
             if of == cloud:
                 yield from in_order(plan, seq, p, raw)
-                for at in range(0, p.shape[1], BATCH):
-                    yield from cut(plan, seq, p[:, at : at + BATCH])
 
-    dealt = points.repartition(tasks, "cloud", "slice").sortWithinPartitions("cloud", "slice", "pid")
+    # slices are few and large: with so many parts hardly two meet in one
+    dealt = points.repartition(4 * tasks, "cloud", "slice").sortWithinPartitions("cloud", "slice", "pid")
     return dealt.select("cloud", "slice", "x", "y", "z").mapInArrow(lambda got: batches(rows(got)), ROW)
 
 
-def arrays(group: pa.Table, kind: type = np.int64) -> list[tuple[np.ndarray, np.ndarray | None]]:
-    return [(np.frombuffer(v, kind), np.frombuffer(c, kind) if c else None) for v, c in zip(group["v"].to_pylist(), group["c"].to_pylist(), strict=True)]
+def arrays(group: pa.Table) -> list[tuple[np.ndarray, np.ndarray | None]]:
+    return [(unpacked(v, True), unpacked(c) if c else None) for v, c in zip(group["v"].to_pylist(), group["c"].to_pylist(), strict=True) if v]
 
 
 def together(group: pa.Table) -> tuple[np.ndarray, np.ndarray | None]:
     """The rows' keys or values as one, in order, with counts."""
     held = arrays(group)
+    if not held:
+        return np.zeros(0, np.int64), None
     keys = np.concatenate([k for k, _ in held])
     if all(c is None for _, c in held):
         return counted(keys)
     return counted(keys, np.concatenate([np.ones(len(k), np.int64) if c is None else c for k, c in held]))
 
 
-def trees(keys: np.ndarray, counts: np.ndarray, levels: int) -> tuple[np.ndarray, np.ndarray, list[int], list[tuple[int, int, int, int]]]:
+def trees(keys: np.ndarray, counts: np.ndarray, levels: int, masked: bool = True) -> tuple[np.ndarray, np.ndarray, list[int], list[tuple[int, int, int, int]]]:
     """Of a range of grid keys: pairs (parent's mask, mask) and their counts; bits of leaves and of inner nodes; edge nodes (tree, level, node, n or mask).
 
-    The first and the last node of a level may go on in another range, and what depends on them is told to the driver.
+    The first and the last node of a level may go on in another range, and what depends on them is told to the driver. Without ``masked`` there are no pairs.
     """
     edges, inner = [], 0
     n, bits = counts, bit_length(counts)
@@ -380,6 +473,8 @@ def trees(keys: np.ndarray, counts: np.ndarray, levels: int) -> tuple[np.ndarray
             apart, bits = apart[left], bit_length(n)
         inner += int(bits[1:-1].sum())
         edges += [(0, level, int(keys[at] >> shift), int(n[at])) for at in ((0, -1) if len(n) > 1 else (0,))]
+    if not masked:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), [0, inner], edges
     masks, parent, child = {}, {}, keys
     for level in range(levels, 0, -1):
         node = child >> 3
@@ -407,20 +502,22 @@ def merge(plan: Plan, group: pa.Table) -> Iterator[tuple]:
     seq, kind, stream, bucket = (group[c][0].as_py() for c in ("seq", "kind", "stream", "bucket"))
     name = KINDS[kind]
     if name == "sums":
-        held = arrays(group, np.float64)
-        yield seq, kind, FACTS, 0, np.sum([s for s, _ in held], 0).tobytes(), np.max([t for _, t in held], 0).tobytes()
+        of = lambda c: [np.frombuffer(x) for x in group[c].to_pylist()]
+        yield seq, kind, FACTS, 0, np.sum(of("v"), 0).tobytes(), np.max(of("c"), 0).tobytes()
         return
     keys, counts = together(group)
     if name in STORED:
-        yield seq, kind, stream, bucket, packed(keys), packed(counts)
+        yield seq, kind, stream, bucket, packed(keys, True), packed(counts)
         return
     n = np.ones(len(keys), np.int64) if counts is None else counts
     if name == "grid":
-        pairs, c, sizes, edges = trees(keys, n, plan.seqs[seq][1].levels)
-        yield seq, kind, 0, 0, packed(pairs), packed(c)
-        yield seq, kind, FACTS, bucket, packed(np.array(sizes)), packed(np.array(edges).ravel())
+        pairs, c, sizes, edges = trees(keys, n, plan.seqs[seq][1].levels, "octree_occupancy" in plan.kinds)
+        if "octree_occupancy" in plan.kinds:
+            if len(pairs):
+                yield seq, kind, 0, 0, packed(pairs, True), packed(c)
+        yield seq, kind, FACTS, bucket, plain(sizes), plain(edges)
         return
-    yield seq, kind, FACTS, bucket, packed(np.array([keys[0], keys[-1], len(keys), int(n.sum())])), b""
+    yield seq, kind, FACTS, bucket, plain([keys[0], keys[-1], len(keys), int(n.sum())]), b""
     repeats = (np.zeros(1, np.int64), np.array([len(keys)])) if counts is None else (n - 1,)
     if name == "particle_block":
         for at, values in enumerate(coded(keys[1:], keys[:-1])):
@@ -485,6 +582,8 @@ def boundaries(plan: Plan, facts: list) -> tuple[dict, dict, dict]:
                     masks[level, node] |= x
             sizes = np.sum([v for _, v, _ in held], 0)
             tree[seq] = [int(sizes[0]), int(sizes[1]) + sum(x.bit_length() for x in nodes.values())]
+            if not masks:  # only sizes of nodes are wanted
+                continue
             extra[seq, kind, 0, 0] = [masks.get((level - 1, node >> 3), 0) * 256 + mask for (level, node), mask in masks.items()]
             continue
         before = 0
@@ -557,11 +656,15 @@ def measured(rows: DataFrame, plan: Plan, tasks: int) -> list[dict]:
             elif name in ("particle_block", "array_predictive"):
                 bits[name] = sum(stream_bits(*x[:3], x[3:-1]) for x in s.values())
             elif name == "grid":
-                leaves, inner = tree[seq]
-                bits |= {"kdtree_split": float(inner), "octree_occupancy": s[0][0] + leaves}
+                continue
             elif name == "float_bounded":
                 small = lambda kinds, n: int(kinds - 1).bit_length() * n + kinds * 8 if kinds <= 16 else math.inf
                 bits[name] = float(sum(min(n * 8, runs * 16, small(kinds, n)) for kinds, n, runs in s.values()))
+        if seq in tree:
+            leaves, inner = tree[seq]
+            bits["kdtree_split"] = float(inner)
+            if "octree_occupancy" in plan.kinds:
+                bits["octree_occupancy"] = streams[seq, "grid"][0][0] + leaves
         found["bits"] = bits
         if seq in sums:
             found["sums"], found["tops"] = sums[seq]

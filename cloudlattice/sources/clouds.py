@@ -7,6 +7,7 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 AXES = ("x", "y", "z")
 
@@ -51,9 +52,21 @@ CLOUDS = {
 LINES = tuple(n for n, c in CLOUDS.items() if c.pid is None)
 
 
+_schemas: dict[tuple[str, str], StructType] = {}
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table; its columns are looked up once a session, as each look is a job."""
+    path = f"{sf_dir}/{name}.parquet"
+    key = (spark.sparkContext.applicationId, path)
+    if key not in _schemas:
+        _schemas[key] = spark.read.parquet(path).schema
+    return spark.read.schema(_schemas[key]).parquet(path)
+
+
 def line_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     """l_orderkey, pid of every order line, from the number of lines of each order."""
-    lines = spark.read.parquet(f"{sf_dir}/lineitem.parquet").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("m"))
+    lines = table(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("m"))
     places = lines.where("l_orderkey IS NOT NULL").select("l_orderkey", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))).alias("place"))
     return places.select("l_orderkey", (F.col("l_orderkey") * 1024 + F.col("place")).alias("pid"))
 
@@ -80,7 +93,7 @@ def load(spark: SparkSession, sf_dir: str, name: str, keyed: bool = False, order
     ``orders`` (a small table of l_orderkey) leaves the lines of these orders, with the ids that they have among all.
     """
     spec = CLOUDS[name]
-    df = spark.read.parquet(f"{sf_dir}/{spec.table}.parquet")
+    df = table(spark, sf_dir, spec.table)
     if name == "c_vectors":
         # as many whole triples as a vector has
         triple = F.explode(F.sequence(F.lit(0), F.floor(F.size("embedding") / 3).cast("int") - 1))
@@ -100,7 +113,7 @@ def several(spark: SparkSession, sf_dir: str, names: tuple[str, ...], keyed: boo
     """cloud (its place in ``names``), x, y, z (and pid where asked for) of many clouds as stored; order lines are read and numbered once for all."""
     lines, parts = [n for n in names if n in LINES], []
     if lines:
-        df = spark.read.parquet(f"{sf_dir}/{CLOUDS[lines[0]].table}.parquet")
+        df = table(spark, sf_dir, CLOUDS[lines[0]].table)
         axes = {n: [(a() if callable(a) else F.col(a)).cast("double").alias(c) for a, c in zip(CLOUDS[n].axes, AXES, strict=True)] for n in lines}
         at = F.inline(F.array(*[F.struct(F.lit(names.index(n)).alias("cloud"), *axes[n]) for n in lines]))
         parts.append(_line_id(df).select(F.col("pid").cast("long"), at) if keyed else df.select(at))
@@ -110,6 +123,22 @@ def several(spark: SparkSession, sf_dir: str, names: tuple[str, ...], keyed: boo
     return reduce(DataFrame.unionByName, parts)
 
 
+def census(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+    """cloud (its place in ``names``), n and the box of many clouds as stored: a row each, from one pass over each table."""
+    ends = [(a, s, f) for a in AXES for s, f in (("lo", F.min), ("hi", F.max))]
+    lines, parts = [n for n in names if n in LINES], []
+    if lines:
+        df = table(spark, sf_dir, CLOUDS[lines[0]].table)
+        axes = {(n, c): (a() if callable(a) else F.col(a)).cast("double") for n in lines for a, c in zip(CLOUDS[n].axes, AXES, strict=True)}
+        row = df.select(*[e.alias(f"{n}_{a}") for (n, a), e in axes.items()]).agg(F.count(F.lit(1)).alias("n"), *[f(f"{n}_{a}").alias(f"{n}_{a}_{s}") for n in lines for a, s, f in ends])
+        each = [F.struct(F.lit(names.index(n)).alias("cloud"), "n", *[F.col(f"{n}_{a}_{s}").alias(f"{a}_{s}") for a, s, _ in ends]) for n in lines]
+        parts.append(row.select(F.inline(F.array(*each))))
+    for n in names:
+        if n not in LINES:
+            parts.append(load(spark, sf_dir, n).agg(F.count(F.lit(1)).alias("n"), *[f(a).alias(f"{a}_{s}") for a, s, f in ends]).select(F.lit(names.index(n)).alias("cloud"), "*"))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def bounding_box(cloud: DataFrame) -> dict[str, float]:
     """The only job before a compression: six numbers."""
     row = cloud.agg(*[f(a).alias(f"{a}_{s}") for a in AXES for f, s in ((F.min, "lo"), (F.max, "hi"))]).first()
