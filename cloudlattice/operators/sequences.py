@@ -142,6 +142,8 @@ def blocked(cell: list[np.ndarray], blocks: int) -> np.ndarray:
 
 def counted(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray | None]:
     """Distinct keys in order and how often each is there; None if all are there once."""
+    if counts is not None and counts.min(initial=1) > 0 and counts.sum() <= 2 * len(keys):
+        keys, counts = np.repeat(keys, counts), None  # keys alone are sorted faster than keys with counts
     if counts is not None:
         order = np.argsort(keys, kind="stable")
         keys, counts = keys[order], counts[order]
@@ -457,44 +459,81 @@ def together(group: pa.Table) -> tuple[np.ndarray, np.ndarray | None]:
     return counted(keys, np.concatenate([np.ones(len(k), np.int64) if c is None else c for k, c in held]))
 
 
+def within(keys: np.ndarray, counts: np.ndarray, depth: int) -> int:
+    """Bit lengths of the counts of all nodes of a binary tree over keys of so many bits, but for the leaves and the first node of each level."""
+    apart = bit_length(keys[1:] ^ keys[:-1])  # neighbours are one node from this shift on
+    if int(counts.sum()) > 2 * len(keys):  # level by level, on nodes with their counts
+        total, n, bits = 0, counts, bit_length(counts)
+        for shift in range(1, depth + 1):
+            if len(apart) and apart.min() <= shift:
+                left = apart > shift
+                n = np.add.reduceat(n, np.concatenate([[0], np.flatnonzero(left) + 1]))
+                apart, bits = apart[left], bit_length(n)
+            total += int(bits[1:].sum())
+        return total
+    # a node that starts at a point holds m points at the shifts from the largest gap of the m - 1 after it, up to the gap before it; a count has
+    # a bit for each power of two m that it reaches
+    gaps = np.zeros(int(counts.sum()) - 1, np.int8)
+    gaps[np.cumsum(counts[:-1]) - 1] = apart
+    total, widest, m = int(np.maximum(gaps - 1, 0).sum(dtype=np.int64)), gaps, 2  # widest: of m / 2 gaps
+    while m <= len(gaps):
+        half = m // 2
+        most = np.maximum(widest[: len(gaps) - m + 2], widest[half - 1 :][: len(gaps) - m + 2])[1:]  # of m - 1 gaps after each point but the first
+        total += int(np.maximum(gaps[: len(most)] - np.maximum(most, 1), 0).sum(dtype=np.int64))
+        widest, m = np.maximum(widest[: len(widest) - half], widest[half:]), 2 * m
+    return total
+
+
 def trees(keys: np.ndarray, counts: np.ndarray, levels: int, masked: bool = True) -> tuple[np.ndarray, np.ndarray, list[int], list[tuple[int, int, int, int]]]:
     """Of a range of grid keys: pairs (parent's mask, mask) and their counts; bits of leaves and of inner nodes; edge nodes (tree, level, node, n or mask).
 
     The first and the last node of a level may go on in another range, and what depends on them is told to the driver. Without ``masked`` there are no pairs.
     """
-    edges, inner = [], 0
-    n, bits = counts, bit_length(counts)
-    apart = bit_length(keys[1:] ^ keys[:-1])  # neighbours are one node from this shift on
+    edges, inner = [], within(keys, counts, 3 * levels)
+    before = np.concatenate([[0], np.cumsum(counts)])
     for level in range(3 * levels, 0, -1):
         shift = 3 * levels - level + 1
-        if len(apart) and apart.min() <= shift:
-            left = apart > shift
-            n = np.add.reduceat(n, np.concatenate([[0], np.flatnonzero(left) + 1]))
-            apart, bits = apart[left], bit_length(n)
-        inner += int(bits[1:-1].sum())
-        edges += [(0, level, int(keys[at] >> shift), int(n[at])) for at in ((0, -1) if len(n) > 1 else (0,))]
+        first, last = int(keys[0] >> shift), int(keys[-1] >> shift)
+        n = int(before[np.searchsorted(keys, first + 1 << shift)])
+        edges.append((0, level, first, n))
+        if last > first:
+            n = int(before[-1] - before[np.searchsorted(keys, last << shift)])
+            edges.append((0, level, last, n))
+            inner -= n.bit_length()
     if not masked:
         return np.zeros(0, np.int64), np.zeros(0, np.int64), [0, inner], edges
     masks, parent, child = {}, {}, keys
     for level in range(levels, 0, -1):
         node = child >> 3
-        fresh = np.concatenate([[True], node[1:] != node[:-1]])
-        first = np.flatnonzero(fresh)
-        parent[level + 1] = np.cumsum(fresh) - 1  # of the nodes of the level below, by place
-        masks[level] = (node[first], np.bitwise_or.reduceat(np.left_shift(1, child & 7), first))
+        bits = np.left_shift(np.uint8(1), (child & 7).astype(np.uint8))
+        fresh = node[1:] != node[:-1]
+        if fresh.all():  # no two children share a node
+            parent[level + 1], masks[level], child = None, (node, bits), node
+            continue
+        first = np.concatenate([[0], np.flatnonzero(fresh) + 1])
+        parent[level + 1] = np.concatenate([[0], np.cumsum(fresh)])  # of the nodes of the level below, by place
+        masks[level] = (node[first], np.bitwise_or.reduceat(bits, first))
         child = node[first]
-    pairs = []
+    pairs = np.zeros(1 << 16, np.int64)
     for level in range(1, levels + 1):
         node, mask = masks[level]
         if level == 1:
             edges += [(1, 1, int(a), int(m)) for a, m in zip(node, mask, strict=True)]
             continue
         above, up = masks[level - 1][1], parent[level]
-        told = (up == 0) | (up == len(above) - 1)
+        if up is None:
+            lo, hi = 1, len(above) - 1
+        else:
+            lo, hi = np.searchsorted(up, 0, "right"), np.searchsorted(up, len(above) - 1)
+            above = above[up]
+        if len(masks[level - 1][1]) < 2:
+            lo = hi = len(node)
+        told = [*range(lo), *range(hi, len(node))]
         edges += [(1, level, int(a), int(m)) for a, m in zip(node[told], mask[told], strict=True)]
-        pairs.append((above[up] * 256 + mask)[~told])
+        pairs += np.bincount(above[lo:hi].astype(np.uint16) << 8 | mask[lo:hi], minlength=1 << 16)
+    seen = np.flatnonzero(pairs)
     leaves = int(((bit_length(counts) - 1) * 2 + 1).sum())
-    return *np.unique(np.concatenate([np.zeros(0, np.int64), *pairs]), return_counts=True), [leaves, inner], edges
+    return seen, pairs[seen], [leaves, inner], edges
 
 
 def merge(plan: Plan, group: pa.Table) -> Iterator[tuple]:

@@ -79,3 +79,20 @@ def test_census_is_that_of_the_clouds(spark, sf_dir):
         cloud = clouds.load(spark, sf_dir, name)
         assert got[k]["n"] == cloud.count()
         assert {e: got[k][e] for e in ("x_lo", "x_hi", "y_lo", "y_hi", "z_lo", "z_hi")} == clouds.bounding_box(cloud)
+
+
+@pytest.mark.parametrize("levels, most", [(1, 1), (3, 1), (4, 2), (6, 9), (12, 1), (16, 2)])
+def test_tree_nodes_from_gaps_are_those_of_every_level(levels, most):
+    rng = np.random.default_rng(levels)
+    keys = np.unique(rng.integers(0, 1 << min(3 * levels, 11), 300))
+    counts = rng.integers(1, most + 1, len(keys))
+    want = 0
+    for shift in range(1, 3 * levels + 1):
+        n = np.bincount(np.unique(keys >> shift, return_inverse=True)[1], counts)
+        want += sum(int(x).bit_length() for x in n[1:])
+    assert sequences.within(keys, counts, 3 * levels) == want
+
+
+def test_counts_of_zero_stay():
+    keys, counts = sequences.counted(np.array([2, 1, 2, 3]), np.array([0, 1, 1, 0]))
+    assert keys.tolist() == [1, 2, 3] and counts.tolist() == [1, 1, 0]
