@@ -14,6 +14,7 @@ from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
+from types import CodeType
 
 import numpy as np
 import pyarrow as pa
@@ -59,6 +60,16 @@ class Plan:
         cloud, _, stride = self.seqs[seq]
         return -(-self.ranges[cloud] // stride)
 
+    def served(self, seq: int) -> list[int]:
+        """Sequences whose trees the grid keys of this one tell: all of the cloud if it has the finest grid, as coarser ones are starts of its keys."""
+        cloud, _, stride = self.seqs[seq]
+        mine = [k for k, (of, _, step) in enumerate(self.seqs) if (of, step) == (cloud, stride)]
+        return mine if seq == max(mine, key=lambda k: (self.seqs[k][1].levels, -k)) else []
+
+    def keyed(self, seq: int) -> tuple[str, ...]:
+        """Codecs that keys of this sequence are sent for."""
+        return self.kinds if "grid" not in self.kinds or self.served(seq) else tuple(k for k in self.kinds if k != "grid")
+
 
 def bit_length(n: np.ndarray) -> np.ndarray:
     """Exact below 2^53, as are all that are measured here."""
@@ -147,6 +158,11 @@ def counted(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndar
     if counts is not None:
         order = np.argsort(keys, kind="stable")
         keys, counts = keys[order], counts[order]
+    elif len(keys) and keys.max() < 2 * len(keys) and keys.min() >= 0:  # dense values are counted without a sort
+        counts = np.bincount(keys)
+        keys = np.flatnonzero(counts)
+        counts = counts[keys]
+        return keys, None if counts.max() == 1 else counts
     else:
         keys = np.sort(keys)
     first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.zeros(0, np.int64)
@@ -187,7 +203,7 @@ def plain(a) -> bytes:
 
 
 def quantized(kinds: tuple[str, ...], bound: Bound, p: np.ndarray, errors: dict[str, list[float]] | None = None) -> dict[str, np.ndarray]:
-    """Keys of points on the unit cube, as they lie; ``bcc`` serves both orders of its cells. Into ``errors`` go summed and largest squared ones."""
+    """Keys of points on the unit cube, as they lie; ``bcc`` serves both orders of its cells. Into ``errors`` go summed and largest squared ones of cells."""
     wanted, n = set(kinds), p.shape[1]
     names = [name for name, users in (("bcc", {"to_morton", "to_hilbert"}), ("cube_pipeline", {"cube_pipeline"}), ("particle_block", {"particle_block"}), ("grid", {"grid"})) if wanted & users]
     out = {name: np.empty(n, np.int64) for name in names}
@@ -215,10 +231,7 @@ def quantized(kinds: tuple[str, ...], bound: Bound, p: np.ndarray, errors: dict[
             if errors is not None:
                 add("cube", squared(u, cell) / (bound.cube * bound.cube))
         if "grid" in out:
-            cell = grid(piece, bound.levels)
-            out["grid"][here] = morton(cell)
-            if errors is not None:
-                add("grid", squared(piece, [(c + 0.5) / float(1 << bound.levels) for c in cell]))
+            out["grid"][here] = morton(grid(piece, bound.levels))
     return out
 
 
@@ -242,7 +255,7 @@ def with_splitters(plan: Plan, sampled: dict[int, np.ndarray]) -> Plan:
         if parts == 1 or raw is None or not raw.shape[1]:
             continue
         bound = plan.seqs[seq][1]
-        for kind, keys, _ in ordered(plan.kinds, bound, quantized(plan.kinds, bound, unit(raw, plan.boxes[cloud]))):
+        for kind, keys, _ in ordered(plan.kinds, bound, quantized(plan.keyed(seq), bound, unit(raw, plan.boxes[cloud]))):
             plan.splitters[seq, kind] = np.unique(keys[np.arange(1, parts) * len(keys) // parts])
     return plan
 
@@ -271,36 +284,44 @@ def cut(plan: Plan, seq: int, held: dict[str, np.ndarray]) -> Iterator[tuple]:
                 yield seq, KINDS.index(kind), 0, b, packed(keys[lo:hi], True), packed(None if counts is None else counts[lo:hi])
 
 
-def transformed(p: np.ndarray, bound: Bound) -> tuple[int, float, float]:
-    """Bits, summed and largest squared error of the block transform over points in stored order."""
-    n = p.shape[1]
+@lru_cache
+def _steps(forward: bool) -> list[tuple[str, CodeType]]:
+    return [(target, compile(value, "<lifting>", "eval")) for target, value in (families.lifting() if forward else families.unlifting())]
+
+
+def _lifted(held: dict[str, np.ndarray], forward: bool) -> np.ndarray:
+    for target, value in _steps(forward):
+        held[target] = eval(value, {"shiftright": np.right_shift}, held)  # noqa: S307 (steps of this package)
+    return np.stack([held[k] for k in "abcd"])
+
+
+def transformed(p: np.ndarray, bounds: list[Bound]) -> list[tuple[int, float, float]]:
+    """Bits, summed and largest squared error of the block transform over points in stored order; digits are the same at every bound."""
+    n, out = p.shape[1], []
     v = np.concatenate([p, np.zeros((3, -n % 4))], 1) if n % 4 else p
     v = np.ascontiguousarray(np.moveaxis(v.reshape(3, -1, 4), 2, 0))  # the four places of a block, each a contiguous array
     e = bit_length(np.floor(v.max(0) * float(1 << FIXED))) - FIXED
     scale = np.ldexp(1.0, FIXED - e)
-    held = dict(zip("abcd", np.floor(v * scale + 0.5).astype(np.int64), strict=True))
-    for target, value in families.lifting():
-        held[target] = eval(value, {"shiftright": np.right_shift}, held)  # noqa: S307 (steps of this package)
-    digits = np.stack([held[k] for k in "abcd"])
+    digits = _lifted(dict(zip("abcd", np.floor(v * scale + 0.5).astype(np.int64), strict=True)), True)
     digits += NEGABINARY
     digits ^= NEGABINARY
-    kept = np.minimum(FIXED + 2, np.maximum(0, e - bound.least + 4))
-    gone = FIXED + 2 - kept
-    lengths = np.maximum(bit_length(digits) - gone, 0)
-    spent = int(lengths.sum()) + int(np.count_nonzero(lengths)) + int(kept.sum()) + BLOCK_HEADER * kept.size
-    digits >>= gone
-    digits <<= gone
-    digits ^= NEGABINARY
-    digits -= NEGABINARY
-    held = dict(zip("abcd", digits, strict=True))
-    for target, value in families.unlifting():
-        held[target] = eval(value, {"shiftright": np.right_shift}, held)  # noqa: S307
-    gap = np.stack([held[k] for k in "abcd"]) / scale
-    gap -= v
-    gap *= gap
-    error = gap[:, 0] + gap[:, 1] + gap[:, 2]
-    error = error.T.ravel()[:n]
-    return spent, float(error.sum()), float(error.max())
+    long, unscaled = bit_length(digits).astype(np.int8), 1 / scale  # powers of two
+    for bound in bounds:
+        kept = np.minimum(FIXED + 2, np.maximum(0, e - bound.least + 4))
+        gone = FIXED + 2 - kept
+        lengths = np.maximum(long - gone.astype(np.int8), 0)
+        spent = int(lengths.sum(dtype=np.int64)) + int(np.count_nonzero(lengths)) + int(kept.sum()) + BLOCK_HEADER * kept.size
+        cut = digits & np.left_shift(-1, gone)
+        cut ^= NEGABINARY
+        cut -= NEGABINARY
+        gap = _lifted(dict(zip("abcd", cut, strict=True)), False) * unscaled
+        gap -= v
+        gap *= gap
+        error = gap[:, 0] + gap[:, 1] + gap[:, 2]
+        if n % 4:
+            error = error.T.ravel()[:n]
+        out.append((spent, float(error.sum()), float(error.max())))
+    return out
 
 
 def lossless(raw: np.ndarray, patch: int) -> int:
@@ -323,29 +344,38 @@ def lossless(raw: np.ndarray, patch: int) -> int:
     return total
 
 
-def in_order(plan: Plan, seq: int, p: np.ndarray, raw: np.ndarray) -> Iterator[tuple]:
-    """Rows of a slice's points: of the codecs that look at them in stored order, of errors, and of keys."""
-    cloud, bound, _ = plan.seqs[seq]
+def in_order(plan: Plan, cloud: int, p: np.ndarray, raw: np.ndarray) -> Iterator[tuple]:
+    """Rows of a slice's points for all sequences of its cloud: of the codecs that look at them in stored order, of errors, and of keys."""
+    mine, n = [seq for seq, at in enumerate(plan.seqs) if at[0] == cloud], p.shape[1]
+    bounds = [plan.seqs[seq][1] for seq in mine]
+    spent = [(0, 0.0, 0.0)] * len(mine)
+    for at in range(0, n, CACHED):  # a multiple of a block's four places
+        spent = [(a + b, c + d, max(e, f)) for (a, c, e), (b, d, f) in zip(spent, transformed(p[:, at : at + CACHED], bounds), strict=True)]
+    exact = lossless(raw, plan.patches[cloud]) if "float_lossless" in plan.kinds else 0  # what no bound changes is added up once
+    for seq, held in zip(mine, spent, strict=True):
+        yield from at_bound(plan, seq, p, held, exact if seq == mine[0] else 0)
+
+
+def at_bound(plan: Plan, seq: int, p: np.ndarray, transform: tuple[int, float, float], exact: int) -> Iterator[tuple]:
+    bound, bytewise = plan.seqs[seq][1], "float_bounded" in plan.kinds
     width, n = float(1 << bound.levels), p.shape[1]
     errors = {k: [0.0, 0.0] for k in sorted(set(families.ERRORS.values()))}
-    spent, total, worst = 0, 0.0, 0.0
-    whole, q = np.empty((3, n), np.int64), np.empty((3, n), "<i4")
-    bytewise = "float_bounded" in plan.kinds
-    for at in range(0, n, CACHED):  # a multiple of a block's four places
+    whole, q = np.empty((3, n), np.int64), np.empty((3, n), "<i4") if bytewise else None
+    for at in range(0, n, CACHED):
         here = slice(at, at + CACHED)
         piece = p[:, here]
         steps = np.floor(piece / bound.step + 0.5)
         whole[:, here] = steps
-        back = [("steps", steps * bound.step)]
+        wide = piece * width
+        back = [("steps", steps * bound.step), ("grid", (np.minimum(np.floor(wide), width - 1) + 0.5) / width)]
         if bytewise:
-            fixed = np.floor(piece * width + 0.5)
+            wide += 0.5
+            fixed = np.floor(wide, out=wide)
             q[:, here] = fixed
             back.append(("fixed", fixed / width))
         for name, to in back:
             e = squared(piece, to)
             errors[name] = [errors[name][0] + float(e.sum()), max(errors[name][1], float(e.max()))]
-        some, more, most = transformed(piece, bound)
-        spent, total, worst = spent + some, total + more, max(worst, most)
     for axis in range(3):
         gap = np.diff(whole[axis], prepend=0)
         yield from histogram(plan, seq, "array_predictive", axis, gap << 1 ^ gap >> 63)
@@ -355,9 +385,9 @@ def in_order(plan: Plan, seq: int, p: np.ndarray, raw: np.ndarray) -> Iterator[t
             yield seq, KINDS.index("float_bounded"), axis * 3 + place, 0, packed(np.arange(257), True), packed(counts)
     del whole, q
     for at in range(0, n, BATCH):
-        yield from cut(plan, seq, quantized(plan.kinds, bound, p[:, at : at + BATCH], errors))
-    first = "float_lossless" in plan.kinds and seq == next(s for s, at in enumerate(plan.seqs) if at[0] == cloud)  # what no bound changes is added up once
-    sums = [n, spent, total, lossless(raw, plan.patches[cloud]) if first else 0, *(errors[k][0] for k in sorted(errors))]
+        yield from cut(plan, seq, quantized(plan.keyed(seq), bound, p[:, at : at + BATCH], errors))
+    spent, total, worst = transform
+    sums = [n, spent, total, exact, *(errors[k][0] for k in sorted(errors))]
     tops = [worst, *(errors[k][1] for k in sorted(errors))]
     yield seq, KINDS.index("sums"), 0, 0, np.array(sums, np.float64).tobytes(), np.array(tops, np.float64).tobytes()
 
@@ -434,10 +464,7 @@ def from_slices(points: DataFrame, plan: Plan, tasks: int) -> DataFrame:
 
     def done(cloud: int, held: list) -> Iterator[tuple]:
         raw = np.stack([np.concatenate(c) for c in zip(*held, strict=True)])
-        p = unit(raw, plan.boxes[cloud])
-        for seq, (of, _, _) in enumerate(plan.seqs):
-            if of == cloud:
-                yield from in_order(plan, seq, p, raw)
+        yield from in_order(plan, cloud, unit(raw, plan.boxes[cloud]), raw)
 
     # slices are few and large: with so many parts hardly two meet in one
     dealt = points.repartition(4 * tasks, "cloud", "slice").sortWithinPartitions("cloud", "slice", "pid")
@@ -459,81 +486,100 @@ def together(group: pa.Table) -> tuple[np.ndarray, np.ndarray | None]:
     return counted(keys, np.concatenate([np.ones(len(k), np.int64) if c is None else c for k, c in held]))
 
 
-def within(keys: np.ndarray, counts: np.ndarray, depth: int) -> int:
-    """Bit lengths of the counts of all nodes of a binary tree over keys of so many bits, but for the leaves and the first node of each level."""
+def by_shift(keys: np.ndarray, counts: np.ndarray, depth: int) -> np.ndarray:
+    """Summed bit lengths of the counts of the nodes at each shift of a binary tree over keys of so many bits (0: the keys), but for the first of each."""
     apart = bit_length(keys[1:] ^ keys[:-1])  # neighbours are one node from this shift on
     if int(counts.sum()) > 2 * len(keys):  # level by level, on nodes with their counts
-        total, n, bits = 0, counts, bit_length(counts)
+        out, n, bits = np.zeros(depth + 1, np.int64), counts, bit_length(counts)
+        out[0] = bits[1:].sum()
         for shift in range(1, depth + 1):
             if len(apart) and apart.min() <= shift:
                 left = apart > shift
                 n = np.add.reduceat(n, np.concatenate([[0], np.flatnonzero(left) + 1]))
                 apart, bits = apart[left], bit_length(n)
-            total += int(bits[1:].sum())
-        return total
+            out[shift] = bits[1:].sum()
+        return out
     # a node that starts at a point holds m points at the shifts from the largest gap of the m - 1 after it, up to the gap before it; a count has
     # a bit for each power of two m that it reaches
     gaps = np.zeros(int(counts.sum()) - 1, np.int8)
     gaps[np.cumsum(counts[:-1]) - 1] = apart
-    total, widest, m = int(np.maximum(gaps - 1, 0).sum(dtype=np.int64)), gaps, 2  # widest: of m / 2 gaps
+    turns = np.zeros(depth + 2, np.int64)  # where nodes begin to hold m points, less where they end
+
+    def add(begin: np.ndarray, end: np.ndarray) -> None:
+        turns[:] += np.bincount(begin, minlength=depth + 2) - np.bincount(end, minlength=depth + 2)
+
+    some = gaps[gaps > 0]
+    add(np.zeros(len(some), np.int8), some)
+    widest, m = gaps, 2  # widest: of m / 2 gaps
     while m <= len(gaps):
         half = m // 2
         most = np.maximum(widest[: len(gaps) - m + 2], widest[half - 1 :][: len(gaps) - m + 2])[1:]  # of m - 1 gaps after each point but the first
-        total += int(np.maximum(gaps[: len(most)] - np.maximum(most, 1), 0).sum(dtype=np.int64))
+        some = np.flatnonzero(gaps[: len(most)] > most)
+        add(most[some], gaps[some])
         widest, m = np.maximum(widest[: len(widest) - half], widest[half:]), 2 * m
-    return total
+    return np.cumsum(turns)[:-1]
 
 
-def trees(keys: np.ndarray, counts: np.ndarray, levels: int, masked: bool = True) -> tuple[np.ndarray, np.ndarray, list[int], list[tuple[int, int, int, int]]]:
-    """Of a range of grid keys: pairs (parent's mask, mask) and their counts; bits of leaves and of inner nodes; edge nodes (tree, level, node, n or mask).
+def within(keys: np.ndarray, counts: np.ndarray, depth: int) -> int:
+    """Bit lengths of the counts of all nodes of a binary tree over keys of so many bits, but for the leaves and the first node of each level."""
+    return int(by_shift(keys, counts, depth)[1:].sum())
+
+
+def trees(keys: np.ndarray, counts: np.ndarray, levels: int, wanted: tuple[int, ...] = ()) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, list[tuple[int, int, int, int]]]:
+    """Of a range of grid keys: pairs (parent's mask, mask) and their counts down to each of the ``wanted`` levels; summed bit lengths and nodes of the binary
+    tree by level, the leaves last; edge nodes (tree, level, node, n or mask).
 
-    The first and the last node of a level may go on in another range, and what depends on them is told to the driver. Without ``masked`` there are no pairs.
+    The first and the last node of a level may go on in another range, and what depends on them is told to the driver.
     """
-    edges, inner = [], within(keys, counts, 3 * levels)
+    edges, depth = [], 3 * levels
+    bits = by_shift(keys, counts, depth)
+    nodes = np.cumsum(np.bincount(bit_length(keys[1:] ^ keys[:-1]), minlength=depth + 2)[::-1])[::-1][1:]  # but for the first, at each shift
     before = np.concatenate([[0], np.cumsum(counts)])
-    for level in range(3 * levels, 0, -1):
-        shift = 3 * levels - level + 1
+    for shift in range(depth + 1):
         first, last = int(keys[0] >> shift), int(keys[-1] >> shift)
         n = int(before[np.searchsorted(keys, first + 1 << shift)])
-        edges.append((0, level, first, n))
+        edges.append((0, depth - shift + 1, first, n))
         if last > first:
             n = int(before[-1] - before[np.searchsorted(keys, last << shift)])
-            edges.append((0, level, last, n))
-            inner -= n.bit_length()
-    if not masked:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64), [0, inner], edges
+            edges.append((0, depth - shift + 1, last, n))
+            bits[shift] -= n.bit_length()
+            nodes[shift] -= 1
+    sizes = np.stack([bits[::-1], nodes[::-1]])
+    if not wanted:
+        return [], sizes, edges
     masks, parent, child = {}, {}, keys
     for level in range(levels, 0, -1):
         node = child >> 3
-        bits = np.left_shift(np.uint8(1), (child & 7).astype(np.uint8))
+        mask = np.left_shift(np.uint8(1), (child & 7).astype(np.uint8))
         fresh = node[1:] != node[:-1]
         if fresh.all():  # no two children share a node
-            parent[level + 1], masks[level], child = None, (node, bits), node
+            parent[level + 1], masks[level], child = None, (node, mask), node
             continue
         first = np.concatenate([[0], np.flatnonzero(fresh) + 1])
         parent[level + 1] = np.concatenate([[0], np.cumsum(fresh)])  # of the nodes of the level below, by place
-        masks[level] = (node[first], np.bitwise_or.reduceat(bits, first))
+        masks[level] = (node[first], np.bitwise_or.reduceat(mask, first))
         child = node[first]
-    pairs = np.zeros(1 << 16, np.int64)
+    pairs, seen = np.zeros(1 << 16, np.int64), {}
     for level in range(1, levels + 1):
         node, mask = masks[level]
         if level == 1:
             edges += [(1, 1, int(a), int(m)) for a, m in zip(node, mask, strict=True)]
-            continue
-        above, up = masks[level - 1][1], parent[level]
-        if up is None:
-            lo, hi = 1, len(above) - 1
         else:
-            lo, hi = np.searchsorted(up, 0, "right"), np.searchsorted(up, len(above) - 1)
-            above = above[up]
-        if len(masks[level - 1][1]) < 2:
-            lo = hi = len(node)
-        told = [*range(lo), *range(hi, len(node))]
-        edges += [(1, level, int(a), int(m)) for a, m in zip(node[told], mask[told], strict=True)]
-        pairs += np.bincount(above[lo:hi].astype(np.uint16) << 8 | mask[lo:hi], minlength=1 << 16)
-    seen = np.flatnonzero(pairs)
-    leaves = int(((bit_length(counts) - 1) * 2 + 1).sum())
-    return seen, pairs[seen], [leaves, inner], edges
+            above, up = masks[level - 1][1], parent[level]
+            if up is None:
+                lo, hi = 1, len(above) - 1
+            else:
+                lo, hi = np.searchsorted(up, 0, "right"), np.searchsorted(up, len(above) - 1)
+                above = above[up]
+            if len(masks[level - 1][1]) < 2:
+                lo = hi = len(node)
+            told = [*range(lo), *range(hi, len(node))]
+            edges += [(1, level, int(a), int(m)) for a, m in zip(node[told], mask[told], strict=True)]
+            pairs += np.bincount(above[lo:hi].astype(np.uint16) << 8 | mask[lo:hi], minlength=1 << 16)
+        if level in wanted:
+            at = np.flatnonzero(pairs)
+            seen[level] = (at, pairs[at])
+    return [seen[level] for level in wanted], sizes, edges
 
 
 def merge(plan: Plan, group: pa.Table) -> Iterator[tuple]:
@@ -550,10 +596,12 @@ def merge(plan: Plan, group: pa.Table) -> Iterator[tuple]:
         return
     n = np.ones(len(keys), np.int64) if counts is None else counts
     if name == "grid":
-        pairs, c, sizes, edges = trees(keys, n, plan.seqs[seq][1].levels, "octree_occupancy" in plan.kinds)
-        if "octree_occupancy" in plan.kinds:
-            if len(pairs):
-                yield seq, kind, 0, 0, packed(pairs, True), packed(c)
+        served = plan.served(seq)
+        wanted = tuple(plan.seqs[k][1].levels for k in served) if "octree_occupancy" in plan.kinds else ()
+        pairs, sizes, edges = trees(keys, n, plan.seqs[seq][1].levels, wanted)
+        for k, (v, c) in zip(served, pairs):  # noqa: B905 (none if only sizes of nodes are wanted)
+            if len(v):
+                yield k, kind, 0, 0, packed(v, True), packed(c)
         yield seq, kind, FACTS, bucket, plain(sizes), plain(edges)
         return
     yield seq, kind, FACTS, bucket, plain([keys[0], keys[-1], len(keys), int(n.sum())]), b""
@@ -620,11 +668,16 @@ def boundaries(plan: Plan, facts: list) -> tuple[dict, dict, dict]:
                     nodes[level, node] += x
                 else:
                     masks[level, node] |= x
-            sizes = np.sum([v for _, v, _ in held], 0)
-            tree[seq] = [int(sizes[0]), int(sizes[1]) + sum(x.bit_length() for x in nodes.values())]
-            if not masks:  # only sizes of nodes are wanted
-                continue
-            extra[seq, kind, 0, 0] = [masks.get((level - 1, node >> 3), 0) * 256 + mask for (level, node), mask in masks.items()]
+            bits, many = np.sum([v for _, v, _ in held], 0).reshape(2, -1)
+            for (level, _), x in nodes.items():
+                bits[level - 1] += x.bit_length()
+                many[level - 1] += 1
+            told = [(level, masks.get((level - 1, node >> 3), 0) * 256 + mask) for (level, node), mask in masks.items()]
+            for k in plan.served(seq):
+                levels = plan.seqs[k][1].levels
+                tree[k] = [2 * int(bits[3 * levels]) - int(many[3 * levels]), int(bits[: 3 * levels].sum())]
+                if told:  # else only sizes of nodes are wanted
+                    extra[k, kind, 0, 0] = [pair for level, pair in told if level <= levels]
             continue
         before = 0
         for b, (_, (first, last, m, n), _) in enumerate(held):
