@@ -20,6 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from cloudlattice.functions import curves
 from cloudlattice.operators import families
@@ -41,6 +42,8 @@ CACHED = 1 << 14
 SAMPLE = 20_000
 ROW = "seq int, kind int, stream int, bucket int, v binary, c binary"
 _ARROW = pa.schema([(n, pa.int32()) for n in ("seq", "kind", "stream", "bucket")] + [("v", pa.binary()), ("c", pa.binary())])
+#: The slice of points without an id; those of ids are shorter by 16 bits or more.
+NO_SLICE = -(1 << 50)
 #: The stream of what a key range tells the driver.
 FACTS = -1
 
@@ -450,25 +453,30 @@ def from_slices(points: DataFrame, plan: Plan, tasks: int) -> DataFrame:
     def rows(got: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
         held, now = [], None
         for batch in got:
-            cloud, piece, *raw = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
-            edges = np.flatnonzero((cloud[1:] != cloud[:-1]) | (piece[1:] != piece[:-1])) + 1
-            for lo, hi in zip([0, *edges], [*edges, len(cloud)], strict=True):
+            piece, *raw = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+            edges = np.flatnonzero(piece[1:] != piece[:-1]) + 1
+            for lo, hi in zip([0, *edges], [*edges, len(piece)], strict=True):
                 if lo < hi:
-                    if now is not None and now != (cloud[lo], piece[lo]):
-                        yield from done(int(now[0]), held)
+                    if now is not None and now != piece[lo]:
+                        yield from done(int(now), held)
                         held = []
-                    now = (cloud[lo], piece[lo])
+                    now = piece[lo]
                     held.append([c[lo:hi] for c in raw])
         if held:
-            yield from done(int(now[0]), held)
+            yield from done(int(now), held)
 
-    def done(cloud: int, held: list) -> Iterator[tuple]:
-        raw = np.stack([np.concatenate(c) for c in zip(*held, strict=True)])
+    def done(piece: int, held: list) -> Iterator[tuple]:
+        pid, *raw = (np.concatenate(c) for c in zip(*held, strict=True))
+        raw = np.stack(raw)[:, np.argsort(pid, kind="stable")]
+        cloud = piece % clouds
         yield from in_order(plan, cloud, unit(raw, plan.boxes[cloud]), raw)
 
-    # slices are few and large: with so many parts hardly two meet in one
-    dealt = points.repartition(4 * tasks, "cloud", "slice").sortWithinPartitions("cloud", "slice", "pid")
-    return dealt.select("cloud", "slice", "x", "y", "z").mapInArrow(lambda got: batches(rows(got)), ROW)
+    clouds = len(plan.boxes)
+    # slices are few and large: with so many parts hardly two meet in one; the engine brings a slice's rows together by one number, which it does without comparing rows
+    slice_, pid = F.coalesce("slice", F.lit(NO_SLICE)), F.coalesce("pid", F.lit((1 << 63) - 1))  # points without an id are a slice by themselves
+    numbered = points.withColumns({"slice": slice_ * clouds + F.col("cloud"), "pid": pid})
+    dealt = numbered.repartition(4 * tasks, "slice").sortWithinPartitions("slice")
+    return dealt.select("slice", "pid", "x", "y", "z").mapInArrow(lambda got: batches(rows(got)), ROW)
 
 
 def arrays(group: pa.Table) -> list[tuple[np.ndarray, np.ndarray | None]]:

@@ -123,6 +123,13 @@ def several(spark: SparkSession, sf_dir: str, names: tuple[str, ...], keyed: boo
     return reduce(DataFrame.unionByName, parts)
 
 
+def counts(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> list[int]:
+    """Points of each cloud; only of vectors a column is read."""
+    rows = [table(spark, sf_dir, t).agg((F.sum(F.floor(F.size("embedding") / 3)) if t == "embeddings" else F.count(F.lit(1))).cast("long").alias("n")).select(F.lit(t).alias("table"), "n") for t in sorted({CLOUDS[n].table for n in names})]
+    held = {r["table"]: r["n"] or 0 for r in reduce(DataFrame.unionByName, rows).collect()}
+    return [held[CLOUDS[n].table] for n in names]
+
+
 def census(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
     """cloud (its place in ``names``), n and the box of many clouds as stored: a row each, from one pass over each table."""
     ends = [(a, s, f) for a in AXES for s, f in (("lo", F.min), ("hi", F.max))]
