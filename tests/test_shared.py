@@ -85,3 +85,13 @@ def test_points_of_a_slice_are_put_in_order(spark, monkeypatch):
             order = lambda k: float(sum(((int(x) >> k) + 1).bit_length() * 2 - 1 + k for x in gap << 1 ^ gap >> 63))
             want += min(entropy, *(order(k) for k in sequences.ORDERS))
         assert found["bits"]["array_predictive"] == pytest.approx(want)
+
+
+def test_points_without_an_id_are_a_slice(spark):
+    plan = plan_of(("array_predictive", "sums"))
+    p = np.full((3, 6), 0.25)
+    pid = pa.array([7, None, 3, None, 5, None], pa.int64())
+    of = pa.array([0, None, 0, None, 0, None], pa.int64())
+    points = spark.createDataFrame(pa.table({"cloud": pa.array([0] * 6, pa.int32()), "slice": of, "pid": pid, "x": p[0], "y": p[1], "z": p[2]}))
+    rows = [r for r in sequences.from_slices(points, plan, 2).collect() if r.seq == 0 and sequences.KINDS[r.kind] == "sums"]
+    assert sorted(np.frombuffer(r.v)[0] for r in rows) == [3, 3]
